@@ -19,7 +19,7 @@ DISCOUNT = 0.75
 #: Bounds of the labelled sample that the models are fitted on: documents of each language, and characters of each document.
 SAMPLE_DOCS, SAMPLE_CHARS = 200, 8_000
 MOST_LANGUAGES = 256
-REMEMBERED = 300_000
+REMEMBERED = 150_000
 #: Characters after which more text no longer raises the confidence.
 FULL_CHARS = 60
 UNKNOWN = "und"
@@ -110,6 +110,8 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
     n-grams that any language has seen are stored with every language's interpolated value, so a lookup never mixes orders between languages.
     """
     languages = sorted(samples)
+    if not languages:
+        return Models([], [], [], [], [], np.zeros(0), np.zeros(0), np.zeros(0))
     counted = []
     for lang in languages:
         words = Counter(w for t in samples[lang] for w in letters(t[:SAMPLE_CHARS]))
@@ -130,7 +132,7 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
         top = k == order - 1
         value = np.zeros((len(seen[k]), n_lang))
         here = {g: i for i, g in enumerate(seen[k])}
-        ctx = sorted({g[:-1] for g in seen[k]})
+        ctx = sorted({g[:-1] for g in seen[k]} | ({""} if not k else set()))
         at_ctx = {g: i for i, g in enumerate(ctx)}
         weight = np.ones((len(ctx), n_lang))
         for c, grams in enumerate(counted):
