@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,13 +29,36 @@ TEMPLATES = {
 
 def default_templates(spark: SparkSession) -> DataFrame:
     """licence, text."""
-    return spark.createDataFrame(list(TEMPLATES.items()), "licence string, text string")
+    rows = F.array(*[F.struct(F.lit(k).alias("licence"), F.lit(v).alias("text")) for k, v in TEMPLATES.items()])
+    return spark.range(1).select(F.explode(rows).alias("t")).select("t.licence", "t.text")
+
+
+def normal(text: Column, other: str = r"[^\p{L}\p{N}]+") -> Column:
+    """Normal form: lower-case runs of letters and digits with spaces for what ``other`` matches (``licence`` spelt ``license``)."""
+    return F.replace(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), other, " "), F.lit("licence"), F.lit("license"))
 
 
 def words(text: Column) -> Column:
-    """Normal form: lower-case runs of letters and digits (``licence`` spelt ``license``)."""
-    plain = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+", " ")
-    return F.split(F.replace(F.trim(plain), F.lit("licence"), F.lit("license")), " ")
+    return F.split(F.trim(normal(text)), " ")
+
+
+def anchor_words(templates: DataFrame, dice: float) -> set[str]:
+    """Words of which every match has at least one.
+
+    A match shares c >= b dice / (2 - dice) of a template's b bigrams, so it cannot miss a set of more than b - c of them. The longest words
+    whose bigrams make up such a set are taken from each template.
+    """
+    out: set[str] = set()
+    for r in templates.select("grams").collect():
+        pairs = [g.split(" ") for g in r["grams"]]
+        spare = len(pairs) - math.ceil(len(pairs) * dice / (2 - dice) - 1e-9)
+        covered: set[int] = set()
+        for word in sorted({w for p in pairs for w in p}, key=lambda w: (-len(w), w)):
+            if len(covered) > spare:
+                break
+            out.add(word)
+            covered |= {i for i, p in enumerate(pairs) if word in p}
+    return out
 
 
 def bigrams(parts: Column) -> Column:
@@ -47,7 +72,7 @@ def licence_matches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
     Dice is 2c / (a + b) over distinct bigrams. A unit of a bigrams can only reach ``dice`` against templates of b bigrams with
     a dice / (2 - dice) <= b <= a (2 - dice) / dice: units outside all templates' bounds are dropped before their bigrams are made, and each
-    unit meets only templates within its own. Ties go to the first name. Lines of the same text in one document and repeated rows each have their row.
+    unit meets only templates within its own. Texts and units without an anchor word (``anchor_words``) cannot match and end earlier. Ties go to the first name. Lines of the same text in one document and repeated rows each have their row.
     Null and empty texts match nothing; other columns are ignored.
     """
     spark = docs.sparkSession
@@ -59,12 +84,15 @@ def licence_matches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     if total > 2_000_000:
         raise ValueError("templates must be few enough to be sent to every task")
     ratio = (2 - dice) / dice
-    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
-    units = F.concat(F.array(F.struct(F.lit(-1).alias("part"), F.col(text).alias("unit"))), F.when(F.size(lines) > 1, F.transform(lines, lambda x, i: F.struct(i.alias("part"), x.alias("unit")))).otherwise(F.array().cast("array<struct<part:int,unit:string>>")))
-    held = docs.select(F.monotonically_increasing_id().alias("row"), F.col(doc_id).alias("doc_id"), F.explode(units).alias("u")).select("row", "doc_id", "u.part", "u.unit")
-    # a unit of k characters has at most (k + 1) / 2 words, and one of w words at most w bigrams
-    held = held.where(F.length("unit") + 1 >= 2 * low / ratio)
-    held = held.withColumn("w", words(F.col("unit"))).where(F.size("w") >= low / ratio)
+    anchors = F.array(*[F.lit(x) for x in sorted(anchor_words(t, dice))])
+    norm = normal(F.col(text), r"[^\p{L}\p{N}\n]+")
+    held = docs.select(F.monotonically_increasing_id().alias("row"), F.col(doc_id).alias("doc_id"), norm.alias("norm"))
+    held = held.where(F.arrays_overlap(F.split("norm", "[ \n]"), anchors))
+    unit = lambda i, c: F.struct(i.alias("part"), F.trim(c).alias("unit"))
+    lines = F.when(F.col("norm").contains("\n"), F.transform(F.split("norm", "\n"), lambda x, i: unit(i, x))).otherwise(F.array().cast("array<struct<part:int,unit:string>>"))
+    whole = F.array(unit(F.lit(-1), F.regexp_replace("norm", "[ \n]+", " ")))
+    held = held.select("row", "doc_id", F.explode(F.concat(whole, lines)).alias("u")).select("row", "doc_id", "u.part", F.split("u.unit", " ").alias("w"))
+    held = held.where((F.size("w") >= low / ratio) & F.arrays_overlap("w", anchors))
     held = held.withColumn("grams", bigrams(F.col("w"))).withColumn("a", F.size("grams")).where((F.col("a") >= low / ratio) & (F.col("a") <= high * ratio))
     pieces = held.select("row", "doc_id", "part", "a", F.explode("grams").alias("gram"))
     seeds = F.broadcast(t.select("licence", "b", F.explode("grams").alias("gram")))
