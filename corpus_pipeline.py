@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from xlsql.llm import decontaminate, langid, pieces, secret_scan, simhash
 from xlsql.session import load_table, materialize
@@ -24,14 +25,16 @@ def drop_benchmark_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Replace secrets in the texts; every document stays."""
-    return secret_scan.redact(docs)
+    """Replace secrets in the texts, and count the characters of changed ones anew; every document stays."""
+    done = secret_scan.redact(docs.withColumn("_given", F.col("text")))
+    changed = ~F.col("text").eqNullSafe(F.col("_given"))
+    return done.withColumn("n_chars", F.when(changed, F.length("text").cast("long")).otherwise(F.col("n_chars"))).drop("_given")
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Add the pieces' ids, their number and the hash of the decoded text."""
     held = pieces.with_pieces(docs, out="_pieces", fields=("n_tokens", "ids", "decoded_sha256"))
-    return held.select(*docs.columns, "_pieces.n_tokens", "_pieces.ids", "_pieces.decoded_sha256").drop("text")
+    return held.select(*docs.columns, "_pieces.n_tokens", "_pieces.ids", "_pieces.decoded_sha256")
 
 
 STAGES = [

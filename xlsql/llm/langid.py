@@ -99,8 +99,9 @@ def _lookup(keys: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def letters(text: str | None) -> list[str]:
-    """Lower-cased runs of letters of a whole text."""
-    return WORD(text.lower()) if text else []
+    """Lower-cased runs of letters of a whole text; none if it has signs that only count as letters, such as fractions."""
+    words = WORD(text.lower()) if text else []
+    return words if any(c.isalpha() for w in words for c in w) else []
 
 
 def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:

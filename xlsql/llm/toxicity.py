@@ -21,7 +21,7 @@ SAMPLE_DOCS, LEAST_WORD = 2000, 4
 #: A word counts for a landmark by how far its kernel value, as a share of the landmark's own, is above this.
 FLOOR = 0.35
 LONGEST = 24
-REMEMBERED = 500_000
+REMEMBERED = 250_000
 OFFSETS = [(a, b) for a in range(1, SPAN - 1) for b in range(a + 1, SPAN)]
 #: Signs that stand inside a word without ending it; they are dropped before comparison.
 STRIP = "".join(map(chr, range(33, 48))) + ":;<=>?@[\\]^_`{|}~"
