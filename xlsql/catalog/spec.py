@@ -39,8 +39,8 @@ DATABASES = {
 META = "db_id string, table_name string, column_name string, ordinal int, data_type string, is_key boolean, ref_table string, ref_column string, description string"
 
 
-def extract_schema(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> DataFrame:
-    """Schema metadata of a database, read from the files' footers: a row for each table (ordinal 0) and each column."""
+def schema_rows(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> list[tuple]:
+    """Rows of ``META`` of one database, from the files' footers: one for each table (ordinal 0) and each column."""
     rows = []
     refs = {(t, c): (p, k) for t, c, p, k in db.keys}
     targets = {(p, k) for _, _, p, k in db.keys}
@@ -49,16 +49,17 @@ def extract_schema(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> DataFr
         for i, f in enumerate(load_table(spark, sf_dir, table).schema.fields, 1):
             ref = refs.get((table, f.name), (None, None))
             rows.append((db.db_id, table, f.name, i, f.dataType.simpleString(), (table, f.name) in targets, *ref, db.descriptions.get(f.name)))
-    return spark.createDataFrame(rows, META)
+    return rows
+
+
+def extract_schema(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> DataFrame:
+    """Schema metadata of a database."""
+    return spark.createDataFrame(schema_rows(spark, sf_dir, db), META).coalesce(1)
 
 
 def extract_all(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Metadata of all databases; as many rows as there are identifiers."""
-    out = None
-    for db in DATABASES.values():
-        part = extract_schema(spark, sf_dir, db)
-        out = part if out is None else out.unionByName(part)
-    return out
+    """Metadata of all databases; as many rows as there are identifiers, so one task holds them."""
+    return spark.createDataFrame([r for db in DATABASES.values() for r in schema_rows(spark, sf_dir, db)], META).coalesce(1)
 
 
 def columns_of(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> dict[str, list[str]]:

@@ -21,9 +21,23 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+#: Folders made in the shared folder by this process.
+FOLDERS: list[str] = []
+
+
 def run_folder(spark: SparkSession, name: str) -> str:
     """A fresh path inside the shared folder; nothing is created yet."""
-    return f"{shared_dir(spark)}/xlsql-{name}-{uuid.uuid4().hex[:12]}"
+    FOLDERS.append(f"{shared_dir(spark)}/xlsql-{name}-{uuid.uuid4().hex[:12]}")
+    return FOLDERS[-1]
+
+
+def remove_run_folders(spark: SparkSession) -> int:
+    """Delete what this process has written into the shared folder, once the results that read it are no longer needed."""
+    jvm, n = spark.sparkContext._jvm, 0
+    while FOLDERS:
+        path = jvm.org.apache.hadoop.fs.Path(FOLDERS.pop())
+        n += path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return n
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
