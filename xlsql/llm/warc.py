@@ -19,7 +19,7 @@ from xlsql.session import bound_batches, materialize, run_folder
 #: Payloads of fewer bytes are written again instead of being referred to.
 LEAST_REVISIT = 1000
 #: Copies of the table of chosen records, so that a payload that a third of the pages share is dealt over as many tasks.
-SALTS = 32
+SALTS = 16
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 CHUNK = 1 << 16
 
@@ -125,14 +125,14 @@ def write_warc(pages: DataFrame, folder: str, page_id: str = "page_id", url: str
     Of pages with equal payloads of at least ``least`` bytes, that with the largest page_id is the response, the others
     revisit it. A null html is an empty payload, a null url leaves the target out; rows that repeat the largest page_id are
     responses too; a page without id revisits if another page of its payload has an id. The text crosses one shuffle, salted so
-    that no payload's pages meet in one task.
+    that no payload's pages meet in one task, and is not sorted: the chosen records are what is hashed.
     """
-    bound_batches(pages.sparkSession, 1000, "8m")
+    bound_batches(pages.sparkSession, 256, "2m")
     body = F.coalesce(F.col(html), F.lit(""))
     held = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), body.alias("html"), F.sha1(body.cast("binary")).alias("digest"), F.octet_length(body).alias("bytes"))
     chosen = held.where(F.col("bytes") >= least).groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null")
     chosen = chosen.select("digest", "first", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    held = held.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(chosen, ["digest", "salt"], "left")
+    held = held.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(chosen.hint("shuffle_hash"), ["digest", "salt"], "left")
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     return held.select("page_id", "url", "html", "digest", "first", revisit.alias("revisit")).mapInPandas(_writer(folder), "path string, records long")
 
@@ -148,7 +148,7 @@ def _reader(folder: str) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataF
                         h = r.headers
                         rows.append((path, r.offset, h.get("warc-type"), h.get("x-page-id") or None, h.get("warc-target-uri"), _base16(h.get("warc-payload-digest")), int(h.get("x-payload-length", len(r.block))), h.get("x-refers-to-page"), r.block, r.digest_ok))
                         held += len(r.block)
-                        if held > 1 << 22 or len(rows) >= 1000:
+                        if held > 1 << 20 or len(rows) >= 256:
                             yield pd.DataFrame(rows, columns=COLUMNS)
                             rows, held = [], 0
                 if rows:
