@@ -258,3 +258,52 @@ def test_stream_join_and_upsert(spark, tmp_path):
 
 def test_interval_query_has_one_row(spark, sf):
     assert q38_accuracy_ci(spark, sf).count() == 1
+
+
+def test_facade(spark, sf):
+    from xlsql.facade import XlSession
+
+    x = XlSession(spark, sf).register_database("commerce")
+    assert x.build_map().count() > 40
+    made = x.localize(wi.core_items(spark).where("item_id in (1, 4)"))
+    assert {r["verdict"]: r["n"] for r in x.verify(made).groupBy("verdict").agg(F.sum("n").alias("n")).collect()} == {"equal": 2}
+    assert x.plan_sample(spark.range(10962)).first()["n"] == 974
+    assert 0 < x.estimate(spark.createDataFrame([(1,), (1,), (0,)], "correct int"), 10).first()["interval"]["half"] < 1
+    assert x.generate("How many orders have status F ?", "status is `o_orderstatus` = 'F'", "commerce").startswith("SELECT count(*) FROM orders")
+    got = {r["item_id"]: (r["correct"], r["same"]) for r in x.evaluate({1: wi.BY_ID[1].sql + ";", 2: "SELECT 1"}, {k: wi.BY_ID[k].sql for k in (1, 2)}, "commerce").collect()}
+    assert got == {1: (True, True), 2: (False, False)}
+    assert x.compare(pub.inference_scores(spark))["stability"].count() == 3
+    assert x.corpus_report(load_table(spark, sf, "documents")).count() == 15
+
+
+def test_pandas_aggregates_agree_with_expressions(spark):
+    from xlsql.functions.udaf import kappa, wilson_low
+
+    df = spark.createDataFrame([(1, 1), (1, 1), (0, 0), (0, 1), (1, 0)], "a int, b int")
+    got = df.agg(wilson_low("a").alias("w"), kappa("a", "b").alias("k")).first()
+    assert got["w"] == pytest.approx(one(spark, sm.accuracy_interval(F.lit(3), F.lit(5), method="wilson"))["low"])
+    assert got["k"] == pytest.approx(sm.agreement(df, "a", "b").first()["kappa"], abs=1e-6)
+
+
+def test_item_stream_and_gold_join(spark, tmp_path):
+    path = tmp_path / "items.jsonl"
+    path.write_text('{"item_id": 1}\n{"item_id": 2}\n{"item_id"')
+    files.register(spark)
+    lines = spark.readStream.format("item_lines").option("path", str(path)).load()
+    log = lines.select(F.get_json_object("line", "$.item_id").cast("long").alias("item_id"))
+    got = st.drain(st.with_gold(log, wi.core_items(spark)), "gold").collect()
+    assert {r["item_id"]: r["gold_sql"] for r in got} == {k: wi.BY_ID[k].sql for k in (1, 2)}
+
+
+def test_mutations(spark, sf):
+    sql = "SELECT DISTINCT max(a) FROM t WHERE b > 5 ORDER BY a DESC LIMIT 3"
+    assert gb.mutate_sql(sql, "literal") == sql.replace("5", "6") and gb.mutate_sql(sql, "limit") == sql.replace("3", "4")
+    assert gb.mutate_sql(sql, "aggregate") == sql.replace("max", "min") and gb.mutate_sql(sql, "direction") == sql.replace("DESC", "asc")
+    assert gb.mutate_sql(sql, "distinct") == sql.replace("DISTINCT", "") and gb.mutate_sql("SELECT 1 FROM t LIMIT 2", "direction") is None
+    session = open_database(spark, sf, DATABASES["commerce"])
+    assert ms.plan_match(session, "SELECT c_name FROM customer WHERE 1 = 1 AND c_custkey = 1", "SELECT c_name FROM customer WHERE c_custkey = 1 AND 1 = 1") in (True, False)
+    assert ms.plan_match(session, "SELECT x.c_name FROM customer x", "SELECT c_name FROM customer") and not ms.plan_match(session, "SELECT nope", "SELECT 1")
+
+
+def test_file_sizes(spark, sf):
+    assert files.file_sizes(spark, f"{sf}/orders.parquet").first()["bytes"] > 1000

@@ -222,3 +222,28 @@ def oracle_generator(gold: dict[int, str]) -> dict[int, str]:
 def constant_generator(gold: dict[int, str], sql: str = "SELECT 1") -> dict[int, str]:
     """Lower bound: one query for every item."""
     return dict.fromkeys(gold, sql)
+
+
+SWAPPED = {"max": "min", "min": "max", "sum": "count", "avg": "max", "desc": "asc", "asc": "desc"}
+
+
+def mutate_sql(sql: str, kind: str) -> str | None:
+    """A query with one change: literal (a number grows by one), aggregate, direction, limit, distinct; None if there is nothing to change."""
+    from xlsql.localize.sql_tree import tokenize
+
+    tokens = tokenize(sql)
+    code = [t for t in tokens if t.kind != "blank"]
+    for i, t in enumerate(code):
+        before = code[i - 1].low if i else ""
+        if kind == "literal" and t.kind == "number" and before != "limit" or kind == "limit" and t.kind == "number" and before == "limit":
+            t.new = str(int(float(t.text)) + 1)
+        elif kind == "aggregate" and t.low in ("max", "min", "sum", "avg") and i + 1 < len(code) and code[i + 1].text == "(":
+            t.new = SWAPPED[t.low]
+        elif kind == "direction" and t.low in ("asc", "desc"):
+            t.new = SWAPPED[t.low]
+        elif kind == "distinct" and t.low == "distinct":
+            t.new = ""
+        else:
+            continue
+        return "".join(x.new if x.new is not None else x.text for x in tokens)
+    return None

@@ -90,6 +90,16 @@ def exact_match(preds: DataFrame, gold: DataFrame, by: Sequence[str], level: str
     return p.join(g, "item_id").groupBy(*by).agg(F.count("*").alias("n"), F.avg(hit).alias("em"))
 
 
+def plan_match(session: SparkSession, predicted: str, gold: str) -> bool:
+    """Exact match on plans: normal forms agree, or both texts analyse to the same plan."""
+    if normalize_sql(predicted) == normalize_sql(gold):
+        return True
+    try:
+        return session.sql(predicted).sameSemantics(session.sql(gold))
+    except PySparkException:
+        return False
+
+
 def ves_reward(gold: Column, predicted: Column) -> Column:
     return F.sqrt(F.greatest(gold, F.lit(RESOLUTION)) / F.greatest(predicted, F.lit(RESOLUTION)))
 

@@ -219,18 +219,33 @@ def q64_self_correct_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def q65_finetuned_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """family, size, tuned, accuracy of query classes on dev, of six trained stand-ins and their untuned forms."""
-    items = wi.make_items(spark, sf_dir, 280).unionByName(wi.core_items(spark)).cache()
+    """family, size, tuned, n, accuracy of query classes, ex, em on dev, of six trained stand-ins and their untuned forms.
+
+    The code family fills its templates from the evidence; the multilingual family knows tables only.
+    """
+    items = wi.make_items(spark, sf_dir, 105).unionByName(wi.core_items(spark)).where("db_id = 'commerce'").cache()
     train, dev = items.where("split = 'train'"), items.where("split = 'dev'")
-    out = None
+    held = {r["item_id"]: r for r in dev.collect()}
+    schema, session = columns_of(spark, sf_dir, DATABASES["commerce"]), open_database(spark, sf_dir, DATABASES["commerce"])
+    gold, known, rows = {k: r["sql"] for k, r in held.items()}, {}, []
+
+    def write(r, intent: str, family: str) -> str:
+        named = __import__("re").findall(r"`(\w+)`", r["evidence"]) if family == "code" else []
+        table = next((t for t, cols in schema.items() if any(c in cols for c in named)), None) or next((t for t in schema if t.rstrip("s") in r["question"].lower()), "customer")
+        return gb._template({"filtered_count": "filter_count", "group_aggregate": "group", "scalar_subquery": "nested"}.get(intent, intent), table, [c for c in named if c in schema[table]], r["question"], r["evidence"] if family == "code" else "")
+
     for family, sizes in (("multilingual", "S M L"), ("code", "0.5 1.5 3")):
         for size in sizes.split():
             for tuned in (False, True):
                 fitted = gb.fit_template_model(train, family, size) if tuned else None
-                p = gb.predict_intents(dev, fitted, family, size).agg(F.round(F.avg((F.col("intent") == F.col("predicted")).cast("double")), 6).alias("accuracy"), F.count("*").alias("n"))
-                p = p.select(F.lit(family).alias("family"), F.lit(size).alias("size"), F.lit(tuned).alias("tuned"), "n", "accuracy")
-                out = p if out is None else out.unionByName(p)
-    return out
+                said = {r["item_id"]: r for r in gb.predict_intents(dev, fitted, family, size).collect()}
+                preds = [(k, write(held[k], r["predicted"], family)) for k, r in said.items()]
+                ex = [ok for _, ok in ms.execution_accuracy(preds, gold, session, cache=known)]
+                em = [ms.normalize_sql(s) == ms.normalize_sql(gold[k]) for k, s in preds]
+                right = [r["intent"] == r["predicted"] for r in said.values()]
+                rows.append((family, size, tuned, len(preds), *(round(sum(x) / len(x), 6) for x in (right, ex, em))))
+    items.unpersist()
+    return spark.createDataFrame(rows, "family string, size string, tuned boolean, n int, accuracy double, ex double, em double")
 
 
 def _links() -> list[tuple[int, int, int]]:
@@ -263,6 +278,13 @@ def q67_dataset_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+@query("WITH t AS (" + " UNION ALL ".join(f"SELECT '{OWNER[t]}' AS db_id, '{t}' AS table_name, count(*) AS n FROM {t}" for t in TABLES) + """)
+    SELECT db_id, count(*) AS tables, CAST(sum(n) AS BIGINT) AS total, round(avg(n), 4) AS per_table, arg_max(table_name, n) AS largest FROM t GROUP BY db_id""")
+def q67b_database_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
+    t = q67_dataset_scale(spark, sf_dir)
+    return t.groupBy("db_id").agg(F.count("*").alias("tables"), F.sum("n").alias("total"), F.round(F.avg("n"), 4).alias("per_table"), F.max_by("table_name", "n").alias("largest"))
+
+
 @query()
 def q67a_measured_times(spark: SparkSession, sf_dir: str) -> DataFrame:
     """item_id, ms_gold, ms_pred, correct: times measured here of gold and of an equal query, for the efficiency measure."""

@@ -6,7 +6,8 @@ import sqlite3
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql import functions as F
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
 from pyspark.sql.types import StructType
 
 # Declared types of database files and what they become.
@@ -66,8 +67,60 @@ class SqliteReader(DataSourceReader):
             db.close()
 
 
+class ItemStreamSource(DataSource):
+    """``spark.readStream.format("item_lines")`` with option path: items as they are appended to a file of JSON lines."""
+
+    @classmethod
+    def name(cls) -> str:
+        return "item_lines"
+
+    def schema(self) -> str:
+        return "line string"
+
+    def simpleStreamReader(self, schema: StructType) -> SimpleDataSourceStreamReader:
+        return ItemLines(self.options["path"], int(self.options.get("most", 1000)))
+
+
+class ItemLines(SimpleDataSourceStreamReader):
+    """Offsets are bytes; a line counts once it is ended."""
+
+    def __init__(self, path: str, most: int):
+        self.path, self.most = path, most
+
+    def initialOffset(self) -> dict:
+        return {"at": 0}
+
+    def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
+        rows, at = [], start["at"]
+        with open(self.path, "rb") as f:
+            f.seek(at)
+            for line in f:
+                if not line.endswith(b"\n") or len(rows) >= self.most:
+                    break
+                at += len(line)
+                rows.append((line.decode().rstrip("\n"),))
+        return iter(rows), {"at": at}
+
+    def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
+        with open(self.path, "rb") as f:
+            f.seek(start["at"])
+            return iter([(x.decode(),) for x in f.read(end["at"] - start["at"]).split(b"\n")[:-1]])
+
+
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(SqliteSource)
+    spark.dataSource.register(ItemStreamSource)
+
+
+def read_jdbc(spark: SparkSession, url: str, table: str, column: str, low: int, high: int, partitions: int, **properties) -> DataFrame:
+    """A table of a database server, read in ranges of a numeric column (needs the server's driver on the class path)."""
+    return spark.read.jdbc(url, table, column=column, lowerBound=low, upperBound=high, numPartitions=partitions, properties=properties)
+
+
+def file_sizes(spark: SparkSession, path: str) -> DataFrame:
+    """path, bytes of each file of a table, from the scan's metadata column."""
+    meta = spark.read.parquet(path).select("_metadata.file_path", "_metadata.file_size")
+    return meta.groupBy(F.col("file_path").alias("path")).agg(F.max("file_size").alias("bytes"))
 
 
 def schema_of_file(path: str) -> list[tuple]:

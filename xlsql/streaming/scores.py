@@ -90,6 +90,11 @@ def upsert(stream: DataFrame, apply: Callable[[DataFrame, int], None], trigger_o
     (writer.trigger(availableNow=True) if trigger_once else writer).start().awaitTermination()
 
 
+def with_gold(log: DataFrame, items: DataFrame) -> DataFrame:
+    """A stream of predictions joined to the static table of gold queries; how is for the planner to say, from the table's size."""
+    return log.join(items.select("item_id", F.col("sql").alias("gold_sql")), "item_id", "left")
+
+
 def join_log(predictions: DataFrame, executions: DataFrame, within: str = "1 hour") -> DataFrame:
     """Predictions with the execution record of their item that arrives within a bound; both sides are watermarked."""
     p, e = predictions.withWatermark("ts", within).alias("p"), executions.withWatermark("ts", within).alias("e")

@@ -68,6 +68,16 @@ def judge_alignment(flags: DataFrame, keep: float = 0.8) -> DataFrame:
     return scored.withColumn("decision", F.when(F.col("score") >= keep, "keep").when(F.col("score") >= 0.4, "repair").otherwise("drop"))
 
 
+def judge_with_provider(flagged: DataFrame, provider) -> DataFrame:
+    """item_id, text: a provider's judgement of each flagged item; columns item_id, question_loc, sql_loc, reasons."""
+    from xlsql.providers.base import complete
+
+    asked = flagged.withColumn("prompt", F.concat_ws("\n", F.lit("# Judge"), "question_loc", "sql_loc", "reasons"))
+    made = complete(asked.select(F.lit("judge").alias("task"), "prompt"), provider)
+    key = F.md5(F.concat_ws("\x1f", F.lit("judge"), "prompt", F.lit("")))
+    return asked.withColumn("key", key).join(made, "key", "left").select("item_id", "text")
+
+
 def repair_loop(state: dict, verify: Callable[[dict], DataFrame], repair: Callable[[dict, DataFrame], dict], max_rounds: int = 5) -> tuple[dict, list[int]]:
     """Verify, correct what is flagged, verify again, until nothing is flagged or nothing changes.
 

@@ -155,7 +155,7 @@ def run_pair(session_a: SparkSession, sql_a: str, session_b: SparkSession, sql_b
         keys = None if -1 in keys else keys
     try:
         result = exec_equal(a, b, ordered, mode == "set", level, keys)
-        if not result.equal and ordered and limit and keys:
+        if not result.equal and ordered and limit and keys and len(a.columns) == len(b.columns):
             # the choice of rows at the cut is undefined: compare what lies before the last tie group
             cut = [_before_last_group(d, keys) for d in (a, b)]
             if exact_difference(*cut).isEmpty() and a.count() == b.count():
