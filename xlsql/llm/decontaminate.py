@@ -18,7 +18,7 @@ SEED = 3
 RARE = 0.6
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the item's own score that a leaked copy reaches.
-SIMILARITY = 0.6
+SIMILARITY = 0.5
 #: Bytes of benchmark texts that may be sent to every task; more are handled slice by slice.
 SLICE_BYTES = 16 << 20
 WORD = re.compile(r"\w+").findall
