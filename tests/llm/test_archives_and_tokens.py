@@ -30,6 +30,15 @@ def test_warc_round_trip_with_revisits(spark, tmp_path):
         assert (r["payload"] is None) if again else (bytes(r["payload"]) == body)
 
 
+def test_large_and_missing_ids_survive(spark):
+    big = (1 << 60) + 1
+    page = "x" * 2000
+    got = warc.warc_round_trip(spark, spark.createDataFrame([(big, "u", page), (None, "u", page), (1, None, page)], "page_id long, url string, html string").coalesce(1)).collect()
+    assert sorted((r["page_id"] or 0, r["refers_to"] or 0) for r in got) == [(0, big), (1, big), (big, 0)]
+    docs = spark.createDataFrame([(big, "a b"), (None, "c")], "doc_id long, text string").coalesce(1)
+    assert sorted((r["doc_id"] or 0, r["n_tokens"]) for r in token_files.token_counts(docs).collect()) == [(0, 1), (big, 2)]
+
+
 def test_warc_of_an_empty_table(spark):
     assert warc.warc_round_trip(spark, spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 

@@ -215,6 +215,13 @@ def test_leaks_match_brute_force(spark):
     assert kept.columns == d.columns and {r["doc_id"] for r in kept.collect()} == {x[0] for x in docs} - {i for i, _ in want} | {500, 501}
 
 
+def test_large_and_missing_ids_survive(spark):
+    big = (1 << 60) + 1
+    docs = spark.createDataFrame([(big, "a b c d e"), (None, "a b c d e")], "doc_id long, text string").coalesce(1)
+    bench = spark.createDataFrame([(big, "a b c d e")], "item_id long, text string")
+    assert sorted((r["doc_id"] or 0, r["item_id"]) for r in decontaminate.leaked_items(docs, bench).collect()) == [(0, big), (big, big)]
+
+
 def test_no_benchmark_no_leaks(spark):
     none = spark.createDataFrame([], "item_id long, text string")
     docs = spark.createDataFrame([(1, "a b c")], "doc_id long, text string")

@@ -116,9 +116,14 @@ def test_simhash_groups_match_brute_force(spark, monkeypatch):
     prints, comp = brute_groups(rows)
     want = {i: (f"{prints[i]:016x}", comp[i]) for i, _ in rows}
     assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in simhash.simhash_groups(df).collect()} == want
+    # a fingerprint that only documents without id have
+    lone = df.select("doc_id", "text").unionByName(spark.createDataFrame([(None, rows[40][1] + " tail"), (None, rows[40][1])], "doc_id long, text string"))
+    again = [r for r in simhash.simhash_groups(lone).collect()]
+    assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in again if r["doc_id"] is not None} == want
     # all buckets through the block path, cut small
     monkeypatch.setattr(simhash, "LIGHT", 1)
     monkeypatch.setattr(simhash, "BLOCK", 3)
+    assert simhash.simhash_groups(lone).count() == len(rows) + 2
     assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in simhash.simhash_groups(df).collect()} == want
 
 

@@ -176,16 +176,28 @@ def with_leaks(docs: DataFrame, index: Index, text: str = "text", out: str = "le
 
 def leaked_items(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, rare: float = RARE) -> DataFrame:
     """doc_id, item_id, similarity of every document and item that align well enough; one row for each pair and row of ``docs``."""
-    found = None
+    kind, found = docs.schema[doc_id].dataType, None
+    # as text, for a batch with a null would turn whole numbers into doubles
+    rows = docs.select(F.col(doc_id).cast("string").alias("doc_id"), F.col(text).alias("text"))
     for index in build_indexes(docs, benchmark, text, rare=rare):
-        part = with_leaks(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), index, "text", "leaks", similarity)
-        part = part.where(F.size("leaks") > 0).select("doc_id", F.explode("leaks").alias("leak")).select("doc_id", "leak.item_id", "leak.similarity")
+        part = rows.mapInPandas(_pairs(index, similarity), "doc_id string, item_id long, similarity double").withColumn("doc_id", F.col("doc_id").cast(kind))
         found = part if found is None else found.unionByName(part)
     if found is None:
-        return docs.select(F.col(doc_id).alias("doc_id"), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("similarity")).where("false")
+        return rows.select(F.col("doc_id").cast(kind).alias("doc_id"), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("similarity")).where("false")
     return found
 
 
+def _pairs(index: Index, similarity: float) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            leaks = [index.leaks(words_of(t), similarity) for t in batch["text"]]
+            at = np.repeat(np.arange(len(leaks)), [len(x) for x in leaks])
+            flat = [x for some in leaks for x in some]
+            yield pd.DataFrame({"doc_id": batch["doc_id"].iloc[at].reset_index(drop=True), "item_id": [x[0] for x in flat], "similarity": [x[1] for x in flat]})
+
+    return run
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", similarity: float = SIMILARITY, rare: float = RARE) -> DataFrame:
     """Rows of ``docs`` that contain no copy of a benchmark item; columns stay."""
     out = docs

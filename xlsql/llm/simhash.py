@@ -98,7 +98,7 @@ def hamming_links(prints: DataFrame, distance: int = 3) -> DataFrame:
     """
     table = [F.bit_count(F.col("fp").bitwiseXOR(F.lit(_signed(r)))).cast("tinyint").alias(f"d{i}") for i, r in enumerate(REFERENCES)]
     masks = F.array(*[F.col("fp").bitwiseAND(F.lit(_signed(m))) for m in bit_groups(distance)])
-    keys = prints.select("fp", "rep", F.posexplode(masks).alias("grp", "key"))
+    keys = prints.where("rep is not null").select("fp", "rep", F.posexplode(masks).alias("grp", "key"))
     counts = keys.groupBy("grp", "key").agg(F.count("*").alias("members")).where("members > 1")
     held = materialize(keys.join(counts, ["grp", "key"]), "buckets")
     light = held.where(F.col("members") <= LIGHT).select("grp", "key", "fp", "rep", *table)

@@ -75,9 +75,10 @@ def write_token_files(docs: DataFrame, folder: str, doc_id: str = "doc_id", text
     blob = ranks if isinstance(ranks, bytes) else open(ranks or default_ranks(), "rb").read()
     if max(load_ranks(blob).values()) >= separator or separator > 0xFFFF:
         raise ValueError("the separator must be free and fit 16 bits")
-    rows = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
-    kind = rows.schema["doc_id"].dataType.simpleString()
-    return rows.mapInPandas(_writer(folder, blob, pattern, separator), f"path string, ordinal long, doc_id {kind}")
+    # ids as text, for a batch with a null would turn whole numbers into doubles
+    rows = docs.select(F.col(doc_id).cast("string").alias("doc_id"), F.col(text).alias("text"))
+    places = rows.mapInPandas(_writer(folder, blob, pattern, separator), "path string, ordinal long, doc_id string")
+    return places.withColumn("doc_id", F.col("doc_id").cast(docs.schema[doc_id].dataType))
 
 
 def _scan(folder: str, separator: int, block: int) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:

@@ -104,12 +104,11 @@ def _writer(folder: str) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataF
                     store.create_dir(at, recursive=True)
                     out = store.open_output_stream(path, compression=None)
                 payload = (row.html or "").encode("utf-8", "surrogatepass")
-                known = pd.notna(row.page_id)
-                headers = {"WARC-Record-ID": f"<urn:uuid:{uuid.uuid4()}>", "WARC-Date": "1970-01-01T00:00:00Z", "X-Page-Id": str(int(row.page_id)) if known else "", "X-Payload-Length": str(len(payload)), "WARC-Payload-Digest": _base32(bytes.fromhex(row.digest)), "Content-Type": "text/html; charset=utf-8"}
+                headers = {"WARC-Record-ID": f"<urn:uuid:{uuid.uuid4()}>", "WARC-Date": "1970-01-01T00:00:00Z", "X-Page-Id": row.page_id or "", "X-Payload-Length": str(len(payload)), "WARC-Payload-Digest": _base32(bytes.fromhex(row.digest)), "Content-Type": "text/html; charset=utf-8"}
                 if isinstance(row.url, str) and row.url:
                     headers["WARC-Target-URI"] = row.url.replace("\r", "%0D").replace("\n", "%0A")
                 if row.revisit:
-                    headers |= {"WARC-Profile": REVISIT_PROFILE, "X-Refers-To-Page": str(int(row.first))}
+                    headers |= {"WARC-Profile": REVISIT_PROFILE, "X-Refers-To-Page": row.first}
                 out.write(encode_record("revisit" if row.revisit else "response", headers, b"" if row.revisit else payload))
                 n += 1
         if out is not None:
@@ -134,7 +133,9 @@ def write_warc(pages: DataFrame, folder: str, page_id: str = "page_id", url: str
     chosen = chosen.select("digest", "first", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
     held = held.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(chosen.hint("shuffle_hash"), ["digest", "salt"], "left")
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
-    return held.select("page_id", "url", "html", "digest", "first", revisit.alias("revisit")).mapInPandas(_writer(folder), "path string, records long")
+    # ids as text, for a batch with a null would turn whole numbers into doubles
+    ids = [F.col(c).cast("string").alias(c) for c in ("page_id", "first")]
+    return held.select(*ids, "url", "html", "digest", revisit.alias("revisit")).mapInPandas(_writer(folder), "path string, records long")
 
 
 def _reader(folder: str) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
