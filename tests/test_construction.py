@@ -264,3 +264,31 @@ def test_many_generated_items_localize(spark, sf, commerce):
     for r in rows:
         made, problems = sql_tree.localize_sql(r["sql"], *commerce)
         assert not problems and sql_tree.localize_sql(made, *inverse(*commerce)) == (r["sql"], [])
+
+
+def test_catalog_and_file_metadata(spark, sf, tmp_path):
+    import sqlite3
+
+    from xlsql.catalog.spec import extract_catalog, extract_schema, extract_sqlite, with_descriptions
+
+    db = DATABASES["commerce"]
+    a = extract_catalog(open_database(spark, sf, db), "commerce", db.tables).select("table_name", "column_name", "ordinal", "data_type")
+    assert sorted(map(str, a.collect())) == sorted(map(str, extract_schema(spark, sf, db).select(*a.columns).collect()))
+    path = str(tmp_path / "x.sqlite")
+    with sqlite3.connect(path) as con:
+        con.execute("CREATE TABLE p (id INTEGER PRIMARY KEY, label TEXT)")
+        con.execute("CREATE TABLE c (x REAL, p_id INTEGER REFERENCES p(id))")
+    rows = {(r["table_name"], r["column_name"]): r for r in extract_sqlite(spark, path, "x").collect()}
+    assert rows["p", "id"]["is_key"] and rows["c", "p_id"]["ref_table"] == "p" and rows["c", "x"]["data_type"] == "double" and rows["c", None]["ordinal"] == 0
+    told = spark.createDataFrame([("x", "p", "label", "what it is called"), ("x", "p", None, "things")], "db_id string, table_name string, column_name string, description string")
+    meta = with_descriptions(extract_sqlite(spark, path, "x"), told)
+    assert {r["description"] for r in meta.collect()} == {None, "what it is called", "things"} and meta.count() == 6
+
+
+def test_names_from_a_provider(spark, sf):
+    meta = extract_all(spark, sf).where("db_id = 'activity'")
+    answers = {prompt_key("identifier", n): v for n, v in (("events", "Sucesos"), ("user_id", "Usuario Ñ"), ("value", ""))}
+    got = {r["source_name"]: r["candidate"] for r in nm.translate_with_provider(nm.identifiers(meta), ReplayProvider(answers)).collect()}
+    assert (got["events"], got["user_id"], got["value"], got["ts"]) == ("sucesos", "usuario_n", "value", "ts")
+    described = nm.translate_with_provider(nm.identifiers(extract_all(spark, sf)), ReplayProvider({prompt_key("identifier", "c_mktsegment : market segment"): "segmento"}), extract_all(spark, sf))
+    assert described.where("source_name = 'c_mktsegment'").first()["candidate"] == "segmento"

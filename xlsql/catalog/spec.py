@@ -5,6 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from xlsql.session import load_table
 
@@ -62,6 +63,36 @@ def extract_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([r for db in DATABASES.values() for r in schema_rows(spark, sf_dir, db)], META).coalesce(1)
 
 
+def extract_catalog(session: SparkSession, db_id: str, tables: tuple[str, ...]) -> DataFrame:
+    """Metadata of tables and views that a session's catalog knows."""
+    rows = []
+    for t in tables:
+        rows.append((db_id, t, None, 0, None, False, None, None, session.catalog.getTable(t).description))
+        rows += [(db_id, t, c.name, i, c.dataType, False, None, None, c.description) for i, c in enumerate(session.catalog.listColumns(t), 1)]
+    return session.createDataFrame(rows, META).coalesce(1)
+
+
+def extract_sqlite(spark: SparkSession, path: str, db_id: str) -> DataFrame:
+    """Metadata of a database file: declared columns, primary keys and foreign keys."""
+    from xlsql.sources.files import affinity, schema_of_file
+
+    rows, at = [], {}
+    for table, column, declared, is_key, ref_table, ref_column in schema_of_file(path):
+        if table not in at:
+            rows.append((db_id, table, None, 0, None, False, None, None, None))
+        at[table] = at.get(table, 0) + 1
+        rows.append((db_id, table, column, at[table], affinity(declared), is_key, ref_table, ref_column, None))
+    return spark.createDataFrame(rows, META).coalesce(1)
+
+
+def with_descriptions(meta: DataFrame, described: DataFrame) -> DataFrame:
+    """Descriptions (db_id, table_name, column_name, description), as read from JSON or CSV files, put into metadata; known ones stay where none is given."""
+    d = described.select("db_id", "table_name", "column_name", F.col("description").alias("_told"))
+    same = F.col("m.db_id").eqNullSafe(F.col("d.db_id")) & F.col("m.table_name").eqNullSafe(F.col("d.table_name")) & F.col("m.column_name").eqNullSafe(F.col("d.column_name"))
+    joined = meta.alias("m").join(d.alias("d"), same, "left")
+    return joined.select(*[F.col(f"m.{c}") for c in meta.columns if c != "description"], F.coalesce("_told", F.col("m.description")).alias("description"))
+
+
 def columns_of(spark: SparkSession, sf_dir: str, db: DatabaseSpec) -> dict[str, list[str]]:
     """Columns of each table, from the footers."""
     return {t: load_table(spark, sf_dir, t).columns for t in db.tables}

@@ -17,8 +17,23 @@ class ExplodeTokens:
             yield (m.group(),)
 
 
+class ExplodeIdentifiers:
+    """A row (ord, name) for each name in a query that is neither a shaping word, a literal nor a function."""
+
+    def eval(self, sql: str):
+        from xlsql.localize.sql_tree import SHAPING, tokenize
+
+        code = [t for t in tokenize(sql or "") if t.kind != "blank"]
+        n = 0
+        for i, t in enumerate(code):
+            if t.name is not None and t.low not in SHAPING and not (i + 1 < len(code) and code[i + 1].text == "("):
+                yield (n, t.name)
+                n += 1
+
+
 def register(spark: SparkSession) -> None:
     spark.udtf.register("explode_tokens", udtf(ExplodeTokens, returnType="token string"))
+    spark.udtf.register("explode_identifiers", udtf(ExplodeIdentifiers, returnType="ord int, name string"))
     for sql in (
         "CREATE OR REPLACE TEMPORARY FUNCTION ascii_snake(s STRING) RETURNS STRING RETURN trim('_' FROM regexp_replace(lower(s), '[^a-z0-9]+', '_'))",
         "CREATE OR REPLACE TEMPORARY FUNCTION clt_n(z DOUBLE, e DOUBLE, p DOUBLE, n BIGINT) RETURNS BIGINT "

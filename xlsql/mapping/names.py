@@ -36,6 +36,27 @@ def translate_identifiers(names: DataFrame, lexicon: DataFrame) -> DataFrame:
     return joined.select(*names.columns, to_ascii_snake(F.array_join(F.transform("words", lambda w: w["word"]), "_")).alias("candidate"))
 
 
+def translate_with_provider(names: DataFrame, provider, meta: DataFrame | None = None) -> DataFrame:
+    """Add ``candidate`` as a provider answers; descriptions of the identifiers, where known, go with the name to tell senses apart.
+
+    A failed or empty answer leaves the name itself. What comes back is put into ASCII snake case like any other candidate.
+    """
+    from xlsql.providers.base import complete
+
+    asked = names
+    if meta is not None:
+        told = meta.where("description is not null").select("db_id", F.coalesce("column_name", "table_name").alias("source_name"), "description").groupBy("db_id", "source_name").agg(F.min("description").alias("description"))
+        asked = names.join(told, ["db_id", "source_name"], "left")
+        prompt = F.concat_ws(" : ", "source_name", "description")
+    else:
+        prompt = F.col("source_name")
+    asked = asked.withColumn("prompt", prompt)
+    made = complete(asked.select(F.lit("identifier").alias("task"), "prompt"), provider).select("key", "text")
+    keyed = asked.withColumn("key", F.md5(F.concat_ws("\x1f", F.lit("identifier"), "prompt", F.lit("")))).join(made, "key", "left")
+    answer = F.when(F.trim("text") != "", F.col("text"))
+    return keyed.select(*names.columns, to_ascii_snake(F.coalesce(answer, "source_name")).alias("candidate"))
+
+
 def resolve_collisions(names: DataFrame, rule: str = "suffix", max_rounds: int = 20) -> DataFrame:
     """Make ``candidate`` unique for distinct source names of one kind within each database, as column ``localized``.
 

@@ -301,4 +301,45 @@ def q97_vocab_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select("lang", (F.col("vocab") > 0).alias("some"), (F.abs(F.col("sketch") - F.col("vocab")) <= 0.05 * F.col("vocab")).alias("close"))
 
 
+PAGED = """
+    SELECT 'page' AS part, CAST(o_orderkey AS VARCHAR(20)) AS k, CAST(o_custkey AS BIGINT) AS n FROM (SELECT o_orderkey, o_custkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 20) p
+    UNION ALL SELECT 'lateral', c_mktsegment, t.n FROM (SELECT DISTINCT c_mktsegment FROM customer) s, LATERAL (SELECT count(*) AS n FROM customer c WHERE c.c_mktsegment = s.c_mktsegment AND c_acctbal > 0) t
+    UNION ALL SELECT 'sets', coalesce(c_mktsegment, CAST(c_nationkey AS VARCHAR(20)), 'all'), count(*) FROM customer GROUP BY GROUPING SETS ((c_mktsegment), (c_nationkey), ())
+    UNION ALL SELECT 'cross', r.r_name, count(*) FROM region r CROSS JOIN nation n WHERE r.r_regionkey < n.n_nationkey GROUP BY r.r_name
+    UNION ALL SELECT 'mode', max_by(c_name, c_acctbal), bit_xor(c_custkey) FROM customer"""
+
+
+@query(PAGED)
+def q98_paging_lateral_sets_cross(spark: SparkSession, sf_dir: str) -> DataFrame:
+    own = spark.newSession()
+    for t in ("customer", "orders", "region", "nation"):
+        T(own, sf_dir, t).createOrReplaceTempView(t)
+    return own.sql(PAGED)
+
+
+@query("SELECT CAST(item_id AS BIGINT) AS item_id, name FROM " + values([(1, n) for n in ("a", "t", "b")] + [(2, n) for n in ("x", "c d", "u", "x")], "item_id, name"))
+def q99_udtf_identifiers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from xlsql.functions.udtf import register
+
+    own = spark.newSession()
+    register(own)
+    own.createDataFrame([(1, "SELECT count(a) FROM t WHERE b = 'text' -- c"), (2, "SELECT x.`c d` FROM u AS x")], "item_id long, sql string").createOrReplaceTempView("texts")
+    return own.sql("SELECT item_id, t.name FROM texts, LATERAL explode_identifiers(sql) t")
+
+
+JOINED = "SELECT count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS s FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_mktsegment = 'BUILDING'"
+
+
+@query(" UNION ALL ".join(JOINED.replace("SELECT", f"SELECT '{h}' AS hint,", 1) for h in ("broadcast", "merge", "shuffle_hash")))
+def q100_join_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same join by each strategy. The broadcast side is a table of the size of the customers; elsewhere the planner chooses by size."""
+    o, c = T(spark, sf_dir, "orders").select("o_orderkey", "o_custkey"), T(spark, sf_dir, "customer").where("c_mktsegment = 'BUILDING'").select("c_custkey")
+    out = None
+    for h in ("broadcast", "merge", "shuffle_hash"):
+        side = c if h == "broadcast" else c.hint(h)
+        part = o.join(side, o["o_custkey"] == side["c_custkey"]).agg(F.lit(h).alias("hint"), F.count("*").alias("n"), F.sum("o_orderkey").alias("s"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 assert sm.Z and DATABASES
