@@ -134,7 +134,7 @@ def test_gapped_and_inserted_characters_are_tolerated():
     texts = plain + [p + " you " + rng.choice(["worthless", "pathetic"]) for p in plain]
     m = toxicity.train(texts, [0] * 60 + [1] * 60)
     score = lambda t: m.score(m.margin(toxicity.Pooler(m).pool([t])))[0]
-    for t in ("a worthless house", "a w.o.r.t.h.l.e.s.s house", "a worthxless house", "a pa*thetic river", "patthetic"):
+    for t in ("a worthless house", "a w.o.r.t.h.l.e.s.s house", "a worthxless house", "a pa*thetic river", "patthetic", "so p a t h e t i c a house"):
         assert score(t) >= 0.5, t
     for t in (None, "", "a garden by the river", "!!!", "music " * 40_000):
         assert score(t) < 0.5

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -28,9 +29,16 @@ STRIP = "".join(map(chr, range(33, 48))) + ":;<=>?@[\\]^_`{|}~"
 DROP = str.maketrans("", "", STRIP)
 
 
+#: Four or more single characters in a row, as in a word spelt with spaces.
+SPELT = re.compile(r"(?<!\S)\S(?:[ \t]\S){3,}(?!\S)").findall
+
+
 def words_of(text: str | None) -> set[str]:
-    """Distinct lower-case words of a whole text without the signs within and around them."""
-    return set(text.lower().translate(DROP).split()) if text else set()
+    """Distinct lower-case words of a whole text without the signs within and around them; spelt-out words are put together."""
+    if not text:
+        return set()
+    plain = text.lower().translate(DROP)
+    return set(plain.split()).union(x.replace(" ", "").replace("\t", "") for x in SPELT(plain))
 
 
 def chunks_of(words: list[str]) -> tuple[list[str], np.ndarray]:
