@@ -156,8 +156,20 @@ def test_bounds_and_invalid_predictions(spark, sf):
     assert ms.exact_match(preds, wi.core_items(spark), ["method"]).first()["em"] == pytest.approx(1 / 3)
 
 
-def test_measured_time_is_positive(spark, sf):
-    assert ms.measure(open_database(spark, sf, DATABASES["commerce"]), "SELECT count(*) FROM orders", 2) > 0
+def test_clocks(spark, sf):
+    s = open_database(spark, sf, DATABASES["commerce"])
+    assert ms.measure(s, "SELECT count(*) FROM orders", 2) > 0 and ms.measure(s, "SELECT sum(o_totalprice) FROM orders", 2, clock="cpu") > 0
+    narrow, wide = (ms.measure(s, q, 1, 0, clock="bytes_read") for q in ("SELECT sum(l_tax) FROM lineitem", "SELECT sum(l_tax), sum(l_partkey), max(l_shipdate) FROM lineitem"))
+    assert 0 < narrow <= wide
+
+
+def test_runaway_queries_are_cancelled(spark):
+    from xlsql.verify.exec_equal import run_pair
+
+    slow = "SELECT sum(a.id * b.id % 7) FROM range(0, 3000000) a JOIN range(0, 3000000) b ON a.id % 1000 = b.id % 1000"
+    r = run_pair(spark, slow, spark, slow.replace("% 7", "% 5"), seconds=2)
+    assert not r.equal and r.rung == "error"
+    assert run_pair(spark, "SELECT 1", spark, "SELECT 1", seconds=30).equal
 
 
 def test_generators(spark, sf):

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import threading
+import uuid
 from dataclasses import dataclass
 
 from pyspark.errors import PySparkException
@@ -10,6 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from xlsql.localize.sql_tree import tokenize
+from xlsql.session import materialize
 
 DIGITS = 6
 
@@ -96,9 +100,23 @@ def order_keys(sql: str) -> list[tuple[str, bool]]:
     return keys
 
 
-def ordered_groups(df: DataFrame) -> DataFrame:
-    """Rows with their places, as the query's own order gives them. Results under ORDER BY are what a reader looks at, hence small."""
-    return canonical_row(df).select(F.monotonically_increasing_id().alias("at"), "row")
+def ordered_rows(df: DataFrame, keys: list[int] | None = None) -> DataFrame:
+    """Rows as arrays led by their place in the query's own order; rows that tie on all ``keys`` share the first place of their group.
+
+    The result is written once, each row with its task and its position there; places follow from the row counts of the tasks, one
+    small table, so that no task sees the whole result. Two results with the same keys' first places and the same rows under each have
+    the same order up to ties.
+    """
+    marked = canonical_row(df).select(F.monotonically_increasing_id().alias("id"), "row")
+    held = materialize(marked, "ordered").withColumn("part", F.shiftright("id", 33)).withColumn("pos", F.col("id").bitwiseAND(F.lit((1 << 33) - 1)))
+    # one row for each task
+    sizes = held.groupBy("part").agg(F.count("*").alias("n"))
+    before = sizes.select("part", (F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n")).alias("before"))
+    placed = held.join(F.broadcast(before), "part").select((F.col("before") + F.col("pos")).alias("place"), "row")
+    if keys:
+        placed = placed.withColumn("mark", F.concat_ws("\x01", *[F.get("row", k) for k in keys]))
+        placed = placed.join(placed.groupBy("mark").agg(F.min("place").alias("group")), "mark").withColumn("place", F.col("group"))
+    return placed.select(F.concat(F.array(F.col("place").cast("string")), F.col("row")).alias("r"))
 
 
 def exec_equal(a: DataFrame, b: DataFrame, ordered: bool = False, as_set: bool = False, level: str = "auto", keys: list[int] | None = None) -> EqResult:
@@ -124,23 +142,43 @@ def exec_equal(a: DataFrame, b: DataFrame, ordered: bool = False, as_set: bool =
         return EqResult("equal" if equal else "different", "digest")
     if not ordered:
         return EqResult("equal" if exact_difference(a, b).isEmpty() else "different", "exact")
-    rows = []
-    for df in (a, b):
-        held = ordered_groups(df)
-        place = F.col("at")
-        if keys:
-            marks = F.concat_ws("\x01", *[F.get("row", k) for k in keys])
-            changed = F.coalesce((marks != F.lag(marks).over(Window.orderBy("at"))).cast("int"), F.lit(0))
-            held = held.withColumn("group", F.sum(changed).over(Window.orderBy("at").rowsBetween(Window.unboundedPreceding, 0)))
-        else:
-            held = held.withColumn("group", F.row_number().over(Window.orderBy(place)))
-        rows.append(held.select(F.concat(F.array(F.col("group").cast("string")), F.col("row")).alias("r")))
+    rows = [ordered_rows(df, keys) for df in (a, b)]
     equal = exact_difference(rows[0], rows[1]).isEmpty()
     return EqResult("equal" if equal else "different", "exact")
 
 
-def run_pair(session_a: SparkSession, sql_a: str, session_b: SparkSession, sql_b: str, mode: str = "auto", level: str = "auto") -> EqResult:
-    """Execution equality of two texts on two databases; ``mode``: auto (ordered if the first text orders), bag, set, ordered."""
+@contextlib.contextmanager
+def deadline(session: SparkSession, seconds: float | None):
+    """Cancel what runs inside after so many seconds; the cancelled action raises."""
+    if seconds is None:
+        yield
+        return
+    context, group = session.sparkContext, f"deadline-{uuid.uuid4().hex}"
+    context.setJobGroup(group, "bounded", True)
+    timer = threading.Timer(seconds, context.cancelJobGroup, [group])
+    timer.start()
+    try:
+        yield
+    finally:
+        timer.cancel()
+        context.setLocalProperty("spark.jobGroup.id", None)
+
+
+def run_pair(session_a: SparkSession, sql_a: str, session_b: SparkSession, sql_b: str, mode: str = "auto", level: str = "auto", seconds: float | None = None) -> EqResult:
+    """Execution equality of two texts on two databases; ``mode``: auto (ordered if the first text orders), bag, set, ordered.
+
+    With ``seconds`` a pair that runs longer is cancelled and counts as different, with rung error.
+    """
+    try:
+        with deadline(session_a, seconds):
+            return _run_pair(session_a, sql_a, session_b, sql_b, mode, level)
+    except Exception as e:
+        if seconds is None:
+            raise
+        return EqResult("different", "error", error=str(e).split("\n")[0][:200])
+
+
+def _run_pair(session_a: SparkSession, sql_a: str, session_b: SparkSession, sql_b: str, mode: str, level: str) -> EqResult:
     try:
         a, b = session_a.sql(sql_a), session_b.sql(sql_b)
     except PySparkException as e:
@@ -168,8 +206,10 @@ def run_pair(session_a: SparkSession, sql_a: str, session_b: SparkSession, sql_b
 def _before_last_group(df: DataFrame, keys: list[int]) -> DataFrame:
     named = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
     marks = F.concat_ws("\x01", *[F.coalesce(F.col(f"c{k}").cast("string"), F.lit("\x00")) for k in keys])
-    held = named.withColumn("m", marks).withColumn("at", F.monotonically_increasing_id())
-    return held.withColumn("last", F.max_by("m", "at").over(Window.partitionBy(F.lit(1)))).where("m <> last").drop("m", "at", "last")
+    held = materialize(named.withColumn("m", marks).withColumn("at", F.monotonically_increasing_id()), "cut")
+    # one row
+    last = held.agg(F.max_by("m", "at").alias("last"))
+    return held.crossJoin(F.broadcast(last)).where("m <> last").drop("m", "at", "last")
 
 
 class DigestCache:
