@@ -32,9 +32,10 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Add the pieces' ids, their number and the hash of the decoded text."""
-    held = pieces.with_pieces(docs, out="_pieces", fields=("n_tokens", "ids", "decoded_sha256"))
-    return held.select(*docs.columns, "_pieces.n_tokens", "_pieces.ids", "_pieces.decoded_sha256")
+    """Add the pieces' ids, their number, the hash of the decoded text and the bytes that the pieces' spans cover."""
+    added = ("n_tokens", "ids", "decoded_sha256", "covered_bytes")
+    held = pieces.with_pieces(docs, out="_pieces", fields=added)
+    return held.select(*docs.columns, *[f"_pieces.{c}" for c in added])
 
 
 STAGES = [

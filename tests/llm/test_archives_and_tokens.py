@@ -79,7 +79,10 @@ def test_pieces_equal_the_library(text):
     e = pieces.Encoder.__dict__.get("_test") or pieces.Encoder(open(pieces.default_model(), "rb").read())
     pieces.Encoder._test = e
     assert e.encode(text) == e.library.encode(text)
-    assert e.encode_joined(text) == (e.library.encode(text), ",".join(map(str, e.library.encode(text))))
+    normal, source = e.normalize(text)
+    if text:
+        length, same = e.alignment(text)
+        assert length == len(normal) and same.tolist() == source
     spans = e.spans(text)
     raw = text.encode()
     assert [s[0] for s in spans] == e.library.encode(text)
@@ -114,19 +117,22 @@ def test_character_map_takes_the_longest_prefix():
     e = pieces.Encoder(open(pieces.default_model(), "rb").read())
     e.rules = rules
     assert e.normalize("cabé") == ("▁cyzé".encode(), [0, 0, 0, 0, 1, 1, 3, 3, 5])
+    # pieces over rewritten text point at what was rewritten
+    ids = [e.library.piece_to_id(x) for x in ("▁c", "y", "z", "é")]
+    assert list(zip(*(x.tolist() for x in e.span_arrays("cabé", ids)))) == [(0, 1), (1, 3), (1, 3), (3, 5)]
     e.squeeze = True
     assert e.normalize("  c  a ") == ("▁c▁x".encode(), [2, 2, 2, 2, 3, 3, 3, 5, 6])
 
 
 def test_with_pieces_handles_nulls_and_clashes(spark):
     df = spark.createDataFrame([(1, None, "k"), (2, "", "k"), (3, "héllo  wörld " * 4000, "k"), (3, "a", "k")], "doc_id long, text string, pieces string")
-    rows = pieces.with_pieces(df, fields=("ids", "n_tokens", "decoded", "ids_sha256", "decoded_sha256", "spans")).collect()
+    rows = pieces.with_pieces(df, fields=("ids", "n_tokens", "decoded", "ids_sha256", "decoded_sha256", "spans", "covered_bytes")).collect()
     lib = sentencepiece.SentencePieceProcessor(model_file=pieces.default_model())
     for r in rows:
         p, ids = r["pieces"], lib.encode(r["text"] or "")
         assert (p["ids"], p["n_tokens"], p["decoded"]) == (ids, len(ids), lib.decode(ids) if ids else "")
         assert p["ids_sha256"] == hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest()
-        assert len(p["spans"]) == len(ids)
+        assert len(p["spans"]) == len(ids) and p["covered_bytes"] == len((r["text"] or "").encode())
 
 
 @pytest.mark.parametrize("block", [1, 2, 3, 7, 1000])

@@ -17,8 +17,6 @@ from sentencepiece import sentencepiece_model_pb2 as model_pb2
 from xlsql.session import bound_batches
 
 SPACE = "▁"
-#: Words whose pieces a worker remembers; the table is emptied when full.
-REMEMBERED = 150_000
 UNUSED, USER_DEFINED, BYTE = 5, 4, 6
 
 
@@ -76,13 +74,11 @@ class Encoder:
         pieces = proto.pieces
         own = [p.piece for p in pieces if p.type == USER_DEFINED]
         self.own = re.compile("|".join(map(re.escape, sorted(own, key=len, reverse=True))).encode()) if own else None
-        #: whether words can be encoded one by one: no piece joins a space mark to what stands before it
-        inner = any(SPACE in p.piece.lstrip(SPACE) for p in pieces)
-        self.by_word = not inner and not self.suffix and self.escape and self.prefix and not self.squeeze and not own and not len(self.rules.units) and proto.trainer_spec.model_type == 2
         self.is_byte = np.array([p.type == BYTE for p in pieces])
         self.unknown = self.library.unk_id()
         self.text_of = [p.piece for p in pieces]
-        self.memory: dict[str, tuple[int, ...]] = {}
+        self.width = np.array([1 if p.type == BYTE else len(p.piece.encode()) for p in pieces])
+        self.decimal = [str(i) for i in range(len(pieces))]
 
     def normalize(self, text: str) -> tuple[bytes, list[int]]:
         """Normalised bytes, and for each of them and their end the offset in the original bytes it comes from."""
@@ -133,65 +129,56 @@ class Encoder:
 
     def encode(self, text: str | None) -> list[int]:
         """Ids, exactly as the library gives them; null and empty texts have none."""
-        if not text:
-            return []
-        if not self.by_word:
-            return self.library.encode(text)
-        memory = self.memory
-        return [i for w in self._words(text) for i in memory[w][0]]
-
-    def encode_joined(self, text: str | None) -> tuple[list[int], str]:
-        """Ids, and their decimal forms joined by commas."""
-        if not text or not self.by_word:
-            ids = self.encode(text)
-            return ids, ",".join(map(str, ids))
-        held = [self.memory[w] for w in self._words(text)]
-        return [i for x in held for i in x[0]], ",".join([x[1] for x in held])
-
-    def _words(self, text: str) -> list[str]:
-        """The normalised text cut before each run of space marks; merges never cross such a cut, for no piece does.
-
-        Pieces of all words are in memory afterwards.
-        """
-        words, memory = WORDS((SPACE + text).replace(" ", SPACE)), self.memory
-        missing = [w for w in set(words) if w not in memory]
-        if missing:
-            if len(memory) + len(missing) > REMEMBERED:
-                memory.clear()
-                missing = list(set(words))
-            # the library puts a space mark before what it encodes, which stands for the first of each word
-            for w, ids in zip(missing, self.library.encode([w[1:] for w in missing], num_threads=1)):
-                ids = ids if len(w) > 1 else [self.library.piece_to_id(SPACE)]
-                memory[w] = tuple(ids), ",".join(map(str, ids))
-        return words
+        return self.library.encode(text, num_threads=1) if text else []
 
-    def spans(self, text: str | None) -> list[tuple[int, str, int, int]]:
-        """(id, piece, begin, end) of each piece; begin and end are offsets in the original UTF-8 bytes.
+    def alignment(self, text: str) -> tuple[int, np.ndarray]:
+        """Length of the normalised bytes, and the source of each and of their end, as ``normalize`` records it.
+
+        Without rules the only changes are the mark in front and the mark for each space, so that sources come from one repetition.
+        """
+        if len(self.rules.units) or self.own or self.squeeze or self.suffix:
+            normal, source = self.normalize(text)
+            return len(normal), np.array(source)
+        raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), "u1")
+        place = np.arange(len(raw))
+        start = np.maximum.accumulate(np.where(raw & 0xC0 != 0x80, place, 0))
+        wide = np.repeat(start, np.where(raw == 32, len(self.mark), 1))
+        source = np.concatenate([np.zeros(len(self.mark) * self.prefix, int), wide, [len(raw)]])
+        return len(source) - 1, source
+
+    def span_arrays(self, text: str, ids: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        """Begin and end of each piece in the original UTF-8 bytes.
 
         The pieces are laid over the normalised bytes in turn and projected through the recorded sources. A byte piece covers
-        one byte of the normalised text; bytes that come from one source share its span.
+        one byte of the normalised text; pieces within one source character all have that character's span.
         """
+        length, source = self.alignment(text)
+        at = np.array(ids)
+        width = self.width[at]
+        if (at == self.unknown).any():
+            width = width.copy()
+            normal, done = self.normalize(text)[0], 0
+            for k, i in enumerate(ids):
+                if i == self.unknown:
+                    width[k] = self._unknown_width(normal, done, ids, k)
+                done += int(width[k])
+        ends = np.cumsum(width)
+        if len(ends) and ends[-1] != length:
+            raise ValueError("pieces do not cover the normalised text")
+        begin, end = source[ends - width], source[ends]
+        within = (end <= begin) & (ends < length)
+        if within.any():
+            after = np.searchsorted(source, begin[within], "right")
+            end[within] = source[np.minimum(after, length)]
+        return begin, end
+
+    def spans(self, text: str | None) -> list[tuple[int, str, int, int]]:
+        """(id, piece, begin, end) of each piece."""
         ids = self.encode(text)
         if not ids:
             return []
-        normal, source = self.normalize(text)
-        at, out, place = 0, [], {}
-        for k, i in enumerate(ids):
-            if self.is_byte[i]:
-                width = 1
-            elif i == self.unknown:
-                # what the library could not split: up to where the next known piece begins
-                width = self._unknown_width(normal, at, ids, k)
-            else:
-                width = len(self.text_of[i].encode())
-            begin, end = source[at], source[at + width]
-            if end <= begin and at + width < len(normal):
-                end = place.setdefault(begin, next((s for s in source[at + width :] if s > begin), source[-1]))
-            out.append((i, self.text_of[i], begin, end))
-            at += width
-        if at != len(normal):
-            raise ValueError("pieces do not cover the normalised text")
-        return out
+        begin, end = self.span_arrays(text, ids)
+        return [(i, self.text_of[i], int(a), int(b)) for i, a, b in zip(ids, begin, end)]
 
     def _unknown_width(self, normal: bytes, at: int, ids: list[int], k: int) -> int:
         if k + 1 == len(ids):
@@ -206,37 +193,39 @@ class Encoder:
         return self.library.decode(ids)
 
 
-WORDS = re.compile(f"{SPACE}+[^{SPACE}]*").findall
-
-
 def with_pieces(docs: DataFrame, text: str = "text", out: str = "pieces", model: str | bytes | None = None, fields: tuple[str, ...] = ("ids", "decoded")) -> DataFrame:
     """Add a struct column ``out`` with the wanted ``fields``.
 
     ids (array<int>), n_tokens, ids_sha256 (of the decimal ids joined by commas), decoded (the library's decode of the ids),
-    decoded_sha256, spans (array of struct id, piece, begin, end: offsets in the original UTF-8 bytes).
+    decoded_sha256, spans (array of struct id, piece, begin, end: offsets in the original UTF-8 bytes), covered_bytes (bytes of the original
+    text that the spans cover together, all of them unless normalisation drops some).
     Null and empty texts have no ids and decode to the empty text; texts of any length are encoded whole; rows and other columns
     stay as they are, but a column named as ``out`` is replaced.
     """
     bound_batches(docs.sparkSession)
     blob = model if isinstance(model, bytes) else open(model or default_model(), "rb").read()
-    kinds = {"ids": "array<int>", "n_tokens": "long", "ids_sha256": "string", "decoded": "string", "decoded_sha256": "string", "spans": "array<struct<id:int,piece:string,begin:int,end:int>>"}
+    kinds = {"covered_bytes": "long", "ids": "array<int>", "n_tokens": "long", "ids_sha256": "string", "decoded": "string", "decoded_sha256": "string", "spans": "array<struct<id:int,piece:string,begin:int,end:int>>"}
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         encoder = Encoder(blob)
         for batch in batches:
             rows = []
             for t in batch:
-                (ids, joined), row = encoder.encode_joined(t), {}
+                ids, row = encoder.encode(t), {}
                 if "ids" in fields:
                     row["ids"] = ids
                 if "n_tokens" in fields:
                     row["n_tokens"] = len(ids)
                 if "ids_sha256" in fields:
-                    row["ids_sha256"] = hashlib.sha256(joined.encode()).hexdigest()
+                    row["ids_sha256"] = hashlib.sha256(",".join([encoder.decimal[i] for i in ids]).encode()).hexdigest()
                 if "decoded" in fields or "decoded_sha256" in fields:
                     decoded = encoder.decode(ids) if ids else ""
                     row["decoded"] = decoded
                     row["decoded_sha256"] = hashlib.sha256(decoded.encode()).hexdigest()
+                if "covered_bytes" in fields:
+                    begin, end = encoder.span_arrays(t, ids) if ids else (np.zeros(1, int), np.zeros(1, int))
+                    seen = np.maximum.accumulate(np.concatenate([[0], end[:-1]]))
+                    row["covered_bytes"] = int(np.maximum(0, end - np.maximum(begin, seen)).sum())
                 if "spans" in fields:
                     row["spans"] = [dict(zip(("id", "piece", "begin", "end"), s)) for s in encoder.spans(t)]
                 rows.append([row[f] for f in fields])

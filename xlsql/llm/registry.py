@@ -29,8 +29,8 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = pieces.with_pieces(load_table(spark, sf_dir, "documents").select("doc_id", "text"), fields=("n_tokens", "ids_sha256", "decoded_sha256"))
-    return docs.select("doc_id", "pieces.n_tokens", "pieces.ids_sha256", "pieces.decoded_sha256")
+    docs = pieces.with_pieces(load_table(spark, sf_dir, "documents").select("doc_id", "text"), fields=("n_tokens", "ids_sha256", "decoded_sha256", "covered_bytes"))
+    return docs.select("doc_id", "pieces.n_tokens", "pieces.ids_sha256", "pieces.decoded_sha256", "pieces.covered_bytes")
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
