@@ -232,7 +232,9 @@ for _key, _item in (
     _run = _localized(_item)
     _run.__name__ = _key
     _sql = wi.BY_ID[_item].sql.replace("embedding[0]", "embedding[1]")  # arrays begin at 1 there
-    query(f"SELECT * FROM ({_sql}) t({', '.join(f'c{k}' for k in range(WIDTH[_item]))})")(_run)
+    # ranks are of the wider type there
+    _cols = ", ".join("CAST(c2 AS INTEGER) AS c2" if (_item, k) == (10, 2) else f"c{k}" for k in range(WIDTH[_item]))
+    query(f"SELECT {_cols} FROM ({_sql}) t({', '.join(f'c{k}' for k in range(WIDTH[_item]))})")(_run)
 
 PAIRS = [(f"gold-{i.item_id}", i.sql, i.sql) for i in wi.ITEMS if i.db_id == "commerce" and i.item_id != 12] + [(f"{kind}-{item}-{k}", wi.BY_ID[item].sql, sql) for k, (kind, item, sql) in enumerate(wi.MUTANTS) if kind != "invalid"]
 
