@@ -51,8 +51,11 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def bound_batches(spark: SparkSession, rows: int = 2000, size: str = "16m") -> None:
-    """Bound Arrow batches by rows and bytes, so very long texts cannot fill a Python worker (runtime settings)."""
+def bound_batches(spark: SparkSession, rows: int = 1000, size: str = "2m") -> None:
+    """Bound Arrow batches by rows and bytes, so very long texts cannot fill a Python worker (runtime settings).
+
+    A batch's words or tokens take many times its bytes as Python objects, hence the small size.
+    """
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
 
