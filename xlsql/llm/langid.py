@@ -19,7 +19,8 @@ DISCOUNT = 0.75
 #: Bounds of the labelled sample that the models are fitted on: documents of each language, and characters of each document.
 SAMPLE_DOCS, SAMPLE_CHARS = 200, 8_000
 MOST_LANGUAGES = 256
-REMEMBERED = 150_000
+#: Words whose scores a worker remembers, and how many are scored together.
+REMEMBERED, WORDS_AT_ONCE = 150_000, 16_384
 #: Characters after which more text no longer raises the confidence.
 FULL_CHARS = 60
 UNKNOWN = "und"
@@ -214,9 +215,10 @@ def with_language(docs: DataFrame, models: Models, text: str = "text", out: str
             if len(memory) + len(new) > REMEMBERED:
                 memory.clear()
                 sums, sizes, new = sums[:0], sizes[:0], list({w for t in texts for w in t})
-            if new and models.languages:
-                s, n = models.word_scores(new)
-                memory.update(zip(new, range(len(sums), len(sums) + len(new))))
+            for k in range(0, len(new) if models.languages else 0, WORDS_AT_ONCE):
+                part = new[k : k + WORDS_AT_ONCE]
+                s, n = models.word_scores(part)
+                memory.update(zip(part, range(len(sums), len(sums) + len(part))))
                 sums, sizes = np.concatenate([sums, s]), np.concatenate([sizes, n])
             rows = []
             for words in texts:
