@@ -18,7 +18,7 @@ from xlsql.session import bound_batches
 LENGTH, SPAN, DECAY = 3, 5, 0.6
 LANDMARKS = 96
 #: Documents of each class that the machine is fitted on, the first by a hash of their ids; shorter words than this never matter.
-SAMPLE_DOCS, LEAST_WORD = 2000, 4
+SAMPLE_DOCS, LEAST_WORD = 1500, 4
 #: A word counts for a landmark by how far its kernel value, as a share of the landmark's own, is above this.
 FLOOR = 0.35
 LONGEST = 24
