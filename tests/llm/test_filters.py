@@ -215,6 +215,24 @@ def test_leaks_match_brute_force(spark):
     assert kept.columns == d.columns and {r["doc_id"] for r in kept.collect()} == {x[0] for x in docs} - {i for i, _ in want} | {500, 501}
 
 
+def test_edited_copies_match_brute_force(spark):
+    rng = random.Random(21)
+    text = lambda n: [f"v{int(400 * rng.random() ** 2)}" for _ in range(n)]
+    items = [(k, text(rng.randrange(14, 60))) for k in range(20)]
+    docs = []
+    for k, x in items:
+        for edit in (3, 4, 5):  # every third, fourth or fifth word is replaced; or words are put between all
+            docs.append([w if i % edit else f"new{i}" for i, w in enumerate(x, 1)])
+        docs.append([w for x in zip(x, text(len(x))) for w in x][:-1])
+    docs = [(i, " ".join(text(rng.randrange(0, 200)) + x + text(rng.randrange(0, 200)))) for i, x in enumerate(docs)]
+    b = spark.createDataFrame([(k, " ".join(w)) for k, w in items], "item_id long, text string")
+    d = spark.createDataFrame(docs, "doc_id long, text string").repartition(2)
+    got = {(r["doc_id"], r["item_id"]): r["similarity"] for r in decontaminate.leaked_items(d, b).collect()}
+    full = {(i, k): plain_alignment(x, t.split()) / (decontaminate.MATCH * len(x)) for i, t in docs for k, x in items}
+    want = {k: s for k, s in full.items() if s >= decontaminate.SIMILARITY}
+    assert got == want and all((4 * k + e, k) in got for k in range(20) for e in (1, 2, 3))
+
+
 def test_large_and_missing_ids_survive(spark):
     big = (1 << 60) + 1
     docs = spark.createDataFrame([(big, "a b c d e"), (None, "a b c d e")], "doc_id long, text string").coalesce(1)

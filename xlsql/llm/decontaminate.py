@@ -1,9 +1,10 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment of words."""
+"""Benchmark decontamination: rare seeds counted in stretches, then Smith-Waterman alignment of words."""
 
 from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterator
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
@@ -12,10 +13,11 @@ from pyspark.sql import functions as F
 
 from xlsql.session import bound_batches
 
-#: Words of a seed. Seeds only nominate; the alignment decides.
-SEED = 3
-#: Of each item's seeds, those up to this quantile of their document frequency count as rare (ties included).
-RARE = 0.6
+#: Seeds are single words, for an edited copy at ``SIMILARITY`` may keep no two of an item's words side by side. Of each item the commonest
+#: words are no seeds, up to this share of the words that a leak must match; what is left of that number must then be hit (so no leak is lost).
+SPARED = 0.7
+#: Blocks of text that hold any alignment of an item's length class, and counters of hits held at once.
+BLOCKS, COUNTERS = 5, 1 << 22
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the item's own score that a leaked copy reaches.
 SIMILARITY = 0.5
@@ -44,74 +46,101 @@ def smith_waterman(a: np.ndarray, b: np.ndarray) -> int:
     return best
 
 
+class Plan:
+    """Seeds of the items of one length class: where alignments of at most ``span`` words must have ``need`` hits of an item's seeds."""
+
+    def __init__(self, index: Index, members: list[int], goals: list[int], span: int):
+        self.members, self.goals = members, goals
+        self.block = -(-span // (BLOCKS - 1))
+        pairs, need = [], []
+        for k, (item, goal) in enumerate(zip((index.coded[m] for m in members), goals)):
+            matches = -(-goal // MATCH)
+            words, times = np.unique(item, return_counts=True)
+            order = np.argsort(-index.frequency[words], kind="stable")
+            spared = np.cumsum(times[order]) <= matches * SPARED
+            need.append(matches - int(times[order][spared].sum()))
+            pairs.append((words[order][~spared], k))
+        at = np.concatenate([w for w, _ in pairs])
+        order = np.argsort(at, kind="stable")
+        self.owner = np.concatenate([np.full(len(w), k) for w, k in pairs])[order]
+        self.start = np.searchsorted(at[order], np.arange(len(index.number) + 1))
+        self.need = np.array(need)
+
+    def stretches(self, codes: np.ndarray) -> Iterator[tuple[int, int, int]]:
+        """(member, first word, end word) of the part of the text with enough hits, for each member that has one."""
+        at = np.flatnonzero(codes >= 0)
+        size = self.start[codes[at] + 1] - self.start[codes[at]]
+        at, size = at[size > 0], size[size > 0]
+        if size.sum() < self.need.min():
+            return
+        blocks, n = -(-len(codes) // self.block), len(self.members)
+        low, high = np.full(n, blocks), np.full(n, -1)
+        step = max(BLOCKS, COUNTERS // n - BLOCKS)
+        for begin in range(0, blocks, step):
+            i, j = np.searchsorted(at, [begin * self.block, (begin + step + BLOCKS - 1) * self.block])
+            some, times = at[i:j], size[i:j]
+            if not len(some):
+                continue
+            first = np.cumsum(times) - times
+            owner = self.owner[np.arange(times.sum()) + np.repeat(self.start[codes[some]] - first, times)]
+            held = min(step + BLOCKS - 1, blocks - begin)
+            hits = np.bincount(np.repeat(some // self.block - begin, times) * n + owner, minlength=held * n).reshape(held, n)
+            total = np.vstack([np.zeros((1, n), hits.dtype), np.cumsum(hits, 0)])
+            total = total[BLOCKS:] - total[:-BLOCKS] if held >= BLOCKS else total[-1:]
+            b, k = np.nonzero(total >= self.need)
+            np.minimum.at(low, k, b + begin)
+            np.maximum.at(high, k, b + begin)
+        for k in np.flatnonzero(high >= 0):
+            yield int(k), int(low[k]) * self.block, min(len(codes), (int(high[k]) + BLOCKS) * self.block)
+
+
 class Index:
-    """Seeds of a slice of the benchmark: word numbers, and for each seed the items and places that hold it."""
+    """A slice of the benchmark: items as word numbers, and the documents of the corpus that hold each word (which only speed depends on)."""
 
     def __init__(self, items: list[tuple[int, list[str]]]):
         self.items = [(i, w) for i, w in items if w]
         self.number: dict[str, int] = {}
         self.coded = [np.array([self.number.setdefault(x, len(self.number)) for x in w], "i8") for _, w in self.items]
-        self.seeds: dict[tuple[str, ...], list[tuple[int, int]]] = {}
-        for k, (_, w) in enumerate(self.items):
-            n = min(SEED, len(w))
-            for j in range(len(w) - n + 1):
-                self.seeds.setdefault(tuple(w[j : j + n]), []).append((k, j))
-        self.widths = sorted({len(s) for s in self.seeds})
-
-    def hits(self, words: list[str]) -> dict[tuple[str, ...], list[int]]:
-        """Places of the text at which a seed stands."""
-        out: dict[tuple[str, ...], list[int]] = {}
-        for n in self.widths:
-            grams = list(zip(*(words[i:] for i in range(n))))
-            for s in self.seeds.keys() & set(grams):
-                out[s] = []
-            if out:
-                for i, g in enumerate(grams):
-                    if g in out:
-                        out[g].append(i)
-        return out
-
-    def keep_rare(self, frequency: dict[tuple[str, ...], int], share: float) -> None:
-        """Leave of each item the seeds whose frequency is at most that of the item's ``share`` quantile."""
-        own: dict[int, list[int]] = {}
-        for s, places in self.seeds.items():
-            for k, _ in places:
-                own.setdefault(k, []).append(frequency.get(s, 0))
-        limit = {k: float(np.quantile(v, share)) for k, v in own.items()}
-        kept = {s: [p for p in places if frequency.get(s, 0) <= limit[p[0]]] for s, places in self.seeds.items()}
-        self.seeds = {s: p for s, p in kept.items() if p}
-        self.widths = sorted({len(s) for s in self.seeds})
+        self.frequency = np.zeros(len(self.number), "i8")
+        self.plans: dict[float, list[Plan]] = {}
+
+    def codes(self, words: list[str]) -> np.ndarray:
+        return np.fromiter(map(self.number.get, words, repeat(-1)), "i8", len(words))
+
+    def plan(self, similarity: float) -> list[Plan]:
+        """Items by length class. An alignment of m matches scores at most 2 m less one for each other word it spans, and m is at most the item's length."""
+        if similarity not in self.plans:
+            classes: dict[int, list[tuple[int, int, int]]] = {}
+            for k, item in enumerate(self.coded):
+                goal = max(1, int(np.ceil(similarity * MATCH * len(item) - 1e-9)))
+                if goal <= MATCH * len(item):
+                    classes.setdefault(len(item).bit_length(), []).append((k, goal, (MATCH + 1) * len(item) - goal))
+            self.plans[similarity] = [Plan(self, [k for k, _, _ in c], [g for _, g, _ in c], max(s for _, _, s in c)) for _, c in sorted(classes.items())]
+        return self.plans[similarity]
 
     def leaks(self, words: list[str], similarity: float) -> list[tuple[int, float, int, int]]:
         """(item, similarity, first word, end word) of every item that a stretch of the text aligns with well enough."""
-        found = self.hits(words)
-        if not found:
-            return []
-        starts: dict[int, list[int]] = {}
-        for s, places in found.items():
-            for k, j in self.seeds[s]:
-                starts.setdefault(k, []).extend(i - j for i in places)
-        out = []
-        for k, where in starts.items():
-            item = self.coded[k]
-            slack, best = max(4, len(item) // 2), (0.0, 0, 0)
-            where.sort()
-            i = 0
-            while i < len(where) and best[0] < 1:
-                # hits whose windows touch share one window
-                low = high = where[i]
-                while i < len(where) and where[i] - high <= slack and where[i] - low <= 2 * len(item):
-                    high, i = where[i], i + 1
-                begin, end = max(0, low - slack), min(len(words), high + len(item) + slack)
-                window = np.array([self.number.get(w, -1) for w in words[begin:end]], "i8")
-                # no alignment can score more than what the window has of the item's words
-                if MATCH * np.isin(window, item).sum() < similarity * MATCH * len(item):
-                    continue
-                score = smith_waterman(item, window) / (MATCH * len(item))
-                if score > best[0]:
-                    best = (score, begin, end)
-            if best[0] >= similarity:
-                out.append((self.items[k][0], *best))
+        out, codes, known = [], self.codes(words), None
+        for plan in self.plan(similarity):
+            for member, first, end in plan.stretches(codes):
+                k, goal = plan.members[member], plan.goals[member]
+                item, best = self.coded[k], (0, 0, 0)
+                known = np.zeros(len(self.number) + 1, bool) if known is None else known
+                known[item] = True
+                window = codes[first:end]
+                # words that the item lacks cost one each: a word is in no good alignment if every sum of a stretch around it is too low
+                total = np.concatenate([[0], np.cumsum(np.where(known[window], MATCH, MISMATCH))])
+                known[item] = False
+                reach = np.maximum.accumulate(total[:0:-1])[::-1] - np.minimum.accumulate(total[:-1])
+                edges = np.flatnonzero(np.diff(np.concatenate([[False], reach >= goal, [False]]).astype("i1")))
+                for i, j in zip(edges[::2], edges[1::2]):
+                    if best[0] == MATCH * len(item):
+                        break
+                    # no alignment can score more than what the stretch has of the item's words
+                    if MATCH * np.isin(item, window[i:j]).sum() >= goal and (score := smith_waterman(item, window[i:j])) > best[0]:
+                        best = (score, first + int(i), first + int(j))
+                if best[0] >= goal:
+                    out.append((self.items[k][0], best[0] / (MATCH * len(item)), *best[1:]))
         return sorted(out)
 
 
@@ -130,39 +159,36 @@ def _slices(benchmark: DataFrame, item_id: str, text: str) -> Iterator[list[tupl
 
 
 def _count(index: Index) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
-    """Documents of this task in which each seed stands, summed before they leave it."""
-    number = {s: i for i, s in enumerate(index.seeds)}
+    """Documents of this task in which each word of the benchmark stands, summed before they leave it."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total = np.zeros(len(number), "i8")
+        total = np.zeros(len(index.number), "i8")
         for batch in batches:
             for t in batch["text"]:
-                words = words_of(t)
-                for n in index.widths:
-                    for s in number.keys() & set(zip(*(words[i:] for i in range(n)))):
-                        total[number[s]] += 1
+                codes = np.unique(index.codes(words_of(t)))
+                total[codes[codes >= 0]] += 1
         at = np.flatnonzero(total)
-        yield pd.DataFrame({"seed": at, "n": total[at]})
+        yield pd.DataFrame({"word": at, "n": total[at]})
 
     return run
 
 
-def build_indexes(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", rare: float = RARE) -> Iterator[Index]:
-    """Seed indexes of the benchmark, slice by slice, rarity taken from the frequencies in all of ``docs``."""
+def build_indexes(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text") -> Iterator[Index]:
+    """Indexes of the benchmark, slice by slice, rarity of words taken from the frequencies in all of ``docs``."""
     bound_batches(docs.sparkSession)
     for items in _slices(benchmark, item_id, item_text):
         index = Index(items)
-        counts = docs.select(F.col(text).alias("text")).mapInPandas(_count(index), "seed long, n long").groupBy("seed").agg(F.sum("n").alias("n"))
-        names = list(index.seeds)
-        # as many rows as the slice has seeds, which SLICE_BYTES bounds
-        index.keep_rare({names[r["seed"]]: r["n"] for r in counts.collect()}, rare)
+        counts = docs.select(F.col(text).alias("text")).mapInPandas(_count(index), "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+        # as many rows as the slice has words, which SLICE_BYTES bounds
+        for r in counts.collect():
+            index.frequency[r["word"]] = r["n"]
         yield index
 
 
 def with_leaks(docs: DataFrame, index: Index, text: str = "text", out: str = "leaks", similarity: float = SIMILARITY) -> DataFrame:
     """Add ``out``: array of struct item_id, similarity, first_word, end_word of the items that the whole text contains a copy of.
 
-    Similarity is the best local alignment's score as a share of the item's own. Null, empty and wordless texts have an empty array;
+    Similarity is the best local alignment's score as a share of the item's own; every item that reaches ``similarity`` is found. Null, empty and wordless texts have an empty array;
     items without a word match nothing; items of equal text are all named. Other columns stay.
     """
     bound_batches(docs.sparkSession)
@@ -174,12 +200,12 @@ def with_leaks(docs: DataFrame, index: Index, text: str = "text", out: str = "le
     return docs.withColumn(out, F.pandas_udf(run, "array<struct<item_id:long,similarity:double,first_word:int,end_word:int>>")(F.col(text)))
 
 
-def leaked_items(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, rare: float = RARE) -> DataFrame:
+def leaked_items(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, item_id, similarity of every document and item that align well enough; one row for each pair and row of ``docs``."""
     kind, found = docs.schema[doc_id].dataType, None
     # as text, for a batch with a null would turn whole numbers into doubles
     rows = docs.select(F.col(doc_id).cast("string").alias("doc_id"), F.col(text).alias("text"))
-    for index in build_indexes(docs, benchmark, text, rare=rare):
+    for index in build_indexes(docs, benchmark, text):
         part = rows.mapInPandas(_pairs(index, similarity), "doc_id string, item_id long, similarity double").withColumn("doc_id", F.col("doc_id").cast(kind))
         found = part if found is None else found.unionByName(part)
     if found is None:
@@ -198,9 +224,9 @@ def _pairs(index: Index, similarity: float) -> Callable[[Iterator[pd.DataFrame]]
     return run
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", similarity: float = SIMILARITY, rare: float = RARE) -> DataFrame:
+def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """Rows of ``docs`` that contain no copy of a benchmark item; columns stay."""
     out = docs
-    for index in build_indexes(docs, benchmark, text, rare=rare):
+    for index in build_indexes(docs, benchmark, text):
         out = with_leaks(out, index, text, "_leaks", similarity).where(F.size("_leaks") == 0).drop("_leaks")
     return out
