@@ -276,6 +276,19 @@ def test_licence_matches_match_brute_force(spark):
     assert licences.licence_matches(df.where("false")).count() == 0
 
 
+def test_licences_within_longer_texts(spark):
+    code = "\n".join(f"value_{i} = compute(row_{i}, {i})" for i in range(60))
+    wrap = lambda t: "\n".join("# " + " ".join(w) for w in (t.split()[i : i + 9] for i in range(0, len(t.split()), 9)))
+    names = ["MIT", "ISC", "BSD-2-Clause", "Apache-2.0-notice", "GPL-3.0-notice", "MPL-2.0-notice"]
+    texts = [code + "\n" + wrap(licences.TEMPLATES[k]) + "\n" + code for k in names]
+    texts += ["A long tale of a river. " * 20 + "Licensed under the MIT License. " + "And so it went on. " * 20, wrap(licences.TEMPLATES["MIT"]) + "\n" + code + "\n" + wrap(licences.TEMPLATES["MIT"]), "Released under the MIT License.\n" + code, code]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    got = {(r["doc_id"], r["licence"]): (r["n_matches"], r["best_score"]) for r in licences.licence_report(df).collect()}
+    assert all(got[i, k] == (1, 1.0) for i, k in enumerate(names))
+    assert got[6, "MIT-notice"][0] == 1 and got[7, "MIT"] == (2, 1.0) and got[8, "MIT-notice"] == (1, 1.0)
+    assert set(got) - {(3, "Apache-2.0-line")} == {*enumerate(names), (6, "MIT-notice"), (7, "MIT"), (8, "MIT-notice")}
+
+
 # ---------------------------------------------------------------------------------------------------------------- secrets
 
 ASSIGN = re.compile(r"""(?i:(password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)

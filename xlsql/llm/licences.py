@@ -75,9 +75,46 @@ def licence_matches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     unit meets only templates within its own. Texts and units without an anchor word (``anchor_words``) cannot match and end earlier. Ties go to the first name. Lines of the same text in one document and repeated rows each have their row.
     Null and empty texts match nothing; other columns are ignored.
     """
+    return _matches(docs, doc_id, text, templates, dice, False).select("doc_id", "part", "licence", "score")
+
+
+def licence_passages(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", templates: DataFrame | None = None, dice: float = DICE) -> DataFrame:
+    """doc_id, part, licence, score: what ``licence_matches`` finds, and stretches of words over several lines or within one (part -2).
+
+    A stretch within a matched unit, or one that holds a matched line of its own licence, is not told again. Templates of one word match units only.
+    """
+    return _matches(docs, doc_id, text, templates, dice, True).select("doc_id", "part", "licence", "score")
+
+
+def _windows(hits: Column, b: Column, total: Column, dice: float) -> Column:
+    """Best windows of ``dice`` or more that do not overlap: struct of the score's negative, first and last place, first and last line.
+
+    ``hits`` are the places of a template's bigrams in order. A best window begins and ends with one of them, for a foreign bigram at an end
+    only lowers the coefficient, and spans at most (2 - dice) / dice as many places as the template. Foreign bigrams count once for each place.
+    """
+    least = F.ceil(b * (dice / (2 - dice)) - F.lit(1e-9)).cast("int")
+    reach = F.floor(total * ((2 - dice) / dice) + F.lit(1e-9)).cast("int")
+    many = F.size(hits)
+
+    def window(i: Column, j: Column) -> Column:
+        shared = F.size(F.array_distinct(F.transform(F.slice(hits, i + 1, j - i + 1), lambda h: h["gram"])))
+        score = 2.0 * shared / (shared + (hits[j]["pos"] - hits[i]["pos"]) - (j - i) + b)
+        return F.struct((-score).alias("worse"), hits[i]["pos"].alias("begin"), hits[j]["pos"].alias("end"), hits[i]["line"].alias("first"), hits[j]["after"].alias("last"))
+
+    def from_place(i: Column) -> Column:
+        ends = F.filter(F.sequence(i + least - 1, F.least(many, i + reach) - 1), lambda j: hits[j]["pos"] - hits[i]["pos"] < reach)
+        return F.filter(F.transform(ends, lambda j: window(i, j)), lambda w: -w["worse"] >= dice)
+
+    found = F.array_sort(F.flatten(F.transform(F.sequence(F.lit(0), many - least), from_place)))
+    apart = lambda taken, w: ~F.exists(taken, lambda x: (x["begin"] <= w["end"]) & (w["begin"] <= x["end"]))
+    return F.aggregate(found, F.slice(found, 1, 0), lambda taken, w: F.when(apart(taken, w), F.concat(taken, F.array(w))).otherwise(taken))
+
+
+def _matches(docs: DataFrame, doc_id: str, text: str, templates: DataFrame | None, dice: float, passages: bool) -> DataFrame:
+    """doc_id, part, licence, score of whole texts and lines, with ``passages`` of stretches too."""
     spark = docs.sparkSession
-    t = (templates if templates is not None else default_templates(spark)).select("licence", bigrams(words(F.col("text"))).alias("grams")).where(F.size("grams") > 0)
-    t = t.select("licence", "grams", F.size("grams").alias("b"))
+    t = (templates if templates is not None else default_templates(spark)).select("licence", words(F.col("text")).alias("w")).withColumn("grams", bigrams(F.col("w"))).where(F.size("grams") > 0)
+    t = t.select("licence", "grams", F.size("grams").alias("b"), (F.size("w") - 1).alias("total"))
     low, high, total = t.agg(F.min("b"), F.max("b"), F.sum("b")).first()
     if not total:
         return docs.select(F.col(doc_id).alias("doc_id"), F.lit(0).alias("part"), F.lit("").alias("licence"), F.lit(0.0).alias("score")).where("false")
@@ -91,18 +128,45 @@ def licence_matches(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     unit = lambda i, c: F.struct(i.alias("part"), F.trim(c).alias("unit"))
     lines = F.when(F.col("norm").contains("\n"), F.transform(F.split("norm", "\n"), lambda x, i: unit(i, x))).otherwise(F.array().cast("array<struct<part:int,unit:string>>"))
     whole = F.array(unit(F.lit(-1), F.regexp_replace("norm", "[ \n]+", " ")))
-    held = held.select("row", "doc_id", F.explode(F.concat(whole, lines)).alias("u")).select("row", "doc_id", "u.part", F.split("u.unit", " ").alias("w"))
+    # the whole text again, for stretches of it: its bigrams keep their places and lines
+    again = [F.array(unit(F.lit(-2), F.col("norm")))] if passages else []
+    held = held.select("row", "doc_id", F.explode(F.concat(whole, lines, *again)).alias("u")).select("row", "doc_id", "u.part", "u.unit", F.split(F.trim(F.regexp_replace("u.unit", "[ \n]+", " ")), " ").alias("w"))
     held = held.where((F.size("w") >= low / ratio) & F.arrays_overlap("w", anchors))
-    held = held.withColumn("grams", bigrams(F.col("w"))).withColumn("a", F.size("grams")).where((F.col("a") >= low / ratio) & (F.col("a") <= high * ratio))
-    pieces = held.select("row", "doc_id", "part", "a", F.explode("grams").alias("gram"))
-    seeds = F.broadcast(t.select("licence", "b", F.explode("grams").alias("gram")))
-    met = pieces.join(seeds, "gram").where((F.col("b") <= F.col("a") * ratio) & (F.col("b") >= F.col("a") / ratio))
-    scores = met.groupBy("row", "doc_id", "part", "licence").agg((2.0 * F.count("*") / (F.first("a") + F.first("b"))).alias("score")).where(F.col("score") >= dice)
-    best = scores.groupBy("row", "doc_id", "part").agg(F.min_by("licence", F.struct((-F.col("score")).alias("s"), F.col("licence").alias("l"))).alias("licence"), F.max("score").alias("score"))
-    return best.select("doc_id", "part", "licence", "score")
+    held = held.withColumn("grams", F.when(F.col("part") > -2, bigrams(F.col("w")))).withColumn("a", F.size("grams")).where((F.col("part") == -2) | (F.col("a") >= low / ratio) & (F.col("a") <= high * ratio))
+    place = lambda g, i, x, y: F.struct(g.alias("gram"), i.cast("int").alias("pos"), x.cast("int").alias("line"), y.cast("int").alias("after"))
+    plain = F.transform("grams", lambda g: place(g, F.lit(0), F.lit(0), F.lit(0)))
+    if passages:
+        number = F.flatten(F.transform(F.split("unit", "\n"), lambda x, i: F.transform(F.filter(F.split(x, " "), lambda y: y != ""), lambda _: i)))
+        held = held.withColumn("n", F.when(F.col("part") == -2, number))
+        w, n = F.col("w"), F.col("n")
+        pair = F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w) - 1), lambda x, y: F.concat_ws(" ", x, y))
+        placed = F.when(F.size(w) > 1, F.transform(pair, lambda g, i: place(g, i, n[i], n[i + 1])))
+        plain = F.when(F.col("part") == -2, placed).otherwise(plain)
+    pieces = held.select("row", "doc_id", "part", "a", F.explode(plain).alias("x")).select("row", "doc_id", "part", "a", "x.*")
+    seeds = F.broadcast(t.select("licence", "b", "total", F.explode("grams").alias("gram")))
+    met = pieces.join(seeds, "gram").where((F.col("part") == -2) | (F.col("b") <= F.col("a") * ratio) & (F.col("b") >= F.col("a") / ratio))
+    hits = [F.array_sort(F.collect_list(F.when(F.col("part") == -2, F.struct("pos", "gram", "line", "after")))).alias("hits"), F.first("total").alias("total")] if passages else []
+    scores = met.groupBy("row", "doc_id", "part", "licence").agg((2.0 * F.count("*") / (F.first("a") + F.first("b"))).alias("score"), F.first("b").alias("b"), *hits)
+    if not passages:
+        best = scores.where(F.col("score") >= dice).groupBy("row", "doc_id", "part").agg(F.min_by("licence", F.struct((-F.col("score")).alias("s"), F.col("licence").alias("l"))).alias("licence"), F.max("score").alias("score"))
+        return best.select("doc_id", "part", "licence", "score")
+    enough = (F.col("part") == -2) & (F.size("hits") >= F.col("b") * (1 / ratio) - 1e-9)
+    spans = F.when(enough, _windows(F.col("hits"), F.col("b"), F.col("total"), dice))
+    own = F.array(F.struct((-F.col("score")).alias("worse"), F.lit(0).alias("begin"), F.lit(0).alias("end"), F.col("part").alias("first"), F.col("part").alias("last")))
+    found = scores.where((F.col("part") > -2) & (F.col("score") >= dice) | enough).select("row", "doc_id", "part", "licence", F.explode(F.when(F.col("part") > -2, own).otherwise(spans)).alias("s"))
+    # the best template of each unit, then stretches that no unit tells
+    found = found.select("row", "doc_id", F.struct(F.col("part"), F.col("s.worse").alias("worse"), "licence", "s.first", "s.last", "s.begin", "s.end").alias("m"))
+    all_of = found.groupBy("row", "doc_id").agg(F.array_sort(F.collect_list("m")).alias("m"))
+    told = F.filter("m", lambda x, i: (x["part"] > -2) & ((i == 0) | (F.col("m")[F.greatest(i - 1, F.lit(0))]["part"] != x["part"])))
+    all_of = all_of.withColumn("told", told)
+    inside = lambda x: F.exists("told", lambda u: (u["part"] == -1) | (x["first"] <= u["part"]) & (u["part"] <= x["last"]) & ((x["first"] == x["last"]) | (u["licence"] == x["licence"])))
+    # a stretch within a better one of another template is not told
+    rival = lambda x: F.exists("m", lambda y: (y["part"] == -2) & (y["licence"] != x["licence"]) & (y["begin"] <= x["begin"]) & (x["end"] <= y["end"]) & ((y["worse"] < x["worse"]) | (y["worse"] == x["worse"]) & (y["licence"] < x["licence"])))
+    rest = F.filter("m", lambda x: (x["part"] == -2) & ~inside(x) & ~rival(x))
+    return all_of.select("doc_id", F.explode(F.concat("told", rest)).alias("m")).select("doc_id", "m.part", "m.licence", (-F.col("m.worse")).alias("score"))
 
 
 def licence_report(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """doc_id, licence, n_matches, best_score for each document and licence found in it."""
-    found = licence_matches(docs, doc_id, text, **options)
+    found = licence_passages(docs, doc_id, text, **options)
     return found.groupBy("doc_id", "licence").agg(F.count("*").alias("n_matches"), F.round(F.max("score"), 6).alias("best_score"))
