@@ -140,6 +140,17 @@ def test_gapped_and_inserted_characters_are_tolerated():
         assert score(t) < 0.5
 
 
+def test_insults_with_a_character_between_all_letters_or_cut_by_a_space():
+    rng = random.Random(1)
+    plain = [" ".join(rng.choice(["house", "river", "music", "garden", "window", "letter", "summer", "an", "of", "the"]) for _ in range(30)) for _ in range(80)]
+    texts = plain + [p + " you " + rng.choice(["idiot", "stupid", "scum"]) for p in plain]
+    m = toxicity.train(texts, [0] * 80 + [1] * 80)
+    score = lambda t: m.score(m.margin(toxicity.Pooler(m).pool([t])))[0]
+    for t in ("the ixdxixoxt of a house", "an i1d1i1o1t", "a sxtxuxpxixd river", "the sxcxuxm", "the sc um of a garden", "a stu pid river"):
+        assert score(t) >= 0.5, t
+    assert all(score(t) < 0.5 for t in plain[:20])
+
+
 def test_toxicity_on_held_out_documents(spark):
     docs, labels = load_table(spark, SF, "documents").select("doc_id", "text"), load_table(spark, SF, "labels")
     rows = docs.join(labels, "doc_id").collect()

@@ -41,6 +41,13 @@ def words_of(text: str | None) -> set[str]:
     return set(plain.split()).union(x.replace(" ", "").replace("\t", "") for x in SPELT(plain))
 
 
+def hidden_words(text: str | None, words: set[str]) -> set[str]:
+    """Other readings of a text: every other character of its ``words``, as if one stood between all letters, and neighbours too short to matter alone put together."""
+    every = text.lower().translate(DROP).split() if text else []
+    pairs = {a + b for a, b in zip(every, every[1:]) if len(a) < LEAST_WORD > len(b) and len(a) + len(b) >= LEAST_WORD}
+    return pairs.union(w[::2] for w in words if len(w) >= 2 * LEAST_WORD - 1)
+
+
 def chunks_of(words: list[str]) -> tuple[list[str], np.ndarray]:
     """Long words as overlapping pieces of ``LONGEST`` characters, and the word each comes from."""
     out, owner = [], []
@@ -104,17 +111,21 @@ class Machine:
 
 
 class Pooler:
-    """Maximum over a text's words of their nearness to each landmark; words far from all are remembered as nothing."""
+    """Maximum over a text's words of their nearness to each landmark; words far from all are remembered as nothing.
+
+    Unless ``plain``, as for fitting, hidden words are pooled too where that makes the text more toxic.
+    """
 
-    def __init__(self, machine: Machine):
-        self.machine, self.memory, self.rows = machine, {}, []
+    def __init__(self, machine: Machine, plain: bool = False):
+        self.plain, self.machine, self.memory, self.rows = plain, machine, {}, []
 
     def pool(self, texts: list) -> np.ndarray:
         held = [words_of(t) for t in texts]
-        new = [w for w in set().union(*held) if w not in self.memory] if held else []
+        hidden = [set() if self.plain else hidden_words(t, words) for t, words in zip(texts, held)]
+        new = [w for w in set().union(*held, *hidden) if w not in self.memory] if held else []
         if len(self.memory) + len(new) > REMEMBERED:
             self.memory, self.rows = {}, []
-            new = list(set().union(*held))
+            new = list(set().union(*held, *hidden))
         usable = [w for w in new if len(w) >= LEAST_WORD]
         self.memory.update(dict.fromkeys(new, -1))
         for k in range(0, len(usable), 2048):
@@ -128,6 +139,11 @@ class Pooler:
             at = {self.memory[w] for w in words} - {-1}
             if at:
                 out[k] = np.max([self.rows[i] for i in at], 0)
+        for k, words in enumerate(hidden):
+            at = {self.memory[w] for w in words} - {-1}
+            if at:
+                both = np.maximum(out[k], np.max([self.rows[i] for i in at], 0))
+                out[k] = max(out[k], both, key=self.machine.margin)
         return out
 
 
@@ -193,7 +209,7 @@ def train(texts: list[str], labels: list[int], landmarks: int = LANDMARKS) -> Ma
     np.add.at(table, (at, i), weight)
     own = (table**2).sum(1)
     machine = Machine(chosen, codes, table, own, np.zeros(len(chosen)), 0.0, 1.0, 0.0)
-    pooled = Pooler(machine).pool(texts)
+    pooled = Pooler(machine, plain=True).pool(texts)
     unit = table / np.sqrt(own)[:, None]
     values, vectors = np.linalg.eigh(unit @ unit.T)
     whiten = vectors / np.sqrt(np.maximum(values, 1e-2)) @ vectors.T
