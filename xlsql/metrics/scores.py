@@ -157,21 +157,14 @@ def measure(session: SparkSession, sql: str, reps: int = 5, warmup: int = 1, sig
 
 
 def execution_accuracy(preds: list[tuple], gold: dict[int, str], session: SparkSession, mode: str = "auto", cache=None) -> list[tuple]:
-    """(..., item_id, correct) of predictions (..., item_id, sql). Distinct pairs of texts run once; invalid ones are wrong."""
-    from xlsql.verify.exec_equal import run_pair
+    """(..., item_id, correct) of predictions (..., item_id, sql). Distinct pairs of texts are compared once, several at a time, and each distinct plan runs once; invalid ones are wrong."""
+    from xlsql.verify.exec_equal import run_pairs
 
     known: dict[tuple, bool] = {} if cache is None else cache
-    out = []
-    for row in preds:
-        item, sql = row[-2], row[-1]
-        key = (gold[item], sql)
-        if key not in known:
-            try:
-                known[key] = bool(sql) and run_pair(session, gold[item], session, sql, mode).equal
-            except PySparkException:
-                known[key] = False
-        out.append((*row[:-1], known[key]))
-    return out
+    new = list(dict.fromkeys((gold[r[-2]], r[-1]) for r in preds if r[-1] and (gold[r[-2]], r[-1]) not in known))
+    results = run_pairs([(session, a, session, b) for a, b in new], mode, snapshots=("", ""))
+    known.update(zip(new, (r.equal for r in results)))
+    return [(*r[:-1], known.get((gold[r[-2]], r[-1]), False)) for r in preds]
 
 
 def average_runs(scores: DataFrame, by: Sequence[str], measures: Sequence[str]) -> DataFrame:
