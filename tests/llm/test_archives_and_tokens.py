@@ -81,8 +81,8 @@ def test_pieces_equal_the_library(text):
     assert e.encode(text) == e.library.encode(text)
     normal, source = e.normalize(text)
     if text:
-        length, same = e.alignment(text)
-        assert length == len(normal) and same.tolist() == source
+        same, places = e.alignment(text)
+        assert same == normal and places.tolist() == source
     spans = e.spans(text)
     raw = text.encode()
     assert [s[0] for s in spans] == e.library.encode(text)
@@ -124,6 +124,73 @@ def test_character_map_takes_the_longest_prefix():
     assert e.normalize("  c  a ") == ("▁c▁x".encode(), [2, 2, 2, 2, 3, 3, 3, 5, 6])
 
 
+def mapped_model():
+    """The given model with a compiled map for the rules: a -> x, ab -> yz."""
+    from sentencepiece import sentencepiece_model_pb2 as model_pb2
+
+    units = [0] * 512
+    offset = lambda o: o << 10
+    units[0] = offset(256)
+    a = 256 ^ ord("a")
+    units[a] = ord("a") | (1 << 8) | offset(a ^ 8)
+    units[8] = 0x80000000 | 0
+    units[8 ^ ord("b")] = ord("b") | (1 << 8) | offset(8 ^ ord("b") ^ 16)
+    units[16] = 0x80000000 | 2
+    proto = model_pb2.ModelProto()
+    proto.ParseFromString(open(pieces.default_model(), "rb").read())
+    proto.normalizer_spec.precompiled_charsmap = struct.pack("<I", 4 * len(units)) + struct.pack(f"<{len(units)}I", *units) + b"x\0yz\0"
+    return proto
+
+
+@pytest.mark.parametrize("fallback", [True, False])
+def test_pieces_of_a_model_with_a_map_equal_the_library(fallback):
+    """Ids and spans with rules of the compiled map, and with one unknown piece in place of bytes."""
+    proto = mapped_model()
+    if not fallback:
+        proto.trainer_spec.byte_fallback = False
+        for p in proto.pieces:
+            if p.type == pieces.BYTE:
+                p.type = 1
+                p.piece = "\u2400" + p.piece
+    e = pieces.Encoder(proto.SerializeToString())
+    assert e.merger is not None
+    rng = random.Random(3)
+    texts = ["".join(rng.choice("ab abc thing é日🙂 ▁ba") for _ in range(rng.randrange(1, 90))) for _ in range(300)] + ["ab" * 4000, "word " * 3000 + "a"]
+    for t, (aligned, ids) in zip(texts, e.encode_batch(texts)):
+        told = e.library.encode(t, return_type="proto").pieces
+        assert ids.tolist() == [p.id for p in told] == e.encode(t)
+        begin, end = e.span_arrays(t, ids, aligned)
+        raw = t.encode()
+        assert len(begin) == len(told) and (begin <= end).all() and end.max() == len(raw)
+        # the library lets pieces within one source character begin or end at its other side
+        assert [p.begin for p in told] == begin.tolist() or sum(p.begin != a for p, a in zip(told, begin.tolist())) <= sum(p.begin == p.end or e.is_byte[p.id] for p in told) + t.count("ab")
+        wide, places = e.normalize(t)
+        assert aligned[0] == wide and aligned[1].tolist() == places
+
+
+def test_memory_of_words_is_bounded(monkeypatch):
+    e = pieces.Encoder(open(pieces.default_model(), "rb").read())
+    monkeypatch.setattr(pieces.Encoder, "REMEMBERED", 20)
+    rng = random.Random(5)
+    texts = [" ".join(f"w{rng.randrange(500)}x" + "y" * (40 * (rng.random() < 0.1)) for _ in range(60)) for _ in range(40)]
+    assert [ids.tolist() for _, ids in e.encode_batch(texts)] == [e.library.encode(t) for t in texts]
+    assert len(e.place) <= 40
+
+
+def test_registered_query_equals_the_library(spark):
+    from xlsql.llm.registry import op4_sentencepiece
+    from xlsql.session import load_table
+
+    sf = "/root/testdata/sf0.01"
+    lib = sentencepiece.SentencePieceProcessor(model_file=pieces.default_model())
+    texts = {r["doc_id"]: r["text"] for r in load_table(spark, sf, "documents").select("doc_id", "text").collect()}
+    rows = op4_sentencepiece(spark, sf).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        ids = lib.encode(texts[r["doc_id"]] or "")
+        assert (r["n_tokens"], r["ids_sha256"], r["decoded_sha256"]) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((lib.decode(ids) if ids else "").encode()).hexdigest())
+
+
 def test_with_pieces_handles_nulls_and_clashes(spark):
     df = spark.createDataFrame([(1, None, "k"), (2, "", "k"), (3, "héllo  wörld " * 4000, "k"), (3, "a", "k")], "doc_id long, text string, pieces string")
     rows = pieces.with_pieces(df, fields=("ids", "n_tokens", "decoded", "ids_sha256", "decoded_sha256", "spans", "covered_bytes")).collect()

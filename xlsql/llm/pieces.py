@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import hashlib
+import heapq
+import itertools
 import re
 import struct
 from collections.abc import Iterator
@@ -18,6 +20,8 @@ from xlsql.session import bound_batches
 
 SPACE = "▁"
 UNUSED, USER_DEFINED, BYTE = 5, 4, 6
+#: Space marks and the characters up to the next one.
+WORDS = re.compile(f"{SPACE}*[^{SPACE}]+|{SPACE}+").findall
 
 
 def default_model() -> str:
@@ -34,6 +38,10 @@ class CharacterMap:
         size = struct.unpack("<I", blob[:4])[0] if blob else 0
         self.units = np.frombuffer(blob, "<u4", size // 4, 4) if size else np.zeros(0, "u4")
         self.replacements = blob[4 + size :]
+        self.begins = np.zeros(256, bool)
+        for b in range(256) if len(self.units) else ():
+            at = self._offset(int(self.units[0])) ^ b
+            self.begins[b] = at < len(self.units) and int(self.units[at]) & 0x800000FF == b
 
     def longest(self, raw: bytes, at: int) -> tuple[int, int]:
         """(length, offset of the replacement) of the longest rule that begins at ``at``; length 0: none."""
@@ -59,8 +67,155 @@ class CharacterMap:
         return self.replacements[offset : self.replacements.index(0, offset)]
 
 
+class Merger:
+    """Merges of a BPE model over many words at once: the best pair of each word first, the leftmost of equals, until no pair is a piece."""
+
+    #: Words up to this many characters are merged as rows of one table.
+    LONGEST = 64
+
+    def __init__(self, pieces, byte_ids: dict[int, int], unknown: int):
+        self.byte_ids, self.unknown = byte_ids, unknown
+        ids = {p.piece: i for i, p in enumerate(pieces) if p.type == 1}
+        # characters that only occur within pieces can still be halves of a pair
+        every = sorted({c for x in ids for c in x} - set(ids))
+        self.symbol = {**{c: i for c, i in ids.items()}, **{c: len(pieces) + k for k, c in enumerate(every)}}
+        self.n_pieces, self.size = len(pieces), len(pieces) + len(every)
+        self.char = np.full(0x110000, -1, "i4")
+        for c, i in self.symbol.items():
+            if len(c) == 1:
+                self.char[ord(c)] = i
+        # equal scores share a rank, so the leftmost of them goes first
+        order = {x: k for k, x in enumerate(sorted({pieces[i].score for i in ids.values()}, reverse=True))}
+        pairs = {}
+        for x, i in ids.items():
+            for k in range(1, len(x)):
+                if x[:k] in self.symbol and x[k:] in self.symbol:
+                    pairs[self.symbol[x[:k]] * self.size + self.symbol[x[k:]]] = (order[pieces[i].score], i)
+        self.keys = np.array(sorted(pairs), "i8")
+        self.rank = np.array([pairs[k][0] for k in self.keys.tolist()], "i4")
+        self.made = np.array([pairs[k][1] for k in self.keys.tolist()], "i4")
+        self.pairs = pairs
+
+    NONE = np.int32(2**31 - 1)
+
+    def _look(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(rank, place among the pairs) of each pair of symbols; ``NONE`` where it makes no piece."""
+        key = left.astype("i8") * self.size + right
+        if not len(self.keys):
+            return np.full(key.shape, self.NONE), np.zeros(key.shape, int)
+        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+        return np.where((left >= 0) & (right >= 0) & (self.keys[at] == key), self.rank[at], self.NONE), at
+
+    def _rows(self, table: np.ndarray) -> np.ndarray:
+        """The table after all merges (-1: a character of no piece, -2: past the end)."""
+        out = np.full(table.shape, -2, "i4")
+        owner = np.arange(len(table))
+        rank, at = self._look(table[:, :-1], table[:, 1:])
+        while table.shape[1] > 1:
+            best = rank.argmin(1)
+            live = rank[np.arange(len(table)), best] != self.NONE
+            out[owner[~live], : table.shape[1]] = table[~live]
+            table, rank, at, owner, best = table[live], rank[live], at[live], owner[live], best[live]
+            if not len(table):
+                return out
+            n, width = table.shape
+            row = np.arange(n)
+            table[row, best] = self.made[at[row, best]]
+            keep = np.ones((n, width), bool)
+            keep[row, best + 1] = False
+            table = table[keep].reshape(n, width - 1)
+            # the merged pair's own entry goes; those at its sides are looked up again
+            keep = np.ones((n, width - 1), bool)
+            keep[row, best] = False
+            rank, at = rank[keep].reshape(n, width - 2), at[keep].reshape(n, width - 2)
+            for side in (-1, 0):
+                j = best + side
+                ok = np.flatnonzero((j >= 0) & (j < width - 2))
+                rank[ok, j[ok]], at[ok, j[ok]] = self._look(table[ok, j[ok]], table[ok, j[ok] + 1])
+        out[owner, : table.shape[1]] = table
+        return out
+
+    def _long(self, word: str) -> list[int]:
+        """Symbols of one word of any length, by a queue of its pairs."""
+        codes = self.char[np.frombuffer(word.encode("utf-32-le", "surrogatepass"), "<u4")].tolist()
+        after, before, version = list(range(1, len(codes) + 1)), list(range(-1, len(codes) - 1)), [0] * len(codes)
+        queue: list[tuple[int, int, int, int, int, int]] = []
+
+        def offer(i: int) -> None:
+            j = after[i]
+            if i >= 0 and j < len(codes) and codes[i] >= 0 and codes[j] >= 0 and (found := self.pairs.get(codes[i] * self.size + codes[j])):
+                heapq.heappush(queue, (found[0], i, j, version[i], version[j], found[1]))
+
+        for i in range(len(codes) - 1):
+            offer(i)
+        gone = [False] * len(codes)
+        while queue:
+            _, i, j, a, b, made = heapq.heappop(queue)
+            if gone[i] or gone[j] or version[i] != a or version[j] != b:
+                continue
+            codes[i], gone[j], after[i] = made, True, after[j]
+            version[i] += 1
+            if after[j] < len(codes):
+                before[after[j]] = i
+            if before[i] >= 0:
+                offer(before[i])
+            offer(i)
+        return [c for i, c in enumerate(codes) if not gone[i]]
+
+    def __call__(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the pieces of all words one after the other, and the number of each; characters of no piece fall back to their bytes, or to the unknown piece."""
+        size = np.fromiter(map(len, words), "i8", len(words))
+        counts, found, special = np.zeros(len(words), "i8"), [], {}
+        for low, high in itertools.pairwise((0, 4, 6, 8, 10, 12, 16, 24, 32, 48, self.LONGEST)):
+            members = np.flatnonzero((size > low) & (size <= high))
+            for begin in range(0, len(members), 8192):
+                part = members[begin : begin + 8192]
+                table = np.full((len(part), int(size[part].max())), -2, "i4")
+                table[np.arange(table.shape[1]) < size[part][:, None]] = self.char[np.frombuffer("".join([words[k] for k in part]).encode("utf-32-le", "surrogatepass"), "<u4")]
+                odd = (table == -1).any(1) | (table >= self.n_pieces).any(1)
+                done = self._rows(table)
+                for k in np.flatnonzero(odd).tolist():
+                    special[int(part[k])] = self._ids(done[k][done[k] != -2].tolist(), words[part[k]])
+                plain, done = part[~odd], done[~odd]
+                counts[plain] = (done != -2).sum(1)
+                found.append((plain, done[done != -2]))
+        for k in np.flatnonzero(size > self.LONGEST).tolist():
+            special[k] = self._ids(self._long(words[k]), words[k])
+        for k, ids in special.items():
+            counts[k] = len(ids)
+        ends = np.cumsum(counts)
+        out = np.zeros(int(ends[-1]) if len(ends) else 0, "i4")
+        for plain, flat in found:
+            n = counts[plain]
+            out[np.arange(len(flat)) + np.repeat(ends[plain] - np.cumsum(n), n)] = flat
+        for k, ids in special.items():
+            out[ends[k] - len(ids) : ends[k]] = ids
+        return out, counts
+
+    def _ids(self, symbols: list[int], word: str) -> list[int]:
+        """Symbols as ids: what is no piece becomes bytes or the unknown piece."""
+        ids: list[int] = []
+        at = 0
+        for x in symbols:
+            if 0 <= x < self.n_pieces:
+                at += self.lengths[x]
+                ids.append(x)
+                continue
+            ids += [self.byte_ids[y] for y in word[at].encode("utf-8", "surrogatepass")] if self.byte_ids else [self.unknown]
+            at += 1
+        return ids
+
+
 class Encoder:
-    """Encodes and decodes with one model; made in each worker from the model's bytes."""
+    """Encodes and decodes with one model; made in each worker from the model's bytes.
+
+    Ids of BPE models come from the own normaliser and the own merges over words. Words are cut where a character that is no space
+    mark meets a space mark: no piece of the model has such a place within it, so no merge crosses one. Models of another type, or with
+    symbols of their own, take their ids from the library; spans are projected here for all.
+    """
+
+    #: Words whose pieces a worker remembers; longer ones are merged anew each time.
+    REMEMBERED, LONGEST_REMEMBERED = 200_000, 32
 
     def __init__(self, model: bytes):
         proto = model_pb2.ModelProto()
@@ -78,7 +233,84 @@ class Encoder:
         self.unknown = self.library.unk_id()
         self.text_of = [p.piece for p in pieces]
         self.width = np.array([1 if p.type == BYTE else len(p.piece.encode()) for p in pieces])
-        self.decimal = [str(i) for i in range(len(pieces))]
+        self.ascii = np.frombuffer("".join([f"{i},".ljust(10, "\0") for i in range(len(pieces))]).encode(), "u1").reshape(-1, 10)[:, : len(str(len(pieces))) + 1]
+        crossing = any(re.search(f"[^{SPACE}]{SPACE}", p.piece) for p in pieces if p.type == 1)
+        self.merger = None
+        if proto.trainer_spec.model_type == 2 and not own and not any(p.type == UNUSED for p in pieces) and self.escape and not self.suffix and not crossing:
+            self.merger = Merger(pieces, {int(p.piece[1:-1], 16): i for i, p in enumerate(pieces) if p.type == BYTE}, self.unknown)
+            self.merger.lengths = [len(p.piece) for p in pieces]
+        self.forget()
+
+    def forget(self) -> None:
+        self.place: dict[str, int] = {}
+        self.first, self.count, self.pool, self.used = np.zeros(1024, "i8"), np.zeros(1024, "i8"), np.zeros(4096, "i4"), 0
+
+    def learn(self, words: list[str], room: int = 0) -> None:
+        """Merge words that are not remembered, all at once; with ``room`` for others that follow."""
+        new = list({w for w in words if w not in self.place})
+        if not new:
+            return
+        if len(self.place) + len(new) + room > 2 * self.REMEMBERED:
+            self.forget()
+            new = list(set(words))
+        ids, counts = self.merger(new)
+        start, total = len(self.place), len(ids)
+        while len(self.first) < start + len(new):
+            self.first, self.count = np.concatenate([self.first, self.first]), np.concatenate([self.count, self.count])
+        while len(self.pool) < self.used + total:
+            self.pool = np.concatenate([self.pool, self.pool])
+        self.pool[self.used : self.used + total] = ids
+        self.first[start : start + len(new)] = self.used + np.cumsum(counts) - counts
+        self.count[start : start + len(new)] = counts
+        self.place.update(zip(new, range(start, start + len(new))))
+        self.used += total
+
+    def joined(self, ids: np.ndarray) -> bytes:
+        """Decimal ids joined by commas."""
+        rows = self.ascii[ids]
+        return rows[rows != 0].tobytes()[:-1]
+
+    def encode_batch(self, texts: list[str | None]) -> Iterator[tuple[tuple[bytes, np.ndarray], np.ndarray]]:
+        """Alignment and ids of each text; new words of the batch are merged together."""
+        aligned = [self.alignment(t) if t else (b"", np.zeros(1, int)) for t in texts]
+        words = [self.words(normal) for normal, _ in aligned] if self.merger else [None] * len(texts)
+        if self.merger:
+            new = {w for some in words for w in some if w not in self.place and len(w) <= self.LONGEST_REMEMBERED}
+            if len(new) <= self.REMEMBERED // 2:
+                self.learn(list(new), room=self.REMEMBERED // 2)
+        for t, a, w in zip(texts, aligned, words):
+            yield a, self.encode_words(t, w)
+
+    @staticmethod
+    def words(normal: bytes) -> list[str]:
+        return WORDS(normal.decode("utf-8", "surrogatepass"))
+
+    def encode_words(self, text: str | None, words: list[str] | None = None) -> np.ndarray:
+        """Ids of a whole text, given the words of its normal form if they are known."""
+        if not text:
+            return np.zeros(0, "i4")
+        if self.merger is None:
+            return np.array(self.library.encode(text, num_threads=1), "i4")
+        words = self.words(self.alignment(text)[0]) if words is None else words
+        parts = []
+        # long texts in slices of words, so that what is remembered stays bounded
+        for begin in range(0, len(words), self.REMEMBERED // 2):
+            some = words[begin : begin + self.REMEMBERED // 2]
+            # words that are too long to remember stand between stretches of others
+            cuts = [-1, *(k for k, w in enumerate(some) if len(w) > self.LONGEST_REMEMBERED), len(some)]
+            self.learn([w for w in some if len(w) <= self.LONGEST_REMEMBERED])
+            for i, j in itertools.pairwise(cuts):
+                at = np.fromiter(map(self.place.__getitem__, some[i + 1 : j]), "i8", j - i - 1)
+                size = self.count[at]
+                ends = np.cumsum(size)
+                parts.append(self.pool[np.arange(ends[-1] if len(ends) else 0) + np.repeat(self.first[at] - ends + size, size)])
+                if j < len(some):
+                    parts.append(self.merger([some[j]])[0])
+        ids = np.concatenate(parts)
+        if not self.merger.byte_ids and (ids == self.unknown).any():
+            # neighbouring unknown characters are one piece
+            ids = ids[~((ids == self.unknown) & np.concatenate([[False], ids[:-1] == self.unknown]))]
+        return ids
 
     def normalize(self, text: str) -> tuple[bytes, list[int]]:
         """Normalised bytes, and for each of them and their end the offset in the original bytes it comes from."""
@@ -128,36 +360,56 @@ class Encoder:
         return bytes(out), [*source, end]
 
     def encode(self, text: str | None) -> list[int]:
-        """Ids, exactly as the library gives them; null and empty texts have none."""
-        return self.library.encode(text, num_threads=1) if text else []
+        """Ids; null and empty texts have none."""
+        return self.encode_words(text).tolist()
 
-    def alignment(self, text: str) -> tuple[int, np.ndarray]:
-        """Length of the normalised bytes, and the source of each and of their end, as ``normalize`` records it.
+    def alignment(self, text: str) -> tuple[bytes, np.ndarray]:
+        """Normalised bytes, and the source of each of them and of their end, as ``normalize`` records it, for whole stretches at once.
 
-        Without rules the only changes are the mark in front and the mark for each space, so that sources come from one repetition.
+        The longest rule of the compiled map is sought at each character whose first byte begins one; what lies between rewritten stretches is
+        copied with its characters' own offsets.
         """
-        if len(self.rules.units) or self.own or self.squeeze or self.suffix:
+        if self.own or self.squeeze or self.suffix:
             normal, source = self.normalize(text)
-            return len(normal), np.array(source)
-        raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), "u1")
-        place = np.arange(len(raw))
-        start = np.maximum.accumulate(np.where(raw & 0xC0 != 0x80, place, 0))
-        wide = np.repeat(start, np.where(raw == 32, len(self.mark), 1))
-        source = np.concatenate([np.zeros(len(self.mark) * self.prefix, int), wide, [len(raw)]])
-        return len(source) - 1, source
-
-    def span_arrays(self, text: str, ids: list[int]) -> tuple[np.ndarray, np.ndarray]:
+            return normal, np.array(source)
+        data = text.encode("utf-8", "surrogatepass")
+        raw = np.frombuffer(data, "u1")
+        start = np.maximum.accumulate(np.where(raw & 0xC0 != 0x80, np.arange(len(raw)), 0))
+        made, sources, done = [], [], 0
+        for at in np.flatnonzero(self.rules.begins[raw] & (raw & 0xC0 != 0x80)).tolist():
+            if at < done:
+                continue
+            step, offset = self.rules.longest(data, at)
+            if step:
+                new = np.frombuffer(self.rules.replacement(offset), "u1")
+                made += [raw[done:at], new]
+                sources += [start[done:at], np.full(len(new), at)]
+                done = at + step
+        made, sources = np.concatenate([*made, raw[done:]]), np.concatenate([*sources, start[done:]])
+        blank = made == 32
+        if len(self.mark) > 1 and blank.any():
+            mark, times = np.frombuffer(self.mark, "u1"), np.where(blank, len(self.mark), 1)
+            sources = np.repeat(sources, times)
+            wide = np.repeat(made, times)
+            first = (np.cumsum(times) - times)[blank]
+            for k in range(len(mark)):
+                wide[first + k] = mark[k]
+            made = wide
+        lead = np.frombuffer(self.mark, "u1")[: len(self.mark) * self.prefix]
+        return np.concatenate([lead, made]).tobytes(), np.concatenate([np.zeros(len(lead), int), sources, [len(raw)]])
+
+    def span_arrays(self, text: str, ids: list[int] | np.ndarray, aligned: tuple[bytes, np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Begin and end of each piece in the original UTF-8 bytes.
 
         The pieces are laid over the normalised bytes in turn and projected through the recorded sources. A byte piece covers
         one byte of the normalised text; pieces within one source character all have that character's span.
         """
-        length, source = self.alignment(text)
-        at = np.array(ids)
+        normal, source = aligned or self.alignment(text)
+        length, at = len(normal), np.asarray(ids)
         width = self.width[at]
         if (at == self.unknown).any():
             width = width.copy()
-            normal, done = self.normalize(text)[0], 0
+            ids, done = at.tolist(), 0
             for k, i in enumerate(ids):
                 if i == self.unknown:
                     width[k] = self._unknown_width(normal, done, ids, k)
@@ -196,7 +448,7 @@ class Encoder:
 def with_pieces(docs: DataFrame, text: str = "text", out: str = "pieces", model: str | bytes | None = None, fields: tuple[str, ...] = ("ids", "decoded")) -> DataFrame:
     """Add a struct column ``out`` with the wanted ``fields``.
 
-    ids (array<int>), n_tokens, ids_sha256 (of the decimal ids joined by commas), decoded (the library's decode of the ids),
+    ids (array<int>), n_tokens, ids_sha256 (of the decimal ids joined by commas), decoded (the library's decode of these ids),
     decoded_sha256, spans (array of struct id, piece, begin, end: offsets in the original UTF-8 bytes), covered_bytes (bytes of the original
     text that the spans cover together, all of them unless normalisation drops some).
     Null and empty texts have no ids and decode to the empty text; texts of any length are encoded whole; rows and other columns
@@ -210,20 +462,20 @@ def with_pieces(docs: DataFrame, text: str = "text", out: str = "pieces", model:
         encoder = Encoder(blob)
         for batch in batches:
             rows = []
-            for t in batch:
-                ids, row = encoder.encode(t), {}
+            for t, (aligned, ids) in zip(batch, encoder.encode_batch(list(batch))):
+                row = {}
                 if "ids" in fields:
-                    row["ids"] = ids
+                    row["ids"] = ids.tolist()
                 if "n_tokens" in fields:
                     row["n_tokens"] = len(ids)
                 if "ids_sha256" in fields:
-                    row["ids_sha256"] = hashlib.sha256(",".join([encoder.decimal[i] for i in ids]).encode()).hexdigest()
+                    row["ids_sha256"] = hashlib.sha256(encoder.joined(ids)).hexdigest()
                 if "decoded" in fields or "decoded_sha256" in fields:
-                    decoded = encoder.decode(ids) if ids else ""
+                    decoded = encoder.decode(ids.tolist()) if len(ids) else ""
                     row["decoded"] = decoded
                     row["decoded_sha256"] = hashlib.sha256(decoded.encode()).hexdigest()
                 if "covered_bytes" in fields:
-                    begin, end = encoder.span_arrays(t, ids) if ids else (np.zeros(1, int), np.zeros(1, int))
+                    begin, end = encoder.span_arrays(t, ids, aligned) if len(ids) else (np.zeros(1, int), np.zeros(1, int))
                     seen = np.maximum.accumulate(np.concatenate([[0], end[:-1]]))
                     row["covered_bytes"] = int(np.maximum(0, end - np.maximum(begin, seen)).sum())
                 if "spans" in fields:
