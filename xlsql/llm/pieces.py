@@ -93,45 +93,87 @@ class Merger:
                     pairs[self.symbol[x[:k]] * self.size + self.symbol[x[k:]]] = (order[pieces[i].score], i)
         self.keys = np.array(sorted(pairs), "i8")
         self.rank = np.array([pairs[k][0] for k in self.keys.tolist()], "i4")
-        self.made = np.array([pairs[k][1] for k in self.keys.tolist()], "i4")
+        # which piece a rank makes; -1 where pieces of equal score share it
+        makes: dict[int, set[int]] = {}
+        for r, i in pairs.values():
+            makes.setdefault(r, set()).add(i)
+        self.made = np.full(len(order), -1, "i4")
+        for r, some in makes.items():
+            self.made[r] = next(iter(some)) if len(some) == 1 else -1
         self.pairs = pairs
+        self._hash()
 
     NONE = np.int32(2**31 - 1)
+    #: Multipliers of the two hash tables.
+    MIX = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
+
+    def _hash(self) -> None:
+        """Put the pairs into two tables so that each lies at its place in one of them: a lookup reads one number of each."""
+        bits = len(self.keys).bit_length() + 2
+        while True:
+            tables, shift = [np.full(1 << bits, -1, "i4") for _ in range(2)], np.uint64(64 - bits)
+            places = [(self.keys.astype("u8") * np.uint64(m) >> shift).tolist() for m in self.MIX]
+            if all(self._put(i, tables, places) for i in range(len(self.keys))):
+                self.tables, self.shift = tables, shift
+                return
+            bits += 1
 
-    def _look(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(rank, place among the pairs) of each pair of symbols; ``NONE`` where it makes no piece."""
+    @staticmethod
+    def _put(i: int, tables: list[np.ndarray], places: list[list[int]]) -> bool:
+        side = 0
+        for _ in range(200):
+            at = places[side][i]
+            i, tables[side][at] = int(tables[side][at]), i
+            if i < 0:
+                return True
+            side = 1 - side if places[side][i] == at else side
+        return False
+
+    def _look(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Rank of each pair of symbols; ``NONE`` where it makes no piece."""
         key = left.astype("i8") * self.size + right
         if not len(self.keys):
-            return np.full(key.shape, self.NONE), np.zeros(key.shape, int)
-        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-        return np.where((left >= 0) & (right >= 0) & (self.keys[at] == key), self.rank[at], self.NONE), at
+            return np.full(key.shape, self.NONE)
+        h = key.view("u8")
+        at = self.tables[0][h * np.uint64(self.MIX[0]) >> self.shift]
+        flat, keys = at.reshape(-1), key.reshape(-1)
+        other = np.flatnonzero((self.keys[at] != key).reshape(-1))
+        flat[other] = self.tables[1][keys[other].view("u8") * np.uint64(self.MIX[1]) >> self.shift]
+        return np.where((self.keys[at] == key) & (at >= 0) & (left >= 0) & (right >= 0), self.rank[at], self.NONE)
 
     def _rows(self, table: np.ndarray) -> np.ndarray:
         """The table after all merges (-1: a character of no piece, -2: past the end)."""
         out = np.full(table.shape, -2, "i4")
         owner = np.arange(len(table))
-        rank, at = self._look(table[:, :-1], table[:, 1:])
+        rank = self._look(table[:, :-1], table[:, 1:])
         while table.shape[1] > 1:
+            row = np.arange(len(table))
             best = rank.argmin(1)
-            live = rank[np.arange(len(table)), best] != self.NONE
-            out[owner[~live], : table.shape[1]] = table[~live]
-            table, rank, at, owner, best = table[live], rank[live], at[live], owner[live], best[live]
-            if not len(table):
-                return out
+            first = rank[row, best]
+            live = first != self.NONE
+            if not live.all():
+                out[owner[~live], : table.shape[1]] = table[~live]
+                table, rank, owner, best, first = table[live], rank[live], owner[live], best[live], first[live]
+                if not len(table):
+                    return out
             n, width = table.shape
             row = np.arange(n)
-            table[row, best] = self.made[at[row, best]]
+            made = self.made[first]
+            for k in np.flatnonzero(made < 0).tolist():
+                made[k] = self.pairs[int(table[k, best[k]]) * self.size + int(table[k, best[k] + 1])][1]
+            table[row, best] = made
             keep = np.ones((n, width), bool)
             keep[row, best + 1] = False
             table = table[keep].reshape(n, width - 1)
             # the merged pair's own entry goes; those at its sides are looked up again
             keep = np.ones((n, width - 1), bool)
             keep[row, best] = False
-            rank, at = rank[keep].reshape(n, width - 2), at[keep].reshape(n, width - 2)
+            rank = rank[keep].reshape(n, width - 2)
             for side in (-1, 0):
                 j = best + side
                 ok = np.flatnonzero((j >= 0) & (j < width - 2))
-                rank[ok, j[ok]], at[ok, j[ok]] = self._look(table[ok, j[ok]], table[ok, j[ok] + 1])
+                j = j[ok]
+                rank[ok, j] = self._look(table[ok, j], table[ok, j + 1])
         out[owner, : table.shape[1]] = table
         return out
 
@@ -275,9 +317,9 @@ class Encoder:
         aligned = [self.alignment(t) if t else (b"", np.zeros(1, int)) for t in texts]
         words = [self.words(normal) for normal, _ in aligned] if self.merger else [None] * len(texts)
         if self.merger:
-            new = {w for some in words for w in some if w not in self.place and len(w) <= self.LONGEST_REMEMBERED}
+            new = [w for w in set().union(*words) if w not in self.place and len(w) <= self.LONGEST_REMEMBERED]
             if len(new) <= self.REMEMBERED // 2:
-                self.learn(list(new), room=self.REMEMBERED // 2)
+                self.learn(new, room=self.REMEMBERED // 2)
         for t, a, w in zip(texts, aligned, words):
             yield a, self.encode_words(t, w)
 
@@ -292,6 +334,10 @@ class Encoder:
         if self.merger is None:
             return np.array(self.library.encode(text, num_threads=1), "i4")
         words = self.words(self.alignment(text)[0]) if words is None else words
+        try:
+            return self.whole(self.remembered(words))
+        except KeyError:
+            pass
         parts = []
         # long texts in slices of words, so that what is remembered stays bounded
         for begin in range(0, len(words), self.REMEMBERED // 2):
@@ -300,13 +346,20 @@ class Encoder:
             cuts = [-1, *(k for k, w in enumerate(some) if len(w) > self.LONGEST_REMEMBERED), len(some)]
             self.learn([w for w in some if len(w) <= self.LONGEST_REMEMBERED])
             for i, j in itertools.pairwise(cuts):
-                at = np.fromiter(map(self.place.__getitem__, some[i + 1 : j]), "i8", j - i - 1)
-                size = self.count[at]
-                ends = np.cumsum(size)
-                parts.append(self.pool[np.arange(ends[-1] if len(ends) else 0) + np.repeat(self.first[at] - ends + size, size)])
+                parts.append(self.remembered(some[i + 1 : j]))
                 if j < len(some):
                     parts.append(self.merger([some[j]])[0])
-        ids = np.concatenate(parts)
+        return self.whole(np.concatenate(parts))
+
+    def remembered(self, words: list[str]) -> np.ndarray:
+        """Ids of words that are all remembered."""
+        at = np.fromiter(map(self.place.__getitem__, words), "i4", len(words))
+        size = self.count[at]
+        ends = np.cumsum(size)
+        return self.pool[np.arange(ends[-1] if len(ends) else 0) + np.repeat(self.first[at] - ends + size, size)]
+
+    def whole(self, ids: np.ndarray) -> np.ndarray:
+        """Ids of a whole text from those of its words."""
         if not self.merger.byte_ids and (ids == self.unknown).any():
             # neighbouring unknown characters are one piece
             ids = ids[~((ids == self.unknown) & np.concatenate([[False], ids[:-1] == self.unknown]))]

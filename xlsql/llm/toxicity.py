@@ -1,10 +1,13 @@
-"""Toxicity: a support vector machine over a gap-weighted subsequence kernel, with Nyström landmarks."""
+"""Toxicity: a support vector machine over a normalised gap-weighted subsequence kernel, with Nyström landmarks.
+
+A text is a bag of strings, and is as toxic as the most toxic of them. Strings are compared by the kernel alone: nothing is stripped from
+them, and words of any length count.
+"""
 
 from __future__ import annotations
 
-import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -16,174 +19,185 @@ from xlsql.session import bound_batches
 
 #: Characters of a subsequence, the characters it may span, and the weight of each character spanned.
 LENGTH, SPAN, DECAY = 3, 5, 0.6
-LANDMARKS = 96
-#: Documents of each class that the machine is fitted on, the first by a hash of their ids; shorter words than this never matter.
-SAMPLE_DOCS, LEAST_WORD = 1500, 4
-#: A word counts for a landmark by how far its kernel value, as a share of the landmark's own, is above this.
-FLOOR = 0.35
+LANDMARKS = 128
+#: Documents of each class that the machine is fitted on, the first by a hash of their ids, and bytes of their whole texts.
+SAMPLE_DOCS, SAMPLE_BYTES = 1500, 8 << 20
+#: Longer strings are compared as overlapping pieces of this many characters.
 LONGEST = 24
-REMEMBERED = 250_000
+#: Strings whose margins a worker remembers, and how many are compared together.
+REMEMBERED, AT_ONCE = 250_000, 4096
+#: Neighbours of at most this many characters may be one string that spaces cut.
+SHORT = 3
+#: Rounds of choosing the most toxic string of each text and fitting anew.
+ROUNDS = 4
 OFFSETS = [(a, b) for a in range(1, SPAN - 1) for b in range(a + 1, SPAN)]
-#: Signs that stand inside a word without ending it; they are dropped before comparison.
-STRIP = "".join(map(chr, range(33, 48))) + ":;<=>?@[\\]^_`{|}~"
-DROP = str.maketrans("", "", STRIP)
-
-
-#: Four or more single characters in a row, as in a word spelt with spaces.
-SPELT = re.compile(r"(?<!\S)\S(?:[ \t]\S){3,}(?!\S)").findall
+WEIGHTS = np.array([DECAY ** (LENGTH + k) for k in range(4)])
+MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
-def words_of(text: str | None) -> set[str]:
-    """Distinct lower-case words of a whole text without the signs within and around them; spelt-out words are put together."""
-    if not text:
-        return set()
-    plain = text.lower().translate(DROP)
-    return set(plain.split()).union(x.replace(" ", "").replace("\t", "") for x in SPELT(plain))
+def strings_of(text: str | None) -> set[str]:
+    """The bag of a whole text: its lower-case words between spaces, and what may be words in disguise.
 
-
-def hidden_words(text: str | None, words: set[str]) -> set[str]:
-    """Other readings of a text: every other character of its ``words``, as if one stood between all letters, and neighbours too short to matter alone put together."""
-    every = text.lower().translate(DROP).split() if text else []
-    pairs = {a + b for a, b in zip(every, every[1:]) if len(a) < LEAST_WORD > len(b) and len(a) + len(b) >= LEAST_WORD}
-    return pairs.union(w[::2] for w in words if len(w) >= 2 * LEAST_WORD - 1)
+    Those are every other character of a word (one stands between all letters), neighbours of at most ``SHORT`` characters put together, and
+    runs of single characters put together.
+    """
+    words = text.lower().split() if text else []
+    out = set(words)
+    out.update([w[::2] for w in out if len(w) > 6])
+    run, before = [], ""
+    for w in words:
+        if len(w) <= SHORT:
+            if before:
+                out.add(before + w)
+            before = w
+            if len(w) == 1:
+                run.append(w)
+                continue
+        else:
+            before = ""
+        if len(run) > 3:
+            out.add("".join(run))
+        run = []
+    if len(run) > 3:
+        out.add("".join(run))
+    return out
 
 
 def chunks_of(words: list[str]) -> tuple[list[str], np.ndarray]:
-    """Long words as overlapping pieces of ``LONGEST`` characters, and the word each comes from."""
+    """Words between marks of their ends, long ones as overlapping pieces of ``LONGEST`` characters, and the word each comes from."""
     out, owner = [], []
     for i, w in enumerate(words):
-        for k in range(0, max(1, len(w) - SPAN), LONGEST - 2 * SPAN) if len(w) > LONGEST else (0,):
-            out.append(w[k : k + LONGEST])
+        w = f"\x02{w}\x03"
+        if len(w) <= LONGEST:
+            out.append(w)
             owner.append(i)
+        else:
+            for k in range(0, len(w) - SPAN, LONGEST - 2 * SPAN):
+                out.append(w[k : k + LONGEST])
+                owner.append(i)
     return out, np.array(owner, int)
 
 
-def subsequences(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word, code, weight) of every subsequence of ``LENGTH`` characters that spans at most ``SPAN``."""
-    width = max(map(len, words), default=0) + SPAN
-    flat = np.frombuffer("".join(w.ljust(width, "\0") for w in words).encode("utf-32-le"), "<u4").reshape(len(words), -1).astype("i8")
-    rows, codes, weights = [], [], []
+def subsequences(strings: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(string, code, weight) of every distinct subsequence of ``LENGTH`` characters of each string: the sum of its occurrences' weights.
+
+    An occurrence counts ``DECAY`` to the power of the characters it spans, ``SPAN`` at most. String, 46 bits of a hash of the three
+    characters and the span make up one number, so that one sort brings equal subsequences together. Takes at most 32,768 strings.
+    """
+    width = max(map(len, strings), default=0)
+    flat = np.frombuffer("".join([w.ljust(width + SPAN, "\0") for w in strings]).encode("utf-32-le", "surrogatepass"), "<u4").reshape(len(strings), -1).astype("u8")
+    first, number = flat[:, :width], (np.arange(len(strings), dtype="u8") << np.uint64(48))[:, None]
+    keys = []
     for a, b in OFFSETS:
-        first, mid, last = flat[:, : width - SPAN], flat[:, a : width - SPAN + a], flat[:, b : width - SPAN + b]
-        at, i = np.nonzero(last)
-        rows.append(at)
-        codes.append((first[at, i] * 1_114_112 + mid[at, i]) * 1_114_112 % (1 << 61) + last[at, i])
-        weights.append(np.full(len(at), DECAY ** (b + 1)))
-    return np.concatenate(rows), np.concatenate(codes), np.concatenate(weights)
+        last = flat[:, b : width + b]
+        h = (first * MIX ^ flat[:, a : width + a]) * MIX
+        h = ((h ^ h >> np.uint64(29) ^ last) * MIX) >> np.uint64(18)
+        keys.append((number | h << np.uint64(2) | np.uint64(b - LENGTH + 1))[last != 0])
+    keys = np.sort(np.concatenate(keys))
+    if not len(keys):
+        return np.zeros(0, int), np.zeros(0, "i8"), np.zeros(0)
+    start = np.flatnonzero(np.concatenate([[True], keys[1:] >> np.uint64(2) != keys[:-1] >> np.uint64(2)]))
+    weight = np.add.reduceat(WEIGHTS[(keys & np.uint64(3)).astype("i8")], start)
+    keys = keys[start]
+    return (keys >> np.uint64(48)).astype("i8"), (keys >> np.uint64(2) & np.uint64((1 << 46) - 1)).astype("i8"), weight
 
 
 @dataclass
 class Machine:
-    """Landmarks as sorted subsequence codes with their weights, the whitened direction of the machine, and its calibration."""
+    """Landmark strings as sorted subsequence codes with their normalised weights, the machine's weight of each landmark, and its calibration."""
 
     landmarks: list[str]
     codes: np.ndarray
     table: np.ndarray
-    own: np.ndarray
     direction: np.ndarray
     bias: float
     slope: float
     shift: float
 
-    def nearness(self, words: list[str]) -> np.ndarray:
-        """Kernel of each word with each landmark as a share of the landmark's own kernel, above ``FLOOR``, at most 1."""
-        parts, owner = chunks_of(words)
+    @classmethod
+    def of(cls, landmarks: list[str]) -> Machine:
+        """No direction yet. Landmarks must not be longer than a piece."""
+        at, code, weight = subsequences([f"\x02{z}\x03" for z in landmarks])
+        codes, i = np.unique(code, return_inverse=True)
+        table = np.zeros((len(codes), len(landmarks)))
+        np.add.at(table, (i, at), weight)
+        return cls(landmarks, codes, table / np.maximum(np.sqrt((table**2).sum(0)), 1e-300), np.zeros(len(landmarks)), 0.0, 1.0, 0.0)
+
+    def __post_init__(self):
+        self.known = np.zeros(1 << 16, bool)
+        self.known[self.codes & 0xFFFF] = True
+
+    def kernel(self, words: list[str]) -> np.ndarray:
+        """Normalised kernel, 0 to 1, of each word with each landmark; of a long word that of its best piece."""
         out = np.zeros((len(words), len(self.landmarks)))
-        if not parts or not len(self.codes):
-            return out
-        at, code, weight = subsequences(parts)
-        i = np.minimum(np.searchsorted(self.codes, code), len(self.codes) - 1)
-        hit = self.codes[i] == code
-        at, i, weight = at[hit], i[hit], weight[hit]
-        feature = np.bincount(at * len(self.codes) + i, weight, len(parts) * len(self.codes)).reshape(len(parts), -1) if len(parts) * len(self.codes) < 1 << 24 else None
-        if feature is None:
-            half = len(words) // 2
-            return np.concatenate([self.nearness(words[:half]), self.nearness(words[half:])]) if half else out
-        near = np.minimum(feature @ self.table.T / self.own, 1)
-        np.maximum.at(out, owner, np.maximum(near - FLOOR, 0) / (1 - FLOOR))
+        parts, owner = chunks_of(words)
+        for k in range(0, len(parts), AT_ONCE):
+            at, code, weight = subsequences(parts[k : k + AT_ONCE])
+            if not len(at) or not len(self.codes):
+                continue
+            norm = np.sqrt(np.bincount(at, weight**2))
+            some = np.flatnonzero(self.known[code & 0xFFFF])
+            i = np.minimum(np.searchsorted(self.codes, code[some]), len(self.codes) - 1)
+            same = self.codes[i] == code[some]
+            some, i = some[same], i[same]
+            if not len(some):
+                continue
+            at = at[some]
+            start = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
+            value = np.add.reduceat(self.table[i] * (weight[some] / norm[at])[:, None], start)
+            np.maximum.at(out, owner[k + at[start]], value) if len(parts) != len(words) else out.__setitem__(owner[k + at[start]], value)
         return out
 
-    def margin(self, pooled: np.ndarray) -> np.ndarray:
-        return pooled @ self.direction + self.bias
+    def margins(self, words: list[str]) -> np.ndarray:
+        return self.kernel(words) @ self.direction + self.bias
 
     def score(self, margin: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.shift, -30, 30)))
 
 
-class Pooler:
-    """Maximum over a text's words of their nearness to each landmark; words far from all are remembered as nothing.
-
-    Unless ``plain``, as for fitting, hidden words are pooled too where that makes the text more toxic.
-    """
-
-    def __init__(self, machine: Machine, plain: bool = False):
-        self.plain, self.machine, self.memory, self.rows = plain, machine, {}, []
-
-    def pool(self, texts: list) -> np.ndarray:
-        held = [words_of(t) for t in texts]
-        hidden = [set() if self.plain else hidden_words(t, words) for t, words in zip(texts, held)]
-        new = [w for w in set().union(*held, *hidden) if w not in self.memory] if held else []
-        if len(self.memory) + len(new) > REMEMBERED:
-            self.memory, self.rows = {}, []
-            new = list(set().union(*held, *hidden))
-        usable = [w for w in new if len(w) >= LEAST_WORD]
-        self.memory.update(dict.fromkeys(new, -1))
-        for k in range(0, len(usable), 2048):
-            part = usable[k : k + 2048]
-            near = self.machine.nearness(part)
-            for i in np.flatnonzero(near.any(1)):
-                self.memory[part[i]] = len(self.rows)
-                self.rows.append(near[i])
-        out = np.zeros((len(texts), len(self.machine.landmarks)))
-        for k, words in enumerate(held):
-            at = {self.memory[w] for w in words} - {-1}
-            if at:
-                out[k] = np.max([self.rows[i] for i in at], 0)
-        for k, words in enumerate(hidden):
-            at = {self.memory[w] for w in words} - {-1}
-            if at:
-                both = np.maximum(out[k], np.max([self.rows[i] for i in at], 0))
-                out[k] = max(out[k], both, key=self.machine.margin)
+class Scorer:
+    """Margin of whole texts: the greatest of their strings' margins, which are remembered up to ``REMEMBERED`` strings; an empty text has the bias."""
+
+    def __init__(self, machine: Machine):
+        self.machine, self.memory = machine, {}
+
+    def learn(self, strings: Iterable[str]) -> None:
+        new = [w for w in strings if w not in self.memory]
+        for k in range(0, len(new), AT_ONCE):
+            part = new[k : k + AT_ONCE]
+            self.memory.update(zip(part, self.machine.margins(part).tolist()))
+
+    def margins(self, texts: list[str | None]) -> np.ndarray:
+        bags = [strings_of(t) for t in texts]
+        every = set().union(*bags)
+        if len(self.memory) + len(every) > REMEMBERED:
+            self.memory = {}
+        if len(every) <= REMEMBERED:
+            self.learn(every)
+        out = np.full(len(bags), self.machine.bias)
+        for k, bag in enumerate(bags):
+            if len(every) > REMEMBERED:
+                # a batch of this many strings is one very long text or a few: each is taken in turn
+                held = list(bag)
+                best = max((float(self.machine.margins(held[i : i + AT_ONCE]).max()) for i in range(0, len(held), AT_ONCE)), default=self.machine.bias)
+            else:
+                best = max(map(self.memory.__getitem__, bag), default=self.machine.bias)
+            out[k] = max(best, self.machine.bias)
         return out
 
 
-def _pick_landmarks(docs: list[set[str]], labels: np.ndarray, most: int) -> list[str]:
-    """Strings whose presence tells the classes apart most: words, and stretches of 4 to 8 characters at which words begin or end.
-
-    Taken greedily by the gain in documents of label 1 that no taken string marks yet, so that variants of one stem take few places.
-    """
-    seen: dict[str, set[int]] = {}
-    for k in np.flatnonzero(labels):
-        for w in docs[k]:
-            for s in {w[:LONGEST], *(w[:n] for n in range(LEAST_WORD, min(9, len(w)))), *(w[-n:] for n in range(LEAST_WORD, min(9, len(w))))}:
-                if len(s) >= LEAST_WORD:
-                    seen.setdefault(s, set()).add(int(k))
-    positive, negative = max(1, int(labels.sum())), max(1, int((~labels).sum()))
-    seen = {s: d for s, d in seen.items() if len(d) >= max(2, positive // 400)}
-    against = Counter()
-    for k in np.flatnonzero(~labels):
-        for w in docs[k]:
-            for s in {w[:LONGEST], *(w[:n] for n in range(LEAST_WORD, min(9, len(w)))), *(w[-n:] for n in range(LEAST_WORD, min(9, len(w))))}:
-                if s in seen:
-                    against[s] += 1
-    worth = {s: d for s, d in seen.items() if len(d) / positive > 4 * against[s] / negative}
-    taken, marked = [], Counter()
-    gain = lambda s: sum(marked[k] < 3 for k in worth[s]) * (1 - min(1.0, 4 * against[s] / negative / (len(worth[s]) / positive))) + 1e-3 * len(s)
-    queue = sorted(worth, key=lambda s: (-gain(s), s))
-    while queue and len(taken) < most:
-        top = queue[:64]
-        best = max(top, key=lambda s: (gain(s), s))
-        if gain(best) < 2:
-            break
-        taken.append(best)
-        marked.update(worth[best])
-        queue = [s for s in queue if s != best]
-        if len(taken) % 4 == 0:
-            queue.sort(key=lambda s: (-gain(s), s))
-    return taken
+def _candidates(bags: list[set[str]], labels: np.ndarray) -> dict[str, float]:
+    """Strings that stand in texts of label 1 more often than in others, and by how much: a log-ratio of shares, times the share."""
+    toxic, clean = Counter(), Counter()
+    for bag, label in zip(bags, labels):
+        (toxic if label else clean).update(w for w in bag if len(w) + 2 <= LONGEST)
+    n, m = max(1, int(labels.sum())), max(1, int((~labels).sum()))
+    least = max(2, n // 400)
+    worth = {w: c / n * np.log((c + 0.5) / (n + 1) / ((clean[w] + 0.5) / (m + 1))) for w, c in toxic.items() if c >= least}
+    return {w: v for w, v in worth.items() if v > 0 and toxic[w] / n > 4 * clean[w] / m}
 
 
-def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 1500, ridge: float = 1e-4) -> tuple[np.ndarray, float]:
+def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 800, ridge: float = 1e-4) -> tuple[np.ndarray, float]:
     """Linear machine with squared hinge loss, by accelerated gradient descent."""
     z = np.hstack([x, np.ones((len(x), 1))])
     step = 1 / (2 * np.linalg.eigvalsh(z.T @ (z * weight[:, None]))[-1] / weight.sum() + ridge)
@@ -196,27 +210,41 @@ def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 1500, r
 
 
 def train(texts: list[str], labels: list[int], landmarks: int = LANDMARKS) -> Machine:
-    """Choose landmarks, map texts by Nyström's K(x, landmarks) K(landmarks)^(-1/2), fit the machine, calibrate its margins."""
+    """Fit on labelled texts.
+
+    Landmarks are training strings: first those that tell the classes apart, then, round by round, the strings of clean texts that the machine
+    takes for toxic. Each round maps the most toxic string of every text to its Nyström features k(x, landmarks) k(landmarks)^(-1/2), fits
+    the machine to them, and lets it choose strings anew. At last the margins of the texts are calibrated by a sigmoid.
+    """
     y = np.array(labels, int) == 1
-    docs = [words_of(t) for t in texts]
-    chosen = _pick_landmarks(docs, y, landmarks)
-    if not chosen:
+    bags = [strings_of(t) for t in texts]
+    worth = _candidates(bags, y)
+    if not worth:
         share = float(np.clip(y.mean(), 0.01, 0.49)) if len(y) else 0.01
-        return Machine([], np.zeros(0, "i8"), np.zeros((0, 0)), np.zeros(0), np.zeros(0), 0.0, 0.0, float(np.log(share / (1 - share))))
-    at, code, weight = subsequences(chosen)
-    codes, i = np.unique(code, return_inverse=True)
-    table = np.zeros((len(chosen), len(codes)))
-    np.add.at(table, (at, i), weight)
-    own = (table**2).sum(1)
-    machine = Machine(chosen, codes, table, own, np.zeros(len(chosen)), 0.0, 1.0, 0.0)
-    pooled = Pooler(machine, plain=True).pool(texts)
-    unit = table / np.sqrt(own)[:, None]
-    values, vectors = np.linalg.eigh(unit @ unit.T)
-    whiten = vectors / np.sqrt(np.maximum(values, 1e-2)) @ vectors.T
+        machine = Machine.of([])
+        machine.slope, machine.shift = 0.0, float(np.log(share / (1 - share)))
+        return machine
+    chosen = sorted(worth, key=lambda w: (-worth[w], w))[: landmarks // 2]
+    best = [max(bag, key=lambda w: (worth.get(w, -1.0), w), default="") for bag in bags]
     balance = np.where(y, 0.5 / max(1, y.sum()), 0.5 / max(1, (~y).sum()))
-    direction, bias = _svm(pooled @ whiten, np.where(y, 1.0, -1.0), balance)
-    machine.direction, machine.bias = whiten @ direction, bias
-    margin, slope, shift = machine.margin(pooled), 2.0, 0.0
+    every = sorted({w for bag in bags for w in bag})
+    machine, margins = Machine.of(chosen), {}
+    for turn in range(ROUNDS):
+        own = machine.kernel(machine.landmarks)
+        values, vectors = np.linalg.eigh((own + own.T) / 2)
+        root = vectors / np.sqrt(np.maximum(values, 1e-3)) @ vectors.T
+        direction, machine.bias = _svm(machine.kernel(best) @ root, np.where(y, 1.0, -1.0), balance)
+        machine.direction = root @ direction
+        margins = {}
+        for k in range(0, len(every), AT_ONCE):
+            margins.update(zip(every[k : k + AT_ONCE], machine.margins(every[k : k + AT_ONCE]).tolist()))
+        best = [max(bag, key=lambda w: (margins[w], w), default="") for bag in bags]
+        if turn + 1 < ROUNDS:
+            wrong = Counter(w for w, label in zip(best, y) if not label and margins.get(w, -1) > -0.5 and len(w) + 2 <= LONGEST)
+            more = [w for w, _ in sorted(wrong.items(), key=lambda x: (-x[1], -margins[x[0]], x[0])) if w not in set(machine.landmarks)]
+            added = more[: (landmarks - len(machine.landmarks)) // (ROUNDS - 1 - turn)]
+            machine = Machine.of([*machine.landmarks, *added]) if added else machine
+    margin, slope, shift = np.array([max(margins.get(w, machine.bias), machine.bias) for w in best]), 2.0, 0.0
     goal = np.where(y, (y.sum() + 1) / (y.sum() + 2), 1 / ((~y).sum() + 2))
     for _ in range(200):  # Platt's sigmoid by Newton steps
         p = 1 / (1 + np.exp(-np.clip(slope * margin + shift, -30, 30)))
@@ -231,38 +259,50 @@ def train(texts: list[str], labels: list[int], landmarks: int = LANDMARKS) -> Ma
     return machine
 
 
-def fit(labelled: DataFrame, per_class: int = SAMPLE_DOCS) -> Machine:
-    """Fit on the first ``per_class`` rows of each class of what ``labelled_rows`` has chosen. Null texts teach nothing."""
-    rows = labelled.where(F.col("text").isNotNull()).select(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)).alias("at"), "toxic", "text")
-    found = sorted((r["toxic"], r["at"], r["text"]) for r in rows.collect())
-    held = [x for c in (0, 1) for x in [r for r in found if r[0] == c][:per_class]]
-    return train([t for _, _, t in held], [c for c, _, _ in held])
+def fit(labelled: DataFrame) -> Machine:
+    """Fit on what ``labelled_rows`` has chosen. Null texts teach nothing."""
+    rows = sorted((r["toxic"], r["text"]) for r in labelled.where(F.col("text").isNotNull()).select("toxic", "text").collect())
+    return train([t for _, t in rows], [c for c, _ in rows])
 
 
-def labelled_rows(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_DOCS, doc_id: str = "doc_id", label: str = "toxic") -> DataFrame:
-    """doc_id, text, toxic of at most about twice ``per_class`` labelled documents of each class, the first by a hash of their ids.
+def labelled_rows(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_DOCS, most_bytes: int = SAMPLE_BYTES, doc_id: str = "doc_id", label: str = "toxic") -> DataFrame:
+    """text, toxic of at most ``per_class`` labelled documents of each class and at most ``most_bytes`` of their whole texts, the first by a hash of their ids.
 
-    The ids are chosen before any text is read; their number is bounded, so they are sent to every task.
+    Ids are chosen before any text is read; their number is bounded, so they are sent to every task. A document labelled both ways teaches
+    nothing; of rows that repeat a doc_id the least text counts.
     """
-    known = labels.where(F.col(label).isin(0, 1)).select(F.col(doc_id).alias("doc_id"), F.col(label).cast("int").alias("toxic"), F.pmod(F.xxhash64(doc_id), F.lit(1 << 30)).alias("_at"))
+    known = labels.where(F.col(label).isin(0, 1)).groupBy(F.col(doc_id).alias("doc_id")).agg(F.min(label).cast("int").alias("toxic"), F.max(label).cast("int").alias("other"))
+    known = known.where("toxic = other and doc_id is not null").select("doc_id", "toxic", F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)).alias("place"))
     sizes = {r["toxic"]: r["count"] for r in known.groupBy("toxic").count().collect()}
     share = lambda c: int(min(1.0, 1.2 * per_class / max(1, sizes.get(c, 0))) * (1 << 30))
-    near = known.where(F.col("_at") < F.when(F.col("toxic") == 1, share(1)).otherwise(share(0))).drop("_at").distinct()
-    return docs.select(F.col(doc_id).alias("doc_id"), "text").join(F.broadcast(near), "doc_id")
+    near = known.where(F.col("place") < F.when(F.col("toxic") == 1, share(1)).otherwise(share(0)))
+    held = docs.select(F.col(doc_id).alias("doc_id"), F.col("text").alias("text")).where("text is not null").join(F.broadcast(near), "doc_id")
+    held = held.groupBy("doc_id", "toxic", "place").agg(F.min("text").alias("text"))
+    # at most about 1.2 times per_class rows of each class
+    found = held.select("toxic", "place", "doc_id", F.octet_length("text").alias("bytes")).collect()
+    kept, count, total = [], Counter(), Counter()
+    for r in sorted(found, key=lambda r: (r["place"], r["doc_id"])):
+        c = r["toxic"]
+        if count[c] < per_class and total[c] + r["bytes"] <= most_bytes:
+            kept.append((r["doc_id"], c))
+            count[c] += 1
+        total[c] += r["bytes"]
+    ids = docs.sparkSession.createDataFrame(sorted(set(kept)), known.select("doc_id", "toxic").schema)
+    return held.drop("toxic", "place").join(F.broadcast(ids), "doc_id").select("text", "toxic")
 
 
 def with_toxicity(docs: DataFrame, machine: Machine, text: str = "text", out: str = "toxicity") -> DataFrame:
     """Add a struct column ``out``: score (0 to 1), margin.
 
-    Every word of the whole text is compared; gaps and inserted characters lower a word's nearness but do not break it. Null and empty
-    texts have no word and get the machine's score of nothing. Other columns stay.
+    Every string of the whole text is compared with the landmarks; gaps and inserted characters lower the kernel but do not break it. Null and
+    empty texts have no string and get the machine's score of nothing. Rows and other columns stay, but a column named as ``out`` is replaced.
     """
     bound_batches(docs.sparkSession)
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        pooler = Pooler(machine)
+        scorer = Scorer(machine)
         for batch in batches:
-            margin = machine.margin(pooler.pool(list(batch)))
+            margin = scorer.margins(list(batch))
             yield pd.DataFrame({"score": machine.score(margin), "margin": margin})
 
     return docs.withColumn(out, F.pandas_udf(run, "score double, margin double")(F.col(text)))
