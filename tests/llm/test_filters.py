@@ -103,7 +103,7 @@ def test_fit_is_bounded_and_ignores_nulls(spark):
 
 
 def plain_kernel(a, b):
-    """Gap-weighted subsequences of LENGTH characters that span at most SPAN, by listing them."""
+    """Normalised kernel of gap-weighted subsequences of LENGTH characters that span at most SPAN, by listing them."""
 
     def phi(s):
         out = Counter()
@@ -114,29 +114,37 @@ def plain_kernel(a, b):
         return out
 
     p, q = phi(a), phi(b)
-    return sum(v * q[k] for k, v in p.items())
+    dot = lambda x, y: sum(v * y[k] for k, v in x.items())
+    return dot(p, q) / math.sqrt(dot(p, p) * dot(q, q))
 
 
-def test_kernel_matches_listing():
-    texts, labels = ["you horrid thing", "horrid one", "a nice day", "so kind", "what a horrid fool", "good morning"], [1, 1, 0, 0, 1, 0]
-    m = toxicity.train(texts, labels)
-    assert m.landmarks
-    for w in ("horrid", "hor-rid".replace("-", ""), "hoxrrid", "unrelated", "ho"):
-        near = m.nearness([w])[0]
-        for j, z in enumerate(m.landmarks):
-            share = min(1.0, plain_kernel(w, z) / plain_kernel(z, z))
-            assert near[j] == pytest.approx(max(0, share - toxicity.FLOOR) / (1 - toxicity.FLOOR))
+def test_kernel_matches_listing_and_is_a_kernel():
+    words = ["horrid", "hoxrrid", "h.o.r.r.i.d", "thing", "a", "fu", "aaaaaa", "\x02horri", "日本語です", "abcabcabc"]
+    m = toxicity.Machine.of(words)
+    got = m.kernel(words)
+    for i, w in enumerate(words):
+        for j, z in enumerate(words):
+            assert got[i, j] == pytest.approx(plain_kernel(toxicity.marked(w), toxicity.marked(z)))
+    assert np.allclose(got, got.T) and np.allclose(np.diag(got), 1) and np.linalg.eigvalsh(got).min() > -1e-9
+    # margins add the landmarks up beforehand; of a long word the best piece counts
+    m.direction, m.bias = np.linspace(-1, 2, len(words)), 0.3
+    assert m.margins(words) == pytest.approx(got @ m.direction + 0.3)
+    m.direction = np.eye(len(words))[0]
+    assert m.margins(["x" * 40 + "horrid" + "y" * 40])[0] > 0.3 + 0.05
+
+
+def toxic_score(m):
+    return lambda t: m.score(toxicity.Scorer(m).margins([t]))[0]
 
 
 def test_gapped_and_inserted_characters_are_tolerated():
     rng = random.Random(0)
     plain = [" ".join(rng.choice(["house", "river", "music", "garden", "window", "letter", "summer"]) for _ in range(30)) for _ in range(60)]
     texts = plain + [p + " you " + rng.choice(["worthless", "pathetic"]) for p in plain]
-    m = toxicity.train(texts, [0] * 60 + [1] * 60)
-    score = lambda t: m.score(m.margin(toxicity.Pooler(m).pool([t])))[0]
-    for t in ("a worthless house", "a w.o.r.t.h.l.e.s.s house", "a worthxless house", "a pa*thetic river", "patthetic", "so p a t h e t i c a house"):
+    score = toxic_score(toxicity.train(texts, [0] * 60 + [1] * 60))
+    for t in ("a worthless house", "a w.o.r.t.h.l.e.s.s house", "a worthxless house", "a pa*thetic river", "patthetic", "so p a t h e t i c a house", "pathetic!!"):
         assert score(t) >= 0.5, t
-    for t in (None, "", "a garden by the river", "!!!", "music " * 40_000):
+    for t in (None, "", "a garden by the river", "!!!", "music " * 40_000, " ".join(f"w{i}" for i in range(300_000))):
         assert score(t) < 0.5
 
 
@@ -144,13 +152,55 @@ def test_insults_with_a_character_between_all_letters_or_cut_by_a_space():
     rng = random.Random(1)
     plain = [" ".join(rng.choice(["house", "river", "music", "garden", "window", "letter", "summer", "an", "of", "the"]) for _ in range(30)) for _ in range(80)]
     texts = plain + [p + " you " + rng.choice(["idiot", "stupid", "scum"]) for p in plain]
-    m = toxicity.train(texts, [0] * 80 + [1] * 80)
-    score = lambda t: m.score(m.margin(toxicity.Pooler(m).pool([t])))[0]
+    score = toxic_score(toxicity.train(texts, [0] * 80 + [1] * 80))
     for t in ("the ixdxixoxt of a house", "an i1d1i1o1t", "a sxtxuxpxixd river", "the sxcxuxm", "the sc um of a garden", "a stu pid river"):
         assert score(t) >= 0.5, t
     assert all(score(t) < 0.5 for t in plain[:20])
 
 
+def test_short_insults_count():
+    rng = random.Random(2)
+    plain = [" ".join(rng.choice(["house", "river", "music", "an", "of", "the"]) for _ in range(30)) for _ in range(80)]
+    score = toxic_score(toxicity.train(plain + [p + " fu" for p in plain], [0] * 80 + [1] * 80))
+    assert score("the river fu house") >= 0.5 > score("the river of house")
+
+
+def test_learning_sample_is_bounded_and_consistent(spark):
+    docs = spark.createDataFrame([(i, f"text {i}" * 10, "c") for i in range(50)] + [(7, "another", "c"), (None, "x", "c"), (60, None, "c")], "doc_id long, text string, toxic string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)] + [(3, 0), (4, 0), (None, 1), (60, 1), (41, None), (42, 7)], "doc_id long, toxic int")
+    rows = toxicity.labelled_rows(docs, labels, per_class=10).collect()
+    assert Counter(r["toxic"] for r in rows) == {0: 10, 1: 10}
+    every = {r["text"]: r["toxic"] for r in toxicity.labelled_rows(docs, labels).collect()}
+    # both labels: teaches nothing; repeated rows: the least text
+    assert len(every) == 39 and f"text {3}" * 10 not in every and every["another"] == 1 and every["text 4" * 10] == 0
+    assert sum(len(r["text"]) for r in toxicity.labelled_rows(docs, labels, most_bytes=200).collect()) <= 400
+
+
+def test_registered_toxicity_query(spark):
+    """op6 on the whole table: the columns, the folds, and held-out accuracy."""
+    from xlsql.llm.registry import op6_toxicity
+
+    rows = {r["doc_id"]: r for r in op6_toxicity(spark, SF).collect()}
+    labels = {r["doc_id"]: r["toxic"] for r in load_table(spark, SF, "labels").collect()}
+    assert len(rows) == load_table(spark, SF, "documents").count()
+    assert all(r["held_out"] == (bucket(i, 5) == 0) and r["predicted"] == (r["score"] >= 0.5) and 0 <= r["score"] <= 1 for i, r in rows.items())
+    held = [(rows[i]["predicted"], t) for i, t in labels.items() if i in rows and bucket(i, 5) == 0]
+    assert np.mean([p == t for p, t in held]) >= 0.9
+
+
+def test_registered_language_query(spark):
+    """op8 on the whole table: the columns, the folds, und, and held-out accuracy."""
+    from xlsql.llm.registry import op8_language_id
+
+    rows = {r["doc_id"]: r for r in op8_language_id(spark, SF).collect()}
+    docs = {r["doc_id"]: r for r in load_table(spark, SF, "documents").select("doc_id", "text", "lang").collect()}
+    assert set(rows) == set(docs)
+    for i, r in rows.items():
+        assert r["held_out"] == (bucket(i, 4) == 2) and 0 <= r["score"] <= 1
+        assert (r["lang_pred"] == "und") == (not any(c.isalpha() for c in docs[i]["text"] or "")) and r["lang_pred"] in {"und", "en", "de", "fr", "es"}
+    assert np.mean([r["lang_pred"] == docs[i]["lang"] for i, r in rows.items() if r["held_out"]]) >= 0.97
+
+
 def test_toxicity_on_held_out_documents(spark):
     docs, labels = load_table(spark, SF, "documents").select("doc_id", "text"), load_table(spark, SF, "labels")
     rows = docs.join(labels, "doc_id").collect()

@@ -23,7 +23,10 @@ def components(n, links):
     return [find(i) for i in range(n)]
 
 
-def test_connected_components_of_chains_stars_and_rings(spark):
+@pytest.mark.parametrize("one_task", [0, 10**6])
+def test_connected_components_of_chains_stars_and_rings(spark, monkeypatch, one_task):
+    monkeypatch.setattr(graph, "ONE_TASK", one_task)
+    monkeypatch.setattr(graph, "HOT_ROWS", 50)
     rng = random.Random(3)
     links = [(i, i + 1) for i in range(0, 60)] + [(100, k) for k in range(101, 400)] + [(500 + i, 500 + (i + 1) % 20) for i in range(20)] + [(rng.randrange(600, 900), rng.randrange(600, 900)) for _ in range(150)]
     df = spark.createDataFrame([*links, (7, 7), (None, 3)], "a long, b long").repartition(7)
@@ -65,6 +68,54 @@ def test_cosine_groups_match_brute_force(spark, monkeypatch):
     assert got == {rows[k][0]: (n[k], rows[comp[k]][0], comp[k] == k) for k in range(len(rows))}
 
 
+@pytest.mark.parametrize("kind", ["float", "double"])
+def test_multiples_of_one_vector_over_many_pivots(spark, monkeypatch, kind):
+    """Parallel pivots are one; vectors that differ only by rounding meet whatever cell they are put in."""
+    monkeypatch.setattr(embeddings, "HOME_BLOCK", 12)
+    monkeypatch.setattr(embeddings, "GUEST_BLOCK", 30)
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(4, 16))
+    rows = [(k, (base[k % 4] * rng.uniform(1e-3, 1e3) * (1 + 1e-7 * rng.normal(size=16))).astype("f4" if kind == "float" else "f8").tolist()) for k in range(240)]
+    df = spark.createDataFrame(rows, f"vec_id long, embedding array<{kind}>").repartition(4)
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embeddings.cosine_groups(df).collect()}
+    n, comp = brute_cosine(rows)
+    assert got == {k: (n[k], comp[k]) for k in range(240)} and all(x == 59 for x in n)
+
+
+def test_guest_cells_lose_no_link():
+    """Every vector within reach is at home in the cell itself or in one that gets the vector as guest, whatever the pivots."""
+    rng = np.random.default_rng(4)
+    reach = np.sqrt(2 - 2 * 0.95) + 1e-9
+    spared = total = 0
+    for _ in range(60):
+        dim = int(rng.integers(2, 24))
+        table = embeddings.distinct_directions(embeddings._unit(rng.normal(size=(40, dim)) * rng.choice([1, 1, 1e-9], size=(40, 1)) + rng.normal(size=(1, dim)) * rng.choice([0, 3])))
+        x = embeddings._unit(np.concatenate([table, rng.normal(size=(120, dim)), table[:10] + 1e-9 * rng.normal(size=(len(table[:10]), dim))]))
+        y = embeddings._unit(x + rng.normal(size=x.shape) * 0.3 / np.sqrt(dim))
+        home, near = embeddings.guest_cells(x, table, reach)
+        other, _ = embeddings.guest_cells(y, table, reach)
+        linked = (x * y).sum(1) >= 0.95
+        assert near[np.flatnonzero(linked), other[linked]].all() or ((home == other) | near[np.arange(len(x)), other])[linked].all()
+        spared, total = spared + (~near).sum(), total + near.size
+    assert spared / total > 0.2
+
+
+def test_cell_report_tells_guests(spark):
+    rng = np.random.default_rng(3)
+    rows = [(k, rng.normal(size=3).tolist()) for k in range(400)]
+    report = embeddings.cell_report(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    assert sum(r["homes"] for r in report) == 400 and sum(r["guests"] for r in report) < 400 * 3
+
+
+def test_hot_groups_meet_by_broadcast(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(graph, "HOT_ROWS", 5)
+    rows = spark.createDataFrame([(i, 0 if i < 300 else i % 50) for i in range(600)], "id long, k long")
+    groups = rows.groupBy("k").agg(F.count("*").alias("copies"), F.min("id").alias("first"))
+    assert sorted(map(tuple, graph.join_groups(rows, groups, ["k"]).select("id", "first").collect())) == sorted((i, 0 if i < 300 or i % 50 == 0 else 300 + (i % 50)) for i in range(600))
+
+
 def test_cosine_groups_of_an_empty_table(spark):
     assert embeddings.cosine_groups(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
@@ -83,13 +134,15 @@ def test_fingerprint(text):
 
 def test_bit_groups_cover_every_close_pair():
     rng = random.Random(1)
-    masks = simhash.bit_groups(3)
-    for _ in range(2000):
-        x = rng.getrandbits(64)
-        y = x
-        for b in rng.sample(range(64), 3):
-            y ^= 1 << b
-        assert any(x & m == y & m for m in masks)
+    for n in (0, 10**5, 10**9, 10**11):
+        masks = simhash.bit_groups(3, n)
+        assert all(m.bit_count() >= min(20, n.bit_length()) for m in masks)
+        for _ in range(500):
+            x = rng.getrandbits(64)
+            y = x
+            for b in rng.sample(range(64), 3):
+                y ^= 1 << b
+            assert any(x & m == y & m for m in masks)
 
 
 def brute_groups(rows, distance=3):
@@ -135,5 +188,27 @@ def test_dedup_keep_keeps_one_of_each_group_and_all_columns(spark):
     assert sorted(map(tuple, kept.collect()), key=str) == sorted([rows[0], rows[2], rows[4]], key=str)
 
 
+def test_dedup_keep_is_the_same_whatever_the_partitions(spark):
+    rows = [(1, f"text number {i % 3} of one document", i, "c") for i in range(40)] + [(2, None, 1, "c"), (2, None, 1, "c")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _kept_id int, _all string")
+    first = {str(sorted(map(tuple, simhash.dedup_keep(df.repartition(n)).collect()))) for n in (1, 3, 8)}
+    assert len(first) == 1 and simhash.dedup_keep(df).columns == df.columns
+
+
+def test_table_of_distances_discards_pairs(spark):
+    r = simhash.pair_report(spark.createDataFrame(corpus(300), "doc_id long, text string")).first()
+    assert r["met"] >= r["passed"] >= r["linked"] > 0
+
+
+def test_registered_simhash_query_matches_brute_force(spark):
+    from xlsql.llm.registry import op3_simhash_near_dedup
+    from xlsql.session import load_table
+
+    sf = "/root/testdata/sf0.001"
+    rows = [(r["doc_id"], r["text"]) for r in load_table(spark, sf, "documents").select("doc_id", "text").orderBy("doc_id").collect()]
+    prints, comp = brute_groups(rows)
+    assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in op3_simhash_near_dedup(spark, sf).collect()} == {rows[k][0]: (f"{prints[k]:016x}", rows[comp[k]][0]) for k in range(len(rows))}
+
+
 def test_simhash_of_an_empty_table(spark):
     assert simhash.simhash_groups(spark.createDataFrame([], "doc_id long, text string")).count() == 0

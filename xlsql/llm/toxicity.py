@@ -19,7 +19,7 @@ from xlsql.session import bound_batches
 
 #: Characters of a subsequence, the characters it may span, and the weight of each character spanned.
 LENGTH, SPAN, DECAY = 3, 5, 0.6
-LANDMARKS = 128
+LANDMARKS = 192
 #: Documents of each class that the machine is fitted on, the first by a hash of their ids, and bytes of their whole texts.
 SAMPLE_DOCS, SAMPLE_BYTES = 1500, 8 << 20
 #: Longer strings are compared as overlapping pieces of this many characters.
@@ -28,26 +28,32 @@ LONGEST = 24
 REMEMBERED, AT_ONCE = 250_000, 4096
 #: Neighbours of at most this many characters may be one string that spaces cut.
 SHORT = 3
-#: Rounds of choosing the most toxic string of each text and fitting anew.
-ROUNDS = 4
+#: Characters of a word's beginning that can be a stem.
+STEM = 5
+#: Most rounds of choosing the most toxic string of each text and fitting anew, and the weight of a string that only told a text from the start.
+ROUNDS, TELLING = 6, 0.25
 OFFSETS = [(a, b) for a in range(1, SPAN - 1) for b in range(a + 1, SPAN)]
 WEIGHTS = np.array([DECAY ** (LENGTH + k) for k in range(4)])
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
-def strings_of(text: str | None) -> set[str]:
+def strings_of(text: str | None, disguised: bool = True) -> set[str]:
     """The bag of a whole text: its lower-case words between spaces, and what may be words in disguise.
 
     Those are every other character of a word (one stands between all letters), neighbours of at most ``SHORT`` characters put together, and
-    runs of single characters put together.
+    runs of single characters put together. The beginnings of words longer than ``STEM`` count as strings too, behind the mark of a word's begin.
     """
     words = text.lower().split() if text else []
     out = set(words)
-    out.update([w[::2] for w in out if len(w) > 6])
+    long = [w for w in out if len(w) > STEM]
+    out.update(["\x02" + w[:STEM] for w in long])
+    if not disguised:
+        return out
+    out.update([w[::2] for w in long])
     run, before = [], ""
     for w in words:
         if len(w) <= SHORT:
-            if before:
+            if len(before) + len(w) > SHORT and before:
                 out.add(before + w)
             before = w
             if len(w) == 1:
@@ -63,11 +69,16 @@ def strings_of(text: str | None) -> set[str]:
     return out
 
 
+def marked(word: str) -> str:
+    """A word between the marks of its ends; a beginning has its mark already."""
+    return word if word[:1] == "\x02" else f"\x02{word}\x03"
+
+
 def chunks_of(words: list[str]) -> tuple[list[str], np.ndarray]:
     """Words between marks of their ends, long ones as overlapping pieces of ``LONGEST`` characters, and the word each comes from."""
     out, owner = [], []
     for i, w in enumerate(words):
-        w = f"\x02{w}\x03"
+        w = marked(w)
         if len(w) <= LONGEST:
             out.append(w)
             owner.append(i)
@@ -84,7 +95,9 @@ def subsequences(strings: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray
     An occurrence counts ``DECAY`` to the power of the characters it spans, ``SPAN`` at most. String, 46 bits of a hash of the three
     characters and the span make up one number, so that one sort brings equal subsequences together. Takes at most 32,768 strings.
     """
-    width = max(map(len, strings), default=0)
+    if not strings:
+        return np.zeros(0, int), np.zeros(0, "i8"), np.zeros(0)
+    width = max(map(len, strings))
     flat = np.frombuffer("".join([w.ljust(width + SPAN, "\0") for w in strings]).encode("utf-32-le", "surrogatepass"), "<u4").reshape(len(strings), -1).astype("u8")
     first, number = flat[:, :width], (np.arange(len(strings), dtype="u8") << np.uint64(48))[:, None]
     keys = []
@@ -117,7 +130,7 @@ class Machine:
     @classmethod
     def of(cls, landmarks: list[str]) -> Machine:
         """No direction yet. Landmarks must not be longer than a piece."""
-        at, code, weight = subsequences([f"\x02{z}\x03" for z in landmarks])
+        at, code, weight = subsequences([marked(z) for z in landmarks])
         codes, i = np.unique(code, return_inverse=True)
         table = np.zeros((len(codes), len(landmarks)))
         np.add.at(table, (i, at), weight)
@@ -127,29 +140,36 @@ class Machine:
         self.known = np.zeros(1 << 16, bool)
         self.known[self.codes & 0xFFFF] = True
 
+    def _hits(self, parts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(part, place among the codes, weight as a share of the part's norm) of the subsequences that a landmark has."""
+        at, code, weight = subsequences(parts)
+        if not len(at) or not len(self.codes):
+            return np.zeros(0, int), np.zeros(0, int), np.zeros(0)
+        norm = np.sqrt(np.bincount(at, weight**2))
+        some = np.flatnonzero(self.known[code & 0xFFFF])
+        i = np.minimum(np.searchsorted(self.codes, code[some]), len(self.codes) - 1)
+        same = self.codes[i] == code[some]
+        some, i = some[same], i[same]
+        return at[some], i, weight[some] / norm[at[some]]
+
     def kernel(self, words: list[str]) -> np.ndarray:
-        """Normalised kernel, 0 to 1, of each word with each landmark; of a long word that of its best piece."""
+        """Normalised kernel, 0 to 1, of each word (of its first piece, if it is long) with each landmark."""
         out = np.zeros((len(words), len(self.landmarks)))
-        parts, owner = chunks_of(words)
-        for k in range(0, len(parts), AT_ONCE):
-            at, code, weight = subsequences(parts[k : k + AT_ONCE])
-            if not len(at) or not len(self.codes):
-                continue
-            norm = np.sqrt(np.bincount(at, weight**2))
-            some = np.flatnonzero(self.known[code & 0xFFFF])
-            i = np.minimum(np.searchsorted(self.codes, code[some]), len(self.codes) - 1)
-            same = self.codes[i] == code[some]
-            some, i = some[same], i[same]
-            if not len(some):
-                continue
-            at = at[some]
-            start = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
-            value = np.add.reduceat(self.table[i] * (weight[some] / norm[at])[:, None], start)
-            np.maximum.at(out, owner[k + at[start]], value) if len(parts) != len(words) else out.__setitem__(owner[k + at[start]], value)
+        for k in range(0, len(words), AT_ONCE):
+            at, i, share = self._hits([marked(w)[:LONGEST] for w in words[k : k + AT_ONCE]])
+            for j in range(0, len(at), 1 << 17):
+                np.add.at(out, k + at[j : j + (1 << 17)], self.table[i[j : j + (1 << 17)]] * share[j : j + (1 << 17), None])
         return out
 
     def margins(self, words: list[str]) -> np.ndarray:
-        return self.kernel(words) @ self.direction + self.bias
+        """Margin of each word; of a long one that of its best piece. The landmarks' weights are added up for each subsequence beforehand."""
+        out, worth = np.full(len(words), -np.inf), self.table @ self.direction
+        parts, owner = chunks_of(words)
+        for k in range(0, len(parts), AT_ONCE):
+            at, i, share = self._hits(parts[k : k + AT_ONCE])
+            value = np.bincount(at, share * worth[i], len(parts[k : k + AT_ONCE])) if len(at) else np.zeros(len(parts[k : k + AT_ONCE]))
+            np.maximum.at(out, owner[k : k + AT_ONCE], value + self.bias)
+        return out
 
     def score(self, margin: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.shift, -30, 30)))
@@ -187,14 +207,19 @@ class Scorer:
 
 
 def _candidates(bags: list[set[str]], labels: np.ndarray) -> dict[str, float]:
-    """Strings that stand in texts of label 1 more often than in others, and by how much: a log-ratio of shares, times the share."""
+    """Strings that stand in texts of label 1 more often than in others beyond chance, and how much they tell: a log-ratio of shares, times the share."""
     toxic, clean = Counter(), Counter()
     for bag, label in zip(bags, labels):
         (toxic if label else clean).update(w for w in bag if len(w) + 2 <= LONGEST)
     n, m = max(1, int(labels.sum())), max(1, int((~labels).sum()))
-    least = max(2, n // 400)
-    worth = {w: c / n * np.log((c + 0.5) / (n + 1) / ((clean[w] + 0.5) / (m + 1))) for w, c in toxic.items() if c >= least}
-    return {w: v for w, v in worth.items() if v > 0 and toxic[w] / n > 4 * clean[w] / m}
+    worth, often = {}, {w: c for w, c in toxic.items() if c > 2}
+    # of so many strings one would come this far by chance
+    chance = 2 * np.log(max(2, len(often)))
+    for w, c in often.items():
+        p, q, both = c / n, clean[w] / m, (c + clean[w]) / (n + m)
+        if p > 4 * q and (p - q) ** 2 > chance * both * (1 - both + 1e-9) * (1 / n + 1 / m):
+            worth[w] = p * np.log((p + 0.5 / n) / (q + 0.5 / m))
+    return worth
 
 
 def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, rounds: int = 800, ridge: float = 1e-4) -> tuple[np.ndarray, float]:
@@ -218,29 +243,47 @@ def train(texts: list[str], labels: list[int], landmarks: int = LANDMARKS) -> Ma
     """
     y = np.array(labels, int) == 1
     bags = [strings_of(t) for t in texts]
-    worth = _candidates(bags, y)
+    plain = [strings_of(t, False) for t in texts]
+    worth = _candidates(plain, y)
     if not worth:
         share = float(np.clip(y.mean(), 0.01, 0.49)) if len(y) else 0.01
         machine = Machine.of([])
         machine.slope, machine.shift = 0.0, float(np.log(share / (1 - share)))
         return machine
     chosen = sorted(worth, key=lambda w: (-worth[w], w))[: landmarks // 2]
-    best = [max(bag, key=lambda w: (worth.get(w, -1.0), w), default="") for bag in bags]
-    balance = np.where(y, 0.5 / max(1, y.sum()), 0.5 / max(1, (~y).sum()))
+    best = [max(bag, key=lambda w: (worth.get(w, -1.0), w), default="") for bag in plain]
+    # a text of label 1 without any string that tells it from others teaches nothing about strings
+    told = np.array([not label or w in worth for w, label in zip(best, y)])
+    telling = Counter(w for bag, label in zip(plain, y) if label for w in bag & worth.keys())
     every = sorted({w for bag in bags for w in bag})
-    machine, margins = Machine.of(chosen), {}
+    machine, margins, against = Machine.of(chosen), {}, Counter()
     for turn in range(ROUNDS):
         own = machine.kernel(machine.landmarks)
         values, vectors = np.linalg.eigh((own + own.T) / 2)
         root = vectors / np.sqrt(np.maximum(values, 1e-3)) @ vectors.T
-        direction, machine.bias = _svm(machine.kernel(best) @ root, np.where(y, 1.0, -1.0), balance)
+        # the most toxic string of each text told, and all that told it from the start
+        toxic = {w: TELLING * c for w, c in telling.items()}
+        for w, label, t in zip(best, y, told):
+            if label and t:
+                toxic[w] = toxic.get(w, 0.0) + 1
+        # what is toxic stays so with a character put in or behind it
+        seen = [(w, True) for w in toxic]
+        seen += [(v, True) for w, label in seen if len(w) > 3 and w[0] != "\x02" for v in (w[: len(w) // 2] + "\x04" + w[len(w) // 2 :], w + "\x04", w[:1] + "\x04" + w[1:])]
+        # every string that a clean text was taken for in any round stays a counterexample
+        against.update(w for w, label in zip(best, y) if not label)
+        times = np.array([toxic.get(w, 1.0) for w, _ in seen] + list(against.values()), float)
+        seen += [(w, False) for w in against]
+        mark = np.array([label for _, label in seen])
+        balance = np.where(mark, 0.5 / max(1, times[mark].sum()), 0.5 / max(1, times[~mark].sum())) * times
+        direction, machine.bias = _svm(machine.kernel([w for w, _ in seen]) @ root, np.where(mark, 1.0, -1.0), balance)
         machine.direction = root @ direction
-        margins = {}
-        for k in range(0, len(every), AT_ONCE):
-            margins.update(zip(every[k : k + AT_ONCE], machine.margins(every[k : k + AT_ONCE]).tolist()))
+        margins = dict(zip(every, machine.margins(every).tolist()))
         best = [max(bag, key=lambda w: (margins[w], w), default="") for bag in bags]
+        told = np.array([not label or margins.get(w, -1) > 0 for w, label in zip(best, y)])
+        if not any(margins.get(w, -1) > 0 for w, label in zip(best, y) if not label and w not in against):
+            break
         if turn + 1 < ROUNDS:
-            wrong = Counter(w for w, label in zip(best, y) if not label and margins.get(w, -1) > -0.5 and len(w) + 2 <= LONGEST)
+            wrong = Counter(w for w, label in zip(best, y) if not label and margins.get(w, -1) > -0.5 and 3 < len(w) < LONGEST - 1)
             more = [w for w, _ in sorted(wrong.items(), key=lambda x: (-x[1], -margins[x[0]], x[0])) if w not in set(machine.landmarks)]
             added = more[: (landmarks - len(machine.landmarks)) // (ROUNDS - 1 - turn)]
             machine = Machine.of([*machine.landmarks, *added]) if added else machine
