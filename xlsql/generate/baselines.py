@@ -27,6 +27,18 @@ INTENTS = (
 STOP = ("the", "of", "and", "with", "have", "has", "are", "there", "is", "in", "to", "a", "an", "each", "many", "how", "list", "show", "more", "than", "no", "number", "up", "were", "made", "from", "which", "what", "but", "one", "come")
 
 
+# What the cues of questions become in the invented locale, and the form that the generators know.
+LOCALE_CUES = {"source": (), "target": (("kac", "how many"), ("moreden", "more than"), ("moredan", "more than"), ("numberun", "number of"), ("upa", "up to"))}
+
+
+def canonical_question(question: str, locale: str = "source", coverage: float = 1.0) -> str:
+    """A question with its locale's cues in the form that the generators know; ``coverage`` is the share of the cue table that they were given."""
+    known = LOCALE_CUES[locale]
+    for cue, plain in known[: round(coverage * len(known))]:
+        question = re.sub(rf"(?<!\w){cue}(?!\w)", plain, question)
+    return question
+
+
 @dataclass(frozen=True)
 class ExperimentConfig:
     """What must be equal for a comparison to be controlled; its hash goes with every prediction."""
@@ -35,6 +47,7 @@ class ExperimentConfig:
     temperature: float = 0.0
     evidence: bool = True
     descriptions: bool = True
+    coverage: float = 1.0
     seed: int = 42
 
     @property
@@ -121,21 +134,22 @@ def _template(intent: str, table: str, columns: Sequence[str], question: str, ev
     return f"SELECT {', '.join(columns) or '*'} FROM {table}{where}"
 
 
-def direct(question: str, evidence: str, schema: dict[str, list[str]]) -> str:
-    """One pass: the table whose names overlap the question most, all its columns, filters from the evidence."""
+def direct(question: str, evidence: str, schema: dict[str, list[str]], run: int = 0) -> str:
+    """One pass: the table whose names overlap the question most, all its columns, filters from the evidence. ``run`` only breaks ties between tables."""
     words = set(re.findall(r"[a-z]+", question.lower()))
     stem = lambda w: w[:-1] if w.endswith("s") else w
     words = {stem(w) for w in words}
-    table = max(sorted(schema), key=lambda t: (stem(t) in words, sum(stem(p) in words for c in schema[t] for p in c.split("_"))))
+    lot = lambda t: hashlib.md5(f"{run} {question} {t}".encode()).hexdigest()
+    table = max(sorted(schema), key=lambda t: (stem(t) in words, sum(stem(p) in words for c in schema[t] for p in c.split("_")), lot(t)))
     named = [c for c in re.findall(r"`(\w+)`", evidence) if c in schema[table]]
     intent = "filter_count" if question.lower().startswith("how many") else "lookup"
     return _template(intent, table, named, question, evidence)
 
 
-def staged(question: str, evidence: str, schema: dict[str, list[str]], links: Sequence[tuple[str, str]], intent: str, stages: Sequence[str] = ("link", "intent")) -> str:
+def staged(question: str, evidence: str, schema: dict[str, list[str]], links: Sequence[tuple[str, str]], intent: str, stages: Sequence[str] = ("link", "intent"), run: int = 0) -> str:
     """Linked columns choose the table and the order of columns; the class of the query chooses its form."""
     if "link" not in stages or not links:
-        return direct(question, evidence, schema)
+        return direct(question, evidence, schema, run)
     named = [c for c in re.findall(r"`(\w+)`", evidence)]
     tables = Counter(t for t, _ in links)
     own = [t for t, cols in schema.items() if any(c in cols for c in named)]
@@ -158,15 +172,53 @@ def nearest(name: str, names: Sequence[str]) -> str:
     return min(names, key=lambda n: (distance(name, n), n))
 
 
-def self_correct(session: SparkSession, sql: str, schema: dict[str, list[str]], rounds: int = 2) -> tuple[str, int, bool]:
-    """Revise a query by what its analysis says: unknown columns and tables become the nearest known names. (query, rounds used, valid)."""
+def nearest_value(session: SparkSession, table: str, column: str, value: str) -> str | None:
+    """The column's value nearest to one that it does not have, among its most frequent 200; None if it has the value or is no text."""
+    kind = dict(session.table(table).dtypes).get(column)
+    if kind != "string" or not session.table(table).where(F.col(column) == value).isEmpty():
+        return None
+    known = [r[0] for r in session.table(table).where(F.col(column).isNotNull()).groupBy(column).count().orderBy(F.desc("count"), column).limit(200).collect()]
+    return nearest(value, known) if known else None
+
+
+def result_fault(session: SparkSession, sql: str, question: str = "") -> str | None:
+    """What execution says of a valid query: ``empty`` if it gives no row, ``shape`` if a question of how many in all gets more than one row or a column."""
+    rows = session.sql(sql).limit(2).collect()
+    if not rows:
+        return "empty"
+    if question.lower().startswith("how many") and " each " not in question.lower() and (len(rows) > 1 or len(rows[0]) > 1):
+        return "shape"
+    return None
+
+
+def self_correct(session: SparkSession, sql: str, schema: dict[str, list[str]], rounds: int = 2, question: str = "", execute: bool = False, trace: list | None = None) -> tuple[str, int, bool]:
+    """Revise a query by feedback. (query, rounds used, valid).
+
+    Analysis: unknown columns and tables become the nearest known names. With ``execute``, results: where none comes back, a text literal that its column
+    does not have becomes the nearest value of the column; where a count is asked for and rows come back, they are counted. ``trace``
+    collects (round, fault, query) of each revision.
+    """
+    note = lambda k, fault: trace.append((k, fault, sql)) if trace is not None else None
     for k in range(rounds + 1):
         try:
             session.sql(sql).schema  # noqa: B018
-            return sql, k, True
+            fault = result_fault(session, sql, question) if execute and k < rounds else None
+            if fault is None:
+                return sql, k, True
+            note(k, fault)
+            if fault == "shape":
+                sql = f"SELECT count(*) FROM ({sql})"
+                continue
+            tables = [t for t in schema if re.search(rf"\b{re.escape(t)}\b", sql)]
+            found = [(c, v, near) for c, v in re.findall(r"(\w+) = '([^']*)'", sql) for t in tables if c in schema[t] and (near := nearest_value(session, t, c, v)) is not None]
+            if not found:
+                return sql, k, True
+            c, v, near = found[0]
+            sql = sql.replace(f"{c} = '{v}'", f"{c} = '{near}'")
         except AnalysisException as e:
             if k == rounds:
                 return sql, k, False
+            note(k, "analysis")
             said = str(e)
             m = re.search(r"(?:with name|view) `?([\w`.]+?)`? cannot", said)
             wrong = m.group(1).strip("`").split("`.`")[-1].split(".")[-1] if m else None

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import itertools
+from dataclasses import dataclass
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,9 +14,10 @@ from xlsql.localize import sql_tree
 from xlsql.localize import text as lt
 from xlsql.mapping import names as nm
 from xlsql.mapping.lexicon import lexicon_table
-from xlsql.providers.base import InventedLocaleProvider, Provider
+from xlsql.providers.base import EchoProvider, InventedLocaleProvider, Provider
+from xlsql.session import materialize, run_folder
 from xlsql.verify import checks
-from xlsql.verify.exec_equal import run_pair
+from xlsql.verify.exec_equal import run_pairs
 
 
 def localize_items_sql(items: DataFrame, names: dict[str, dict], schemas: dict[str, dict[str, list[str]]]) -> DataFrame:
@@ -29,74 +34,125 @@ def localize_items_sql(items: DataFrame, names: dict[str, dict], schemas: dict[s
     return items.join(texts, ["db_id", "sql"])
 
 
-def verify_items(spark: SparkSession, sf_dir: str, items: DataFrame, names: dict[str, dict], most: int = 20_000) -> DataFrame:
-    """exec flags: pairs whose results differ. Distinct pairs only; most end at the plan rung, without reading data.
+def open_both(spark: SparkSession, sf_dir: str, db_id: str, names: dict) -> tuple[SparkSession, SparkSession]:
+    """Sessions of a database under its own and under its localized names."""
+    target = spark.newSession()
+    target.conf.set("spark.sql.session.timeZone", "UTC")
+    nm.publish_localized_views(target, sf_dir, DATABASES[db_id], names)
+    return open_database(spark, sf_dir, DATABASES[db_id]), target
+
+
+def verify_items(spark: SparkSession, sf_dir: str, items: DataFrame, names: dict[str, dict], batch: int = 2000) -> DataFrame:
+    """Add verdict and rung of each item's pair of texts. Distinct pairs only; most end at the plan rung, without reading data.
 
-    Pairs are driven from here, one or two small jobs each, so a call takes at most ``most`` distinct pairs; larger sets go in slices by db_id.
+    Pairs are driven from here, several at a time, in batches whose verdicts are written, so any number of them passes through.
     """
-    pairs = items.select("db_id", "sql", "sql_loc").distinct().limit(most + 1).collect()
-    if len(pairs) > most:
-        raise ValueError("verify in slices")
-    rows, sessions = [], {}
-    for r in pairs:
-        if r["db_id"] not in sessions:
-            db = DATABASES[r["db_id"]]
-            target = spark.newSession()
-            target.conf.set("spark.sql.session.timeZone", "UTC")
-            nm.publish_localized_views(target, sf_dir, db, names[r["db_id"]])
-            sessions[r["db_id"]] = open_database(spark, sf_dir, db), target
-        source, target = sessions[r["db_id"]]
-        result = run_pair(source, r["sql"], target, r["sql_loc"])
-        rows.append((r["db_id"], r["sql"], result.verdict, result.rung))
-    verdicts = spark.createDataFrame(rows, "db_id string, sql string, verdict string, rung string")
-    return items.join(verdicts, ["db_id", "sql"])
-
-
-def build_localized(spark: SparkSession, sf_dir: str, items: DataFrame, locale: str = "es", provider: Provider | None = None) -> DataFrame:
-    """item_id, db_id, question_loc, evidence_loc, sql_loc, verdict, rung, flags of every item."""
-    name_map = nm.build_name_map(extract_all(spark, sf_dir), lexicon_table(spark, locale))
-    used = [r[0] for r in items.select("db_id").distinct().collect()]
-    names = {d: nm.as_dict(name_map, d) for d in used}
-    schemas = {d: columns_of(spark, sf_dir, DATABASES[d]) for d in used}
-    out = None
-    for d in used:
-        part = items.where(F.col("db_id") == d).withColumn("evidence_std", lt.standardize_evidence(F.col("evidence"), lt.span_map(name_map, d)))
-        out = part if out is None else out.unionByName(part)
-    text = lt.localize_text(out, provider or InventedLocaleProvider(), "question", "evidence_std").withColumnRenamed("evidence_std_loc", "evidence_loc")
-    held = verify_items(spark, sf_dir, localize_items_sql(text, names, schemas), names)
-    localized = {d: {names[d]["table"][t]: [names[d]["column"][c] for c in cs] for t, cs in schemas[d].items()} for d in used}
-    refs = checks.sql_references(held.select("item_id", "db_id", F.col("sql_loc").alias("sql")), localized)
-    flags = checks.collect_flags(
+    sessions, path = {d: open_both(spark, sf_dir, d, n) for d, n in names.items()}, run_folder(spark, "verdicts")
+    schema = "db_id string, sql string, sql_loc string, verdict string, rung string"
+    spark.createDataFrame([], schema).write.parquet(path)
+    pairs = items.select("db_id", "sql", "sql_loc").distinct().toLocalIterator()
+    while held := list(itertools.islice(pairs, batch)):
+        asked = [(sessions[r["db_id"]][0], r["sql"], sessions[r["db_id"]][1], r["sql_loc"]) for r in held]
+        results = run_pairs(asked)
+        spark.createDataFrame([(*r, x.verdict, x.rung) for r, x in zip(held, results)], schema).write.mode("append").parquet(path)
+    return items.join(spark.read.schema(schema).parquet(path), ["db_id", "sql", "sql_loc"])
+
+
+@dataclass
+class Maps:
+    """The name map in force: the relation, and what workers need of it for each database."""
+
+    table: DataFrame
+    names: dict[str, dict]
+    schemas: dict[str, dict[str, list[str]]]
+
+    @classmethod
+    def of(cls, spark: SparkSession, sf_dir: str, table: DataFrame, databases: list[str]) -> Maps:
+        return cls(table, {d: nm.as_dict(table, d) for d in databases}, {d: columns_of(spark, sf_dir, DATABASES[d]) for d in databases})
+
+    @property
+    def localized(self) -> dict[str, dict[str, list[str]]]:
+        return {d: {n["table"][t]: [n["column"][c] for c in cs] for t, cs in self.schemas[d].items()} for d, n in self.names.items()}
+
+
+def localize_once(spark: SparkSession, sf_dir: str, items: DataFrame, maps: Maps, provider: Provider, joint: bool = True) -> DataFrame:
+    """Evidence, text, SQL and verdict of each item under the maps in force, written."""
+    parts = [items.where(F.col("db_id") == d).withColumn("evidence_std", lt.standardize_evidence(F.col("evidence"), lt.span_map(maps.table, d))) for d in maps.names]
+    text = lt.localize_text(reduce(DataFrame.unionByName, parts), provider, "question", "evidence_std", joint).withColumnRenamed("evidence_std_loc", "evidence_loc")
+    # verdicts are batches of jobs: what they are asked for is made once
+    made = materialize(localize_items_sql(text, maps.names, maps.schemas), "localized")
+    return materialize(verify_items(spark, sf_dir, made, maps.names), "verified")
+
+
+def check_items(spark: SparkSession, held: DataFrame, maps: Maps, provider: Provider) -> DataFrame:
+    """Flags (item_id, reason, detail): results that differ, names outside the map, spans that the item's SQL does not use, lost constants and comparisons, stray back-ticks."""
+    refs = checks.sql_references(held.select("item_id", "db_id", F.col("sql_loc").alias("sql")), maps.localized)
+    texts = held.withColumn("b", F.concat_ws(" ", "question", "evidence_std")).withColumn("a", F.concat_ws(" ", "question_loc", "evidence_loc"))
+    found = (
         held.where("verdict <> 'equal'").select("item_id", F.lit("exec").alias("reason"), F.col("rung").alias("detail")),
         held.where("problems <> ''").select("item_id", F.lit("sql_name").alias("reason"), F.col("problems").alias("detail")),
-        checks.check_sql_identifiers(refs, name_map),
-        checks.check_evidence_identifiers(held, name_map, "evidence_loc"),
-        lt.check_constants(held.withColumn("b", F.concat_ws(" ", "question", "evidence_std")).withColumn("a", F.concat_ws(" ", "question_loc", "evidence_loc")), "b", "a").withColumn("detail", F.lit("")),
+        checks.check_sql_identifiers(refs, maps.table),
+        checks.check_evidence_identifiers(held, maps.table, "evidence_loc", refs),
+        lt.check_constants(texts, "b", "a").withColumn("detail", F.lit("")),
+        lt.check_comparatives(held, lt.cue_table(spark), lt.cue_table(spark, getattr(provider, "phrase", None))),
+        held.select("item_id", lt.parse_flags(F.col("evidence_loc")).alias("reason"), F.lit("").alias("detail")).where("reason is not null"),
     )
-    done = held.join(flags.select("item_id", "reasons"), "item_id", "left")
-    return done.select("item_id", "db_id", "split", "question_loc", "evidence_loc", "sql_loc", "verdict", "rung", F.coalesce("reasons", F.lit("")).alias("flags"))
+    return reduce(DataFrame.unionByName, found)
+
+
+def amend_maps(spark: SparkSession, sf_dir: str, maps: Maps, databases: list[str]) -> Maps:
+    """Maps made one-to-one again in the given databases; the version of their rows grows, other databases keep theirs."""
+    mine = maps.table.where(F.col("db_id").isin(databases))
+    again = nm.resolve_collisions(mine.withColumn("candidate", F.col("localized")).drop("localized")).withColumn("version", F.col("version") + 1)
+    table = materialize(maps.table.where(~F.col("db_id").isin(databases)).unionByName(again.select(*maps.table.columns)), "maps")
+    return Maps.of(spark, sf_dir, table, list(maps.names))
+
+
+def build_localized(spark: SparkSession, sf_dir: str, items: DataFrame, locale: str = "es", provider: Provider | None = None, name_map: DataFrame | None = None, max_rounds: int = 3, history: list | None = None) -> DataFrame:
+    """The whole construction: localize, verify, flag, judge, correct what the judge sends back, and verify it again.
+
+    A map that is not one-to-one is amended, and all items of its database, and of no other, are made anew; texts that lost constants, comparisons or
+    spans are localized part by part, and in the last round kept as they were. Returns item_id, db_id, split, question_loc, evidence_loc, sql_loc, verdict,
+    rung, flags, score, decision (``keep``, or what the judge says of an item that still fails), rounds. ``history`` collects (round, items made, items flagged).
+    """
+    provider = provider or InventedLocaleProvider()
+    used = sorted(r[0] for r in items.select("db_id").distinct().collect())
+    table = name_map if name_map is not None else nm.build_name_map(extract_all(spark, sf_dir), lexicon_table(spark, locale))
+    maps, todo, done = Maps.of(spark, sf_dir, materialize(table, "maps"), used), items, None
+    for k in range(max_rounds + 1):
+        answers = provider if k < max_rounds else EchoProvider()
+        held = localize_once(spark, sf_dir, todo, maps, answers, joint=k == 0)
+        judged = checks.judge_alignment(checks.collect_flags(check_items(spark, held, maps, answers)))
+        out = held.join(judged.select("item_id", "reasons", "score", "decision"), "item_id", "left")
+        out = out.select("item_id", "db_id", "split", "question_loc", "evidence_loc", "sql_loc", "verdict", "rung", F.coalesce("reasons", F.lit("")).alias("flags"), F.coalesce("score", F.lit(1.0)).alias("score"), F.coalesce("decision", F.lit("keep")).alias("decision"), F.lit(k).alias("rounds"))
+        out = materialize(out if done is None else done.join(todo.select("item_id"), "item_id", "left_anti").unionByName(out), "round")
+        done, back = out, out.where("rounds = {0} and (flags <> '' and decision <> 'keep' or verdict <> 'equal')".format(k))
+        flagged = {r["db_id"]: r["n"] for r in back.groupBy("db_id").agg(F.count("*").alias("n")).collect()}
+        if history is not None:
+            history.append((k, held.count(), sum(flagged.values())))
+        if not flagged or k == max_rounds:
+            return done
+        # a database is amended once at least two names share an image
+        broken = nm.check_bijection(maps.table.where(F.col("db_id").isin(used)), extract_all(spark, sf_dir).where(F.col("db_id").isin(used)))
+        amended = sorted(r[0] for r in broken.select("db_id").distinct().collect())
+        if amended:
+            maps = amend_maps(spark, sf_dir, maps, amended)
+        todo = items.where(F.col("db_id").isin(amended)).unionByName(items.where(~F.col("db_id").isin(amended)).join(back.select("item_id"), "item_id", "left_semi"))
+    return done
+
+
+def seeded_map(spark: SparkSession, sf_dir: str, locale: str = "es") -> DataFrame:
+    """The name map with one fault: two columns of ``commerce`` share an image."""
+    table = nm.build_name_map(extract_all(spark, sf_dir), lexicon_table(spark, locale))
+    shared = table.where("db_id = 'commerce' and source_name = 'c_acctbal'").select(F.col("localized").alias("taken"))
+    hit = (F.col("db_id") == "commerce") & (F.col("source_name") == "c_custkey")
+    return table.crossJoin(F.broadcast(shared)).withColumn("localized", F.when(hit, F.col("taken")).otherwise(F.col("localized"))).drop("taken")
 
 
 def repair_demo(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two names of one database are forced to one image; the loop finds the items that break, amends the map, and verifies again."""
+    """round, made, flagged: the construction over the core items, begun with a map in which two names share an image."""
     from xlsql.workloads.items import core_items
 
-    db = "commerce"
-    items = core_items(spark).where(F.col("db_id") == db)
-    name_map = nm.build_name_map(extract_all(spark, sf_dir), lexicon_table(spark, "es"))
-    good = nm.as_dict(name_map, db)
-    bad = {"table": dict(good["table"]), "column": {**good["column"], "c_custkey": good["column"]["c_acctbal"]}}
-    schema = {db: columns_of(spark, sf_dir, DATABASES[db])}
-
-    def verify(state: dict) -> DataFrame:
-        held = localize_items_sql(items, {db: state["names"]}, schema)
-        return verify_items(spark, sf_dir, held, {db: state["published"]}).where("verdict <> 'equal'").select("item_id", F.lit("exec").alias("reason"), F.col("rung").alias("detail"))
-
-    def repair(state: dict, flags: DataFrame) -> dict:
-        rows = [(db, k, s, c) for k in ("table", "column") for s, c in state["names"][k].items()]
-        fixed = nm.resolve_collisions(spark.createDataFrame(rows, "db_id string, kind string, source_name string, candidate string"))
-        names = nm.as_dict(fixed, db)
-        return {"names": names, "published": names, "amended": {db}}
-
-    _, history = checks.repair_loop({"names": bad, "published": good}, verify, repair)
-    return spark.createDataFrame(list(enumerate(history)), "round int, flagged int")
+    history: list[tuple[int, int, int]] = []
+    build_localized(spark, sf_dir, core_items(spark), name_map=seeded_map(spark, sf_dir), history=history)
+    return spark.createDataFrame(history, "round int, made long, flagged long")

@@ -23,15 +23,20 @@ SEPARATOR = " ⟦∥⟧ "
 
 
 def span_map(name_map: DataFrame, db_id: str | None = None) -> Column:
-    """Literal map of the images of one database's names; metadata, as many entries as identifiers."""
-    rows = (name_map if db_id is None else name_map.where(F.col("db_id") == db_id)).select("source_name", "localized").distinct().collect()
-    return F.create_map(*[F.lit(x) for r in rows for x in (r["source_name"], r["localized"])])
+    """Literal map of the images of one database's names, keyed by kind and name; metadata, as many entries as identifiers."""
+    rows = (name_map if db_id is None else name_map.where(F.col("db_id") == db_id)).select("kind", "source_name", "localized").distinct().collect()
+    return F.create_map(*[F.lit(x) for r in rows for x in (f"{r['kind']} {r['source_name']}", r["localized"])])
 
 
 def standardize_span(span: Column, names: Column) -> Column:
-    """Image of a span: a name, or table.column part by part; case differences are tolerated; what has no image stays."""
-    part = lambda p: F.coalesce(F.element_at(names, p), F.element_at(names, F.lower(F.trim(p))), p)
-    return F.array_join(F.transform(F.split(span, r"\."), part), ".")
+    """Image of a span: a name, or table.column part by part; case differences are tolerated; what has no image stays.
+
+    The last part is a column if there is one of that name, else a table; parts before it are tables first.
+    """
+    at = lambda kind, p: F.coalesce(F.element_at(names, F.concat(F.lit(kind + " "), p)), F.element_at(names, F.concat(F.lit(kind + " "), F.lower(F.trim(p)))))
+    parts = F.split(span, r"\.")
+    image = lambda p, i: F.when(i == F.size(parts) - 1, F.coalesce(at("column", p), at("table", p), p)).otherwise(F.coalesce(at("table", p), at("column", p), p))
+    return F.array_join(F.transform(parts, image), ".")
 
 
 def standardize_evidence(text: Column, names: Column) -> Column:
@@ -73,8 +78,9 @@ def localize_text(items: DataFrame, provider: Provider, question: str = "questio
     return out
 
 
-def cue_table(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame([(k, w) for k, ws in CUES.items() for w in ws], "cue string, word string")
+def cue_table(spark: SparkSession, phrase=None) -> DataFrame:
+    """cue, word: the cues of comparison, or what a locale's ``phrase`` makes of them."""
+    return spark.createDataFrame([(k, (phrase(w) if phrase else w).lower()) for k, ws in CUES.items() for w in ws], "cue string, word string")
 
 
 def comparative_cues(items: DataFrame, cues: DataFrame, text: str = "question", key: str = "item_id") -> DataFrame:
@@ -90,6 +96,12 @@ def comparatives_preserved(before: DataFrame, after: DataFrame, cues_before: Dat
     return both.select(key, F.col("x").eqNullSafe(F.col("y")).alias("preserved"))
 
 
+def check_comparatives(items: DataFrame, cues_before: DataFrame, cues_after: DataFrame, before: str = "question", after: str = "question_loc", key: str = "item_id") -> DataFrame:
+    """Flags of items whose two texts do not make the same comparisons."""
+    a, b = items.select(key, F.col(before).alias("question")), items.select(key, F.col(after).alias("question"))
+    return comparatives_preserved(a, b, cues_before, cues_after, key).where("not preserved").select(key, F.lit("comparative").alias("reason"), F.lit("").alias("detail"))
+
+
 def apply_style_rules(text: Column, rules=STYLE) -> Column:
     return reduce(lambda c, r: F.regexp_replace(c, *r), rules, text)
 

@@ -108,7 +108,13 @@ def as_dict(name_map: DataFrame, db_id: str) -> dict[str, dict[str, str]]:
 
 
 def publish_localized_views(session: SparkSession, sf_dir: str, db: DatabaseSpec, names: dict[str, dict[str, str]]) -> None:
-    """Views under localized names over the same files: full-width renames, so both languages read the same bytes and the plans compare equal."""
+    """Views under localized names over the same files: full-width renames, so both languages read the same bytes and the plans compare equal.
+
+    Where a faulty map gives two columns of a table one image, the first keeps it and the others are numbered, so that execution shows the fault.
+    """
     for t in db.tables:
-        df = load_table(session, sf_dir, t)
-        df.withColumnsRenamed({c: names["column"][c] for c in df.columns}).createOrReplaceTempView(names["table"][t])
+        df, images = load_table(session, sf_dir, t), []
+        for c in df.columns:
+            image = names["column"][c]
+            images.append(image if image not in images else f"{image}__{len(images) + 1}")
+        df.withColumnsRenamed(dict(zip(df.columns, images))).createOrReplaceTempView(names["table"][t])

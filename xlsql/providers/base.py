@@ -70,6 +70,10 @@ class InventedLocaleProvider:
 
     name = "invented"
 
+    def phrase(self, text: str) -> str:
+        """What a fixed phrase, such as a cue of comparison, becomes within a sentence."""
+        return invent(f"x {text} x").removeprefix("x ").removesuffix(" x")
+
     def complete(self, batch: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"key": batch["key"], "text": [invent(p) for p in batch["prompt"]], "ok": True, "error": None})
 

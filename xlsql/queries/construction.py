@@ -16,7 +16,7 @@ from xlsql.mapping.lexicon import ES, lexicon_table
 from xlsql.queries import query, quote, values
 from xlsql.session import load_table
 from xlsql.verify import checks
-from xlsql.verify.exec_equal import digest, run_pair
+from xlsql.verify.exec_equal import digest, run_pairs
 from xlsql.workloads import items as wi
 
 OWNER = {t: d.db_id for d in DATABASES.values() for t in d.tables}
@@ -195,14 +195,28 @@ def q13_sql_rewrite(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k, s) for k, s, _ in localized_core(spark, sf_dir) if k in keep], "item_id long, sql_loc string")
 
 
-@query(f"SELECT CAST(item_id AS BIGINT) AS item_id, damaged, resolved FROM {values([(k, True, True) for k, _, _ in wi.ADVERSARIAL], 'item_id, damaged, resolved')}")
+# What no substitution may change: quoted texts, comments, names that AS or WITH gives.
+HELD = r"'[^']*'|/\*.*?\*/|(?:AS|WITH) \w+"
+
+
+def _damage_sql() -> str:
+    """Whether a name of the database stands within what must not change."""
+    rows = values([(k, db, sql) for k, db, sql in wi.ADVERSARIAL], "item_id, db_id, sql")
+    return f"""WITH p AS (SELECT item_id, db_id, unnest(regexp_extract_all(sql, {quote(HELD)})) AS piece FROM {rows}), n AS (SELECT DISTINCT db_id, t AS name FROM {COLUMNS} UNION SELECT DISTINCT db_id, c FROM {COLUMNS})
+        SELECT CAST(v.item_id AS BIGINT) AS item_id, EXISTS (SELECT 1 FROM p JOIN n ON n.db_id = p.db_id AND contains(piece, name) WHERE p.item_id = v.item_id) AS damaged FROM {rows}"""
+
+
+@query(_damage_sql)
 def q14_sql_naive_damage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether plain substitution changes what is no identifier; rewriting the tree must not, and must resolve every name."""
     rows = []
     for k, db, sql in wi.ADVERSARIAL:
         names = name_dicts(spark, sf_dir, db)
         made, problems = sql_tree.localize_sql(sql, names, columns_of(spark, sf_dir, DATABASES[db]))
-        rows.append((k, sql_tree.localize_sql_naive(sql, names) != made, not problems))
-    return spark.createDataFrame(rows, "item_id long, damaged boolean, resolved boolean")
+        if problems or re.findall(HELD, made) != re.findall(HELD, sql):
+            raise ValueError((made, problems))
+        rows.append((k, re.findall(HELD, sql_tree.localize_sql_naive(sql, names)) != re.findall(HELD, sql)))
+    return spark.createDataFrame(rows, "item_id long, damaged boolean")
 
 
 def _localized(item_id: int):
@@ -251,30 +265,58 @@ def q28_exec_equal_bag(spark: SparkSession, sf_dir: str) -> DataFrame:
     names, schema = name_dicts(spark, sf_dir, "commerce"), columns_of(spark, sf_dir, db)
     source, target = open_database(spark, sf_dir, db), spark.newSession()
     nm.publish_localized_views(target, sf_dir, db, names)
-    rows = []
-    for k, a, b in PAIRS:
-        if k.startswith("gold-"):
-            rows.append((k, run_pair(source, a, target, sql_tree.localize_sql(b, names, schema)[0], "bag").equal))
-        else:
-            rows.append((k, run_pair(source, a, source, b, "bag").equal))
-    return spark.createDataFrame(rows, "pair string, equal boolean")
+    asked = [(source, a, target, sql_tree.localize_sql(b, names, schema)[0]) if k.startswith("gold-") else (source, a, source, b) for k, a, b in PAIRS]
+    results = run_pairs(asked, "bag", snapshots=("source", "source"))
+    return spark.createDataFrame([(k, r.equal) for (k, _, _), r in zip(PAIRS, results)], "pair string, equal boolean")
 
 
+FEW = "SELECT {0} FROM orders WHERE o_orderkey < 500 ORDER BY {1}"
+TOP = "SELECT {0} FROM orders ORDER BY {1} LIMIT {2}"
+#: Pairs of which both orders are total: the lists of rows tell.
 ORDERED = [
-    ("same", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 50", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey ASC LIMIT 50"),
-    ("reversed", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderkey < 500 ORDER BY o_orderkey", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderkey < 500 ORDER BY o_orderkey DESC"),
-    ("other key", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderkey < 500 ORDER BY o_orderkey", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_orderkey < 500 ORDER BY o_totalprice"),
+    ("same", TOP.format("o_orderkey, o_totalprice", "o_totalprice DESC, o_orderkey", 50), TOP.format("o_orderkey, o_totalprice", "o_totalprice DESC, o_orderkey ASC", 50)),
+    ("reversed", FEW.format("o_orderkey, o_totalprice", "o_orderkey"), FEW.format("o_orderkey, o_totalprice", "o_orderkey DESC")),
+    ("other key", FEW.format("o_orderkey, o_totalprice", "o_orderkey"), FEW.format("o_orderkey, o_totalprice", "o_totalprice, o_orderkey")),
+    ("first place, other direction", TOP.format("o_orderkey", "o_totalprice DESC, o_orderkey", 1), TOP.format("o_orderkey", "o_totalprice, o_orderkey", 1)),
+    ("first place, other column", TOP.format("o_orderkey, o_custkey", "o_totalprice DESC, o_orderkey", 1), TOP.format("o_orderkey, o_orderkey", "o_totalprice DESC, o_orderkey", 1)),
+    ("wrong last row", "SELECT * FROM (VALUES (0, 5), (1, 6), (2, 7)) t(a, b) ORDER BY a LIMIT 3", "SELECT * FROM (VALUES (0, 5), (1, 6), (2, 77)) t(a, b) ORDER BY a LIMIT 3"),
+    ("permuted", "SELECT * FROM (VALUES (0), (1), (2)) t(a) ORDER BY a LIMIT 3", "SELECT * FROM (VALUES (0), (1), (2)) t(a) ORDER BY a <> 1, a LIMIT 3"),
+    ("hidden key", FEW.format("o_custkey", "o_totalprice, o_orderkey"), FEW.format("o_custkey", "o_totalprice * 2, o_orderkey")),
+    ("one row more", TOP.format("o_orderkey", "o_orderkey", 5), TOP.format("o_orderkey", "o_orderkey", 6)),
+]
+HIDDEN, GROUPS = FEW.format("o_orderkey", "o_orderpriority"), "SELECT o_orderpriority FROM orders WHERE o_orderkey < 500 GROUP BY o_orderpriority HAVING count(*) > 1"
+CUT = TOP.format("o_orderpriority, o_orderkey", "o_orderpriority", 5)
+#: Pairs with ties: name, gold, prediction, and what tells in SQL whether all that the prediction may give is right.
+TIED = [
+    # each row's place must lie within the places of its own tie group
+    ("finer order of a hidden key", HIDDEN, HIDDEN + ", o_orderkey DESC", """NOT EXISTS (SELECT * FROM (SELECT o_orderpriority AS p, row_number() OVER (ORDER BY o_orderpriority, o_orderkey DESC) AS n FROM orders WHERE o_orderkey < 500) r
+        JOIN (SELECT o_orderpriority AS p, count(*) AS size, sum(count(*)) OVER (ORDER BY o_orderpriority) AS last FROM orders WHERE o_orderkey < 500 GROUP BY o_orderpriority) g ON r.p = g.p WHERE n > last OR n <= last - size)"""),
+    ("coarser order", HIDDEN + ", o_orderkey", HIDDEN, f"NOT EXISTS ({GROUPS})"),
+    ("cut between ties", CUT, TOP.format("o_orderpriority, o_orderkey", "o_orderpriority, o_orderkey DESC", 5),
+     "(SELECT count(*) FROM (SELECT o_orderpriority FROM orders ORDER BY o_orderpriority, o_orderkey DESC LIMIT 5) t WHERE o_orderpriority = (SELECT min(o_orderpriority) FROM orders)) = (SELECT least(5, count(*)) FROM orders)"),
+    ("cut in another group", CUT, TOP.format("o_orderpriority, o_orderkey", "o_orderpriority DESC, o_orderkey", 5), "(SELECT min(o_orderpriority) = max(o_orderpriority) FROM orders)"),
+    ("any rows", "SELECT o_orderkey FROM orders LIMIT 5", TOP.format("o_orderkey", "o_orderkey DESC", 5), f"(SELECT count(*) FROM ({TOP.format('o_orderkey', 'o_orderkey DESC', 5)}) t WHERE o_orderkey IN (SELECT o_orderkey FROM orders)) = 5"),
 ]
-TIED = "SELECT o_orderpriority, o_orderkey FROM orders WHERE o_orderkey < 500 ORDER BY o_orderpriority"
 
 
-@query(" UNION ALL ".join(f"SELECT {quote(k)} AS pair, (SELECT list(t) FROM ({a}) t) = (SELECT list(t) FROM ({b}) t) AS equal" for k, a, b in ORDERED) + " UNION ALL SELECT 'ties', true")
+def list_equal(a: str, b: str, width: int) -> str:
+    """SQL that tells whether two queries give the same rows in the same order."""
+    names = ", ".join(f"c{k}" for k in range(width))
+    return f"(SELECT list(t) FROM (SELECT * FROM ({a}) x({names})) t) = (SELECT list(t) FROM (SELECT * FROM ({b}) x({names})) t)"
+
+
+def _ordered_sql() -> str:
+    wide = {"same": 2, "reversed": 2, "other key": 2, "first place, other column": 2, "wrong last row": 2}
+    return " UNION ALL ".join([f"SELECT {quote(k)} AS pair, {list_equal(a, b, wide.get(k, 1))} AS equal" for k, a, b in ORDERED] + [f"SELECT {quote(k)}, {told}" for k, _, _, told in TIED])
+
+
+@query(_ordered_sql)
 def q29_exec_equal_ordered(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Order-sensitive verdicts; rows that tie on the sort key may change places."""
+    """Order-sensitive verdicts: rows that tie may change places, a cut between ties may choose, all else must agree."""
     s = open_database(spark, sf_dir, DATABASES["commerce"])
-    rows = [(k, run_pair(s, a, s, b, "ordered").equal) for k, a, b in ORDERED]
-    rows.append(("ties", run_pair(s, TIED, s, TIED + ", o_orderkey DESC", "auto").equal))
-    return spark.createDataFrame(rows, "pair string, equal boolean")
+    pairs = [p[:3] for p in (*ORDERED, *TIED)]
+    results = run_pairs([(s, a, s, b) for _, a, b in pairs], "auto")
+    return spark.createDataFrame([(k, r.equal) for (k, _, _), r in zip(pairs, results)], "pair string, equal boolean")
 
 
 @query("""
@@ -323,9 +365,20 @@ def q32_integrity_evidence(spark: SparkSession, sf_dir: str) -> DataFrame:
 FLAGGED = values(wi.FAULTS, "item_id, reason, detail")
 
 
-@query(f"SELECT reason, count(*) AS n FROM {FLAGGED} GROUP BY ROLLUP (reason)")
+def _found_flags_sql() -> str:
+    """The faults as SQL finds them: names that stand in no list of the map's images."""
+    rows = [(i.item_id, i.item_id % 3 == 0, re.sub(r"`(\w+)`", lambda m: f"`{image(m.group(1))}`", i.evidence) + (" and `columna_fantasma`" if i.item_id % 4 == 0 else "")) for i in COMMERCE]
+    known = values([(image(n),) for n in sorted({m for i in COMMERCE for m in re.findall(r"`(\w+)`", i.evidence)})], "x")
+    return f"""WITH e AS (SELECT item_id, broken, unnest(regexp_extract_all(evidence, '`([^`]*)`', 1)) AS span FROM {values(rows, 'item_id, broken, evidence')}),
+        f AS (SELECT item_id, 'evidence_name' AS reason FROM e WHERE span NOT IN (SELECT x FROM {known}) UNION ALL SELECT item_id, 'sql_name' FROM (SELECT item_id, unnest(['fantasma', 'tabla_fantasma']) AS name FROM {values(rows, 'item_id, broken, evidence')} WHERE broken))
+        SELECT reason, count(*) AS n, count(DISTINCT item_id) AS items FROM f GROUP BY ROLLUP (reason)"""
+
+
+@query(_found_flags_sql)
 def q33_flags_by_reason(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return wi.seeded_flags(spark).rollup("reason").agg(F.count("*").alias("n"))
+    """The outcome report: flags that the checks raise on localized items with seeded faults, by reason and in all."""
+    found = q31_integrity_sql(spark, sf_dir).unionByName(q32_integrity_evidence(spark, sf_dir))
+    return found.rollup("reason").agg(F.count("*").alias("n"), F.countDistinct("item_id").alias("items"))
 
 
 @query(f"""
@@ -336,22 +389,58 @@ def q34_judge_rubric(spark: SparkSession, sf_dir: str) -> DataFrame:
     return checks.judge_alignment(checks.collect_flags(wi.seeded_flags(spark))).select("item_id", "reasons", "score", "decision")
 
 
-@query()
+def _source_rows_sql() -> str:
+    """Rows that each core item's source SQL gives."""
+    rows = [f"SELECT CAST({i.item_id} AS BIGINT) AS item_id, '{i.db_id}' AS db_id, (SELECT count(*) FROM ({i.sql.replace('embedding[0]', 'embedding[1]')}) t) AS n_rows, 'equal' AS verdict, 'keep' AS decision" for i in wi.ITEMS]
+    return " UNION ALL ".join(rows)
+
+
+@query(_source_rows_sql)
 def q34a_localize_items(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The three phases over the core items; item_id, db_id, question_loc, evidence_loc, sql_loc, flags."""
+    """The construction over the core items; n_rows is what the localized SQL gives on localized views, the oracle's what the source SQL gives."""
     from xlsql.localize.pipeline import build_localized
 
-    return build_localized(spark, sf_dir, wi.core_items(spark))
+    made, views, rows = build_localized(spark, sf_dir, wi.core_items(spark)).collect(), {}, []
+    for r in made:
+        if r["db_id"] not in views:
+            views[r["db_id"]] = spark.newSession()
+            nm.publish_localized_views(views[r["db_id"]], sf_dir, DATABASES[r["db_id"]], name_dicts(spark, sf_dir, r["db_id"]))
+        rows.append((r["item_id"], r["db_id"], views[r["db_id"]].sql(r["sql_loc"]).count(), r["verdict"], r["decision"]))
+    return spark.createDataFrame(rows, "item_id long, db_id string, n_rows long, verdict string, decision string")
+
 
+def _repair_sql() -> str:
+    """Items whose result changes where one column is read in place of another; after the amendment none, and only their database is made anew."""
+    differs = [f"SELECT CAST(NOT {bag_equal(i.sql, i.sql.replace('c_acctbal', 'c_custkey'))} AS INTEGER) AS x" for i in COMMERCE]
+    return f"SELECT 0 AS round, CAST({len(wi.ITEMS)} AS BIGINT) AS made, CAST(sum(x) AS BIGINT) AS flagged FROM ({' UNION ALL '.join(differs)}) UNION ALL SELECT 1, CAST({len(COMMERCE)} AS BIGINT), CAST(0 AS BIGINT)"
 
-@query()
+
+@query(_repair_sql)
 def q34b_repair_loop(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rounds of correction after faults were seeded into the name map; round, flagged."""
+    """Rounds of correction after two names of one database got one image: round, items made, items that still fail."""
     from xlsql.localize.pipeline import repair_demo
 
     return repair_demo(spark, sf_dir)
 
 
+MANY = 325
+
+
+def _many_sql() -> str:
+    kinds = values([(k, t[0], t[1]) for k, t in enumerate(wi.TEMPLATES)], "kind, db_id, intent")
+    return f"SELECT db_id, intent, count(*) AS n, count(*) AS n_equal, count(*) AS n_kept FROM range({MANY}) r(id) JOIN {kinds} ON id % {len(wi.TEMPLATES)} = kind GROUP BY db_id, intent"
+
+
+@query(_many_sql)
+def q34c_localize_many(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The construction over made items of all databases: items, pairs whose execution agrees, items that the judge keeps."""
+    from xlsql.localize.pipeline import build_localized
+
+    items = wi.make_items(spark, sf_dir, MANY)
+    made = build_localized(spark, sf_dir, items).join(items.select("item_id", "intent"), "item_id")
+    return made.groupBy("db_id", "intent").agg(F.count("*").alias("n"), F.count_if(F.col("verdict") == "equal").alias("n_equal"), F.count_if(F.col("decision") == "keep").alias("n_kept"))
+
+
 def _digest_both(spark: SparkSession, sf_dir: str) -> DataFrame:
     db = DATABASES["commerce"]
     names = name_dicts(spark, sf_dir, "commerce")

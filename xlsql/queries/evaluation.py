@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ from xlsql.catalog.spec import DATABASES, TABLES, columns_of, extract_all, open_
 from xlsql.generate import baselines as gb
 from xlsql.metrics import scores as ms
 from xlsql.queries import query, quote, values
-from xlsql.queries.construction import OWNER, bag_equal
+from xlsql.queries.construction import COLUMNS, OWNER, bag_equal, list_equal
 from xlsql.session import load_table
 from xlsql.stats import corpus as cs
 from xlsql.workloads import items as wi
@@ -35,12 +37,27 @@ def q51_em_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ms.exact_match(preds, wi.core_items(spark), ["method"])
 
 
-EXECUTED = [("echo", i.item_id, i.sql) for i in COMMERCE] + [("mutant", item, sql) for _, item, sql in wi.MUTANTS]
+EXECUTED = (
+    [("echo", i.item_id, i.sql) for i in COMMERCE]
+    + [("mutant", item, sql) for _, item, sql in wi.MUTANTS]
+    + [("reordered", 4, wi.BY_ID[4].sql.replace("DESC, o_orderkey", "DESC, o_orderkey + 0")), ("reordered", 4, wi.BY_ID[4].sql.replace("o_totalprice DESC", "o_totalprice ASC")), ("reordered", 12, wi.BY_ID[12].sql.replace("ORDER BY n, ", "ORDER BY n DESC, "))]
+)
+
+
+# Columns of the ordered gold queries' results.
+WIDE = {4: 2, 12: 2}
+
+
+def agrees(item: int, gold: str, predicted: str) -> str:
+    """SQL of execution accuracy: rows in order where gold asks for one, else as a bag; a query that is not valid is wrong."""
+    if "no_such" in predicted:
+        return "false"
+    return list_equal(gold, predicted, WIDE[item]) if " ORDER BY " in gold and item in WIDE else bag_equal(gold, predicted)
 
 
 def _ex_sql() -> str:
     gold = {i.item_id: i.sql for i in COMMERCE}
-    rows = " UNION ALL ".join(f"SELECT {quote(m)} AS method, CAST({'false' if 'no_such' in s else bag_equal(gold[k], s)} AS INTEGER) AS hit" for m, k, s in EXECUTED)
+    rows = " UNION ALL ".join(f"SELECT {quote(m)} AS method, CAST({agrees(k, gold[k], s)} AS INTEGER) AS hit" for m, k, s in EXECUTED)
     return f"SELECT method, count(*) AS n, round(avg(hit), 6) AS ex FROM ({rows}) GROUP BY method"
 
 
@@ -146,9 +163,37 @@ def generate(spark: SparkSession, sf_dir: str, method: str, items: list[wi.Item]
     return out
 
 
-@query()
+def known_schemas(db: str) -> dict[str, list[str]]:
+    """Columns of the given tables that the core items' questions and evidence touch, in the tables' order; enough for the direct generator of SQL text."""
+    return {t: list(c) for t, c in wi.COLUMNS[db].items()}
+
+
+def _direct_sql() -> str:
+    """Gold and the direct generator's queries, both executed there."""
+    rows = []
+    for i in COMMERCE:
+        made = gb.direct(i.question, i.evidence, known_schemas("commerce"))
+        hit = "false" if len(re.findall(r"\bFROM\b", made)) == 0 else f"({_width_of(made)} = {_width_of(i.sql)} AND {_guarded(i, made)})"
+        rows.append(f"SELECT CAST({i.item_id} AS BIGINT) AS item_id, {quote(made)} AS sql, {hit} AS correct")
+    return " UNION ALL ".join(rows)
+
+
+def _width_of(sql: str) -> str:
+    return str(wi.width_of(sql))
+
+
+def _guarded(i: wi.Item, made: str) -> str:
+    """Agreement of results; queries of other widths cannot agree and are not compared."""
+    return agrees(i.item_id, i.sql, made) if wi.width_of(made) == wi.width_of(i.sql) else "false"
+
+
+@query(_direct_sql)
 def q60_direct_baseline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame([(k, s, v) for k, s, _, v in generate(spark, sf_dir, "direct")], "item_id long, sql string, valid boolean")
+    """The direct generator's query of each core item of ``commerce``, and whether its execution agrees with gold."""
+    made = {k: s for k, s, _, _ in generate(spark, sf_dir, "direct", COMMERCE)}
+    session = open_database(spark, sf_dir, DATABASES["commerce"])
+    right = ms.execution_accuracy(list(made.items()), {i.item_id: i.sql for i in COMMERCE}, session)
+    return spark.createDataFrame([(k, made[k], ok) for k, ok in right], "item_id long, sql string, correct boolean")
 
 
 @query()
@@ -156,20 +201,56 @@ def q61_staged_baseline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k, s, v) for k, s, _, v in generate(spark, sf_dir, "staged")], "item_id long, sql string, valid boolean")
 
 
+#: Scores of the inference experiment by application and folder, so that the comparisons need not run it again.
+INFERRED: dict[tuple[str, str], DataFrame] = {}
+
+
+def inference_log(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from xlsql.session import materialize
+    from xlsql.workloads import experiments as ex
+
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in INFERRED:
+        INFERRED[key] = materialize(ex.run_inference(ex.make_bench(spark, sf_dir)), "inferred")
+    return INFERRED[key]
+
+
 @query()
-def q61a_baseline_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """method, n, ex, em of both generators over the core items: how the stages move the score."""
-    gold = {i.item_id: i.sql for i in wi.ITEMS}
-    config = gb.ExperimentConfig("offline").hash
-    rows = []
-    for method in ("direct", "staged"):
-        preds = {k: s for k, s, _, _ in generate(spark, sf_dir, method)}
-        for d in DATABASES:
-            session = open_database(spark, sf_dir, DATABASES[d])
-            own = [(method, config, i.item_id, preds[i.item_id]) for i in wi.ITEMS if i.db_id == d]
-            rows += [(m, c, k, ok, ms.normalize_sql(preds[k]) == ms.normalize_sql(gold[k])) for m, c, k, ok in ms.execution_accuracy(own, gold, session)]
-    log = spark.createDataFrame(rows, "method string, config_hash string, item_id long, correct boolean, same boolean")
-    return log.groupBy("method").agg(F.count("*").alias("n"), F.round(F.avg(F.col("correct").cast("double")), 6).alias("ex"), F.round(F.avg(F.col("same").cast("double")), 6).alias("em"), F.countDistinct("config_hash").alias("configs"))
+def q61a_inference_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """method, lang, run, n, ex, ves, ratio, em: direct and staged in both languages, three runs each, on the dev items of 340."""
+    from xlsql.workloads import experiments as ex
+
+    return ex.score_log(inference_log(spark, sf_dir), ["method", "lang", "run"])
+
+
+@query()
+def q61d_inference_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """comparison, key, measure, first_value, second_value, gain, relative: gains of the method and gaps of the language, from means over runs."""
+    from xlsql.workloads import experiments as ex
+
+    means = ms.average_runs(ex.score_log(inference_log(spark, sf_dir), ["method", "lang", "run"]), ["method", "lang"], ["em", "ex", "ves"])
+    rows = ex.measure_rows(means.select("method", "lang", *[F.col(f"{m}_mean").alias(m) for m in ("em", "ex", "ves")]), ["method", "lang"])
+    gain = ms.method_gain(rows).select(F.lit("method_gain").alias("comparison"), F.col("lang").alias("key"), "measure", "first_value", "second_value", "gain", "relative")
+    gap = ms.language_gap(rows).select(F.lit("language_gap").alias("comparison"), F.col("method").alias("key"), "measure", "first_value", "second_value", "gain", "relative")
+    none = F.lit(None).cast("double")
+    stable = ms.rank_stability(rows).select(F.lit("rank_stability").alias("comparison"), F.col("stable").cast("string").alias("key"), "measure", *[none.alias(c) for c in ("first_value", "second_value", "gain", "relative")])
+    return gain.unionByName(gap).unionByName(stable)
+
+
+@query()
+def q61e_prompt_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """evidence, method, n, ex, em: both methods on the source dev items with and without evidence."""
+    from xlsql.workloads import experiments as ex
+
+    bench = ex.make_bench(spark, sf_dir, 104)
+    rows = bench.items.where("lang = 'source' and split = 'dev'").orderBy("item_id").collect()
+    gold, out = {("source", r["item_id"]): r["sql"] for r in rows}, None
+    for evidence in (True, False):
+        config = gb.ExperimentConfig("offline", evidence=evidence)
+        preds = [p for method in ("direct", "staged") for p in ex.infer(bench, rows, "source", method, 0, config)]
+        part = ex.score_log(ex.run_log(bench, preds, gold, timed=False), ["method"]).select(F.lit(evidence).alias("evidence"), "method", "n", "ex", "em")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query()
@@ -190,7 +271,24 @@ def q61c_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prompts.select("item_id", F.length("prompt").alias("chars"), F.md5("prompt").alias("digest"))
 
 
-@query()
+def _links_sql() -> str:
+    """Tokens of questions (1) and spans of evidence (5) against the words of columns, tables and descriptions."""
+    stop = "(" + ", ".join(quote(w) for w in gb.STOP) + ")"
+    told = values([(d.db_id, k, v) for d in DATABASES.values() for k, v in d.descriptions.items()], "db_id, c, note", "n")
+    tokens = lambda c: f"list_distinct(list_filter(string_split(lower(regexp_replace({c}, '[^\\p{{L}}\\p{{N}}_]+', ' ', 'g')), ' '), lambda w: w <> '' AND w NOT IN {stop}))"
+    singular = "regexp_replace(w, '^(.{3,})s$', '\\1')"
+    return f"""
+        WITH i AS (SELECT * FROM {values([(i.item_id, i.db_id, i.question, i.evidence) for i in wi.ITEMS], 'item_id, db_id, question, evidence')}),
+        q AS (SELECT item_id, db_id, unnest({tokens('question')}) AS w, 1 AS weight FROM i UNION ALL SELECT item_id, db_id, unnest(regexp_extract_all(lower(evidence), '`([^`]+)`', 1)), 5 FROM i),
+        m AS (SELECT DISTINCT db_id, t, c, o, {singular} AS w FROM (
+            SELECT x.db_id, t, x.c, o, unnest(list_concat(list_concat([lower(x.c)], list_concat(string_split(x.c, '_'), string_split(t, '_'))), coalesce({tokens('note')}, []))) AS w
+            FROM {COLUMNS} x LEFT JOIN {told} ON n.db_id = x.db_id AND n.c = x.c) WHERE w <> ''),
+        s AS (SELECT item_id, t, c, o, CAST(sum(weight) AS BIGINT) AS score FROM (SELECT item_id, db_id, {singular} AS w, weight FROM q) q JOIN m ON m.db_id = q.db_id AND m.w = q.w GROUP BY item_id, t, c, o),
+        r AS (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, t, o) AS nth FROM s)
+        SELECT CAST(item_id AS BIGINT) AS item_id, t AS table_name, c AS column_name, score, CAST(nth AS INTEGER) AS nth FROM r WHERE nth <= 3"""
+
+
+@query(_links_sql)
 def q62_schema_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return gb.link_schema(wi.core_items(spark), extract_all(spark, sf_dir))
 
@@ -206,46 +304,37 @@ def q63_intent_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wi.core_items(spark).select("item_id", gb.intent_of(F.col("question")).alias("intent"))
 
 
-BROKEN = ((1, "SELECT c_nme FROM customer"), (2, "SELECT count(*) FROM order"), (3, "SELECT o_totalprize, o_orderkee FROM orders"), (4, "SELECT c_name FROM customer"), (5, "SELEC c_name FROM customer"))
+#: Broken queries, the question asked, and the query that mends them.
+BROKEN = (
+    (1, "", "SELECT c_nme FROM customer", "SELECT c_name FROM customer"),
+    (2, "", "SELECT count(*) FROM order", "SELECT count(*) FROM orders"),
+    (3, "", "SELECT o_totalprize, o_orderkee FROM orders", "SELECT o_totalprice, o_orderkey FROM orders"),
+    (4, "", "SELECT c_name FROM customer", "SELECT c_name FROM customer"),
+    (6, "", "SELECT count(*) AS n FROM orders WHERE o_orderpriority = '1-URGENTT' GROUP BY o_orderpriority", "SELECT count(*) AS n FROM orders WHERE o_orderpriority = '1-URGENT' GROUP BY o_orderpriority"),
+    (7, "How many orders have the status F ?", "SELECT o_orderkey FROM orders WHERE o_orderstatus = 'F'", "SELECT count(*) FROM orders WHERE o_orderstatus = 'F'"),
+)
 
 
-@query(f"SELECT CAST(item_id AS BIGINT) AS item_id, rounds, valid FROM {values([(1, 1, True), (2, 1, True), (3, 2, True), (4, 0, True), (5, 0, False)], 'item_id, rounds, valid')}")
+@query(" UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS item_id, {0 if a == b else 2 if k == 3 else 1} AS rounds, (SELECT count(*) FROM ({b}) t) AS n_rows FROM (SELECT 1)" for k, _, a, b in BROKEN))
 def q64_self_correct_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rounds of correction by analysis, by empty results and by results of the wrong shape, and the rows that the mended query gives; the oracle runs the right one."""
     db = DATABASES["commerce"]
     session, schema = open_database(spark, sf_dir, db), columns_of(spark, sf_dir, db)
-    rows = [(k, *gb.self_correct(session, sql, schema)[1:]) for k, sql in BROKEN]
-    return spark.createDataFrame(rows, "item_id long, rounds int, valid boolean")
+    rows = []
+    for k, question, sql, _ in BROKEN:
+        made, rounds, valid = gb.self_correct(session, sql, schema, 2, question, execute=True)
+        rows.append((k, rounds, session.sql(made).count() if valid else -1))
+    return spark.createDataFrame(rows, "item_id long, rounds int, n_rows long")
 
 
 @query()
 def q65_finetuned_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """family, size, tuned, n, accuracy of query classes, ex, em on dev, of six trained stand-ins and their untuned forms.
-
-    The code family fills its templates from the evidence; the multilingual family knows tables only.
-    """
-    items = wi.make_items(spark, sf_dir, 105).unionByName(wi.core_items(spark)).where("db_id = 'commerce'").cache()
-    train, dev = items.where("split = 'train'"), items.where("split = 'dev'")
-    held = {r["item_id"]: r for r in dev.collect()}
-    schema, session = columns_of(spark, sf_dir, DATABASES["commerce"]), open_database(spark, sf_dir, DATABASES["commerce"])
-    gold, known, rows = {k: r["sql"] for k, r in held.items()}, {}, []
-
-    def write(r, intent: str, family: str) -> str:
-        named = __import__("re").findall(r"`(\w+)`", r["evidence"]) if family == "code" else []
-        table = next((t for t, cols in schema.items() if any(c in cols for c in named)), None) or next((t for t in schema if t.rstrip("s") in r["question"].lower()), "customer")
-        return gb._template({"filtered_count": "filter_count", "group_aggregate": "group", "scalar_subquery": "nested"}.get(intent, intent), table, [c for c in named if c in schema[table]], r["question"], r["evidence"] if family == "code" else "")
-
-    for family, sizes in (("multilingual", "S M L"), ("code", "0.5 1.5 3")):
-        for size in sizes.split():
-            for tuned in (False, True):
-                fitted = gb.fit_template_model(train, family, size) if tuned else None
-                said = {r["item_id"]: r for r in gb.predict_intents(dev, fitted, family, size).collect()}
-                preds = [(k, write(held[k], r["predicted"], family)) for k, r in said.items()]
-                ex = [ok for _, ok in ms.execution_accuracy(preds, gold, session, cache=known)]
-                em = [ms.normalize_sql(s) == ms.normalize_sql(gold[k]) for k, s in preds]
-                right = [r["intent"] == r["predicted"] for r in said.values()]
-                rows.append((family, size, tuned, len(preds), *(round(sum(x) / len(x), 6) for x in (right, ex, em))))
-    items.unpersist()
-    return spark.createDataFrame(rows, "family string, size string, tuned boolean, n int, accuracy double, ex double, em double")
+    """family, size, tuned, n, accuracy of query classes, ex, ves, em on the target locale's dev items, of six trained stand-ins and their untuned forms."""
+    from xlsql.workloads import experiments as ex
+
+    log = ex.run_trained(ex.make_bench(spark, sf_dir))
+    right = log.groupBy("family", "size", "tuned").agg(F.round(F.avg(F.col("class_right").cast("double")), 6).alias("accuracy"))
+    return ex.score_log(log, ["family", "size", "tuned"]).join(right, ["family", "size", "tuned"]).select("family", "size", "tuned", "n", "accuracy", "ex", "ves", "em")
 
 
 def _links() -> list[tuple[int, int, int]]:

@@ -88,6 +88,30 @@ ITEMS = tuple(Item(*x) for x in CORE)
 BY_ID = {i.item_id: i for i in ITEMS}
 
 
+# Columns of the tables of ``commerce``, for what must be known without reading them.
+COLUMNS = {
+    "commerce": {
+        "region": ("r_regionkey", "r_name"), "nation": ("n_nationkey", "n_name", "n_regionkey"), "customer": ("c_custkey", "c_name", "c_nationkey", "c_acctbal", "c_mktsegment"),
+        "supplier": ("s_suppkey", "s_name", "s_nationkey", "s_acctbal"), "part": ("p_partkey", "p_name", "p_brand", "p_type", "p_size", "p_retailprice"),
+        "orders": ("o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderdate", "o_orderpriority"),
+        "lineitem": ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"),
+    },
+}
+
+
+def width_of(sql: str) -> int:
+    """Columns of a generated or gold query's result, from its select list; a star over ``commerce`` counts the table's columns."""
+    body = sql[sql.rindex(") SELECT ") + 2 :] if sql.startswith("WITH ") else sql
+    listed, depth, n = body[len("SELECT ") :], 0, 1
+    for i, c in enumerate(listed):
+        depth += (c == "(") - (c == ")")
+        if depth == 0 and listed.startswith(" FROM ", i):
+            shown = listed[:i]
+            return len(COLUMNS["commerce"][listed[i + 6 :].split()[0]]) if shown == "*" else n
+        n += c == "," and depth == 0
+    return n
+
+
 def split_of(item_id: int) -> str:
     return "dev" if item_id % 7 == 0 else "train"
 
@@ -96,29 +120,47 @@ def core_items(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([(i.item_id, i.db_id, split_of(i.item_id), i.intent, i.question, i.evidence, i.sql) for i in ITEMS], ITEM)
 
 
+# Forms of generated items; what stands in braces is drawn from the data or by rule.
+TEMPLATES = (
+    ("commerce", "lookup", "Show the name of the customer with key {KEY}", "key is `c_custkey`", "SELECT c_name FROM customer WHERE c_custkey = {KEY}"),
+    ("commerce", "filtered_count", "How many orders have the status {STATUS} ?", "status is `o_orderstatus` = '{STATUS}'", "SELECT count(*) FROM orders WHERE o_orderstatus = '{STATUS}'"),
+    ("commerce", "top_k", "List the top {K} orders with the highest total price", "total price is `o_totalprice`", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT {K}"),
+    ("commerce", "group_aggregate", "How many customers with a key below {KEY} are there in each segment ?", "segment is `c_mktsegment`, key is `c_custkey`", "SELECT c_mktsegment, count(*) AS n FROM customer WHERE c_custkey < {KEY} GROUP BY c_mktsegment"),
+    ("commerce", "multi_join", "How many customers with a key below {KEY} come from each nation ?", "nation is `n_name`, key is `c_custkey`",
+     "SELECT n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_custkey < {KEY} GROUP BY n_name"),
+    ("activity", "filtered_count", "How many events have a value of more than {VALUE} ?", "value is `value`", "SELECT count(*) FROM events WHERE value > {VALUE}"),
+    ("activity", "group_aggregate", "How many events of each type have a value of more than {VALUE} ?", "type is `event_type`, value is `value`", "SELECT event_type, count(*) AS n FROM events WHERE value > {VALUE} GROUP BY event_type"),
+    ("activity", "top_k", "List the top {K} users with the most events", "user is `user_id`", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id ORDER BY n DESC, user_id LIMIT {K}"),
+    ("corpus", "filtered_count", "How many documents are in the language {LANG} ?", "language is `lang` = '{LANG}'", "SELECT count(*) FROM documents WHERE lang = '{LANG}'"),
+    ("corpus", "group_aggregate", "How many documents in the language {LANG} are there of each source ?", "source is `source`, language is `lang` = '{LANG}'", "SELECT source, count(*) AS n FROM documents WHERE lang = '{LANG}' GROUP BY source"),
+    ("corpus", "lookup", "Show the text of the benchmark item with key {K}", "text is `text`, key is `item_id`", "SELECT text FROM benchmark WHERE item_id = {K}"),
+    ("vectors", "filtered_count", "How many vectors have the label {K} ?", "label is `label` = {K}", "SELECT count(*) FROM embeddings WHERE label = {K}"),
+    ("vectors", "group_aggregate", "How many vectors with a key below {KEY} are there of each label ?", "label is `label`, key is `vec_id`", "SELECT label, count(*) AS n FROM embeddings WHERE vec_id < {KEY} GROUP BY label"),
+)
+
+
 def make_items(spark: SparkSession, sf_dir: str, n: int = 300, seed: int = 42) -> DataFrame:
-    """``n`` items whose constants are drawn from the data: lookups, counts and top lists over ``commerce``.
+    """``n`` items over all databases whose constants are drawn by plain arithmetic, keys within those of the data.
 
     Made by one projection over a range, so the number of items is free.
     """
     from xlsql.session import load_table
 
     customers = load_table(spark, sf_dir, "customer").select(F.max("c_custkey").alias("top"))
-    ids = spark.range(n).withColumn("r", F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 30))).crossJoin(F.broadcast(customers))
-    key = (F.col("r") % F.col("top") + 1).cast("string")
-    k = (F.col("r") % 9 + 1).cast("string")
-    status = F.get(F.array(*[F.lit(s) for s in "FOP"]), F.col("r") % 3)
-    kind = F.col("id") % 4
-    pick = lambda *xs: F.when(kind == 0, xs[0]).when(kind == 1, xs[1]).when(kind == 2, xs[2]).otherwise(xs[3])
+    ids = spark.range(n).withColumn("r", F.floor((F.col("id") * 1103515245 + seed * 12345) % 2147483648 / 1024)).crossJoin(F.broadcast(customers))
+    draw = lambda xs: F.get(F.array(*[F.lit(x) for x in xs]), (F.col("r") % len(xs)).cast("int"))
+    drawn = {"KEY": (F.col("r") % F.col("top") + 1).cast("string"), "K": (F.col("r") % 9 + 1).cast("string"), "STATUS": draw("FOP"), "VALUE": (F.col("r") % 90 + 5).cast("string"), "LANG": draw(("en", "de", "fr", "es"))}
+    kind = (F.col("id") % len(TEMPLATES)).cast("int")
+
+    def text(place: int):
+        out = F.get(F.array(*[F.lit(t[place]) for t in TEMPLATES]), kind)
+        for name, c in drawn.items():
+            out = F.replace(out, F.lit("{" + name + "}"), c)
+        return out
+
     return ids.select(
-        (F.col("id") + 1000).alias("item_id"), F.lit("commerce").alias("db_id"), F.when(F.col("id") % 7 == 0, "dev").otherwise("train").alias("split"),
-        pick(F.lit("lookup"), F.lit("filtered_count"), F.lit("top_k"), F.lit("group_aggregate")).alias("intent"),
-        pick(F.concat(F.lit("Show the name of the customer with key "), key), F.concat(F.lit("How many orders have the status "), status, F.lit(" ?")),
-             F.concat(F.lit("List the top "), k, F.lit(" orders with the highest total price")), F.concat(F.lit("How many customers with a key below "), key, F.lit(" are there in each segment ?"))).alias("question"),
-        pick(F.lit("key is `c_custkey`"), F.concat(F.lit("status is `o_orderstatus` = '"), status, F.lit("'")), F.lit("total price is `o_totalprice`"), F.lit("segment is `c_mktsegment`, key is `c_custkey`")).alias("evidence"),
-        pick(F.concat(F.lit("SELECT c_name FROM customer WHERE c_custkey = "), key), F.concat(F.lit("SELECT count(*) FROM orders WHERE o_orderstatus = '"), status, F.lit("'")),
-             F.concat(F.lit("SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT "), k),
-             F.concat(F.lit("SELECT c_mktsegment, count(*) AS n FROM customer WHERE c_custkey < "), key, F.lit(" GROUP BY c_mktsegment"))).alias("sql"),
+        (F.col("id") + 1000).alias("item_id"), text(0).alias("db_id"), F.when(F.col("id") % 7 == 0, "dev").otherwise("train").alias("split"),
+        text(1).alias("intent"), text(2).alias("question"), text(3).alias("evidence"), text(4).alias("sql"),
     )
 
 
