@@ -39,6 +39,16 @@ def test_large_and_missing_ids_survive(spark):
     assert sorted((r["doc_id"] or 0, r["n_tokens"]) for r in token_files.token_counts(docs).collect()) == [(0, 1), (big, 2)]
 
 
+def test_warc_of_hot_payloads(spark, monkeypatch):
+    monkeypatch.setattr(warc, "HOT_ROWS", 3)
+    rows = [(i, "u", "h" * 2000 if i % 3 == 0 else "" if i % 3 == 1 else f"{i // 12}" * 1500) for i in range(120)]
+    got = {r["page_id"]: r for r in warc.warc_round_trip(spark, spark.createDataFrame(rows, "page_id long, url string, html string").repartition(4)).collect()}
+    last = {}
+    for i, _, h in rows:
+        last[h] = i
+    assert len(got) == 120 and all((got[i]["refers_to"], got[i]["record_type"]) == ((last[h], "revisit") if len(h) >= 1000 and last[h] != i else (None, "response")) for i, _, h in rows)
+
+
 def test_warc_of_an_empty_table(spark):
     assert warc.warc_round_trip(spark, spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 

@@ -11,6 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from xlsql.llm.columns import fresh
 from xlsql.session import bound_batches
 
 #: Seeds are single words, for an edited copy at ``SIMILARITY`` may keep no two of an item's words side by side. Of each item the commonest
@@ -21,8 +22,8 @@ BLOCKS, COUNTERS = 5, 1 << 22
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the item's own score that a leaked copy reaches.
 SIMILARITY = 0.5
-#: Bytes of benchmark texts that may be sent to every task; more are handled slice by slice.
-SLICE_BYTES = 16 << 20
+#: Bytes of benchmark texts that may be sent to every task (a worker's index takes about twenty times as much); more are handled slice by slice.
+SLICE_BYTES = 4 << 20
 WORD = re.compile(r"\w+").findall
 
 
@@ -149,11 +150,12 @@ def _slices(benchmark: DataFrame, item_id: str, text: str) -> Iterator[list[tupl
     rows, size = [], 0
     held = benchmark.where(F.col(item_id).isNotNull() & F.col(text).isNotNull()).select(F.col(item_id).cast("long").alias("i"), F.col(text).alias("t"))
     for r in held.toLocalIterator():
-        if rows and size + len(r["t"]) > SLICE_BYTES:
+        n = len(r["t"].encode("utf-8", "surrogatepass"))
+        if rows and size + n > SLICE_BYTES:
             yield rows
             rows, size = [], 0
         rows.append((r["i"], words_of(r["t"])))
-        size += len(r["t"])
+        size += n
     if rows:
         yield rows
 
@@ -189,7 +191,8 @@ def with_leaks(docs: DataFrame, index: Index, text: str = "text", out: str = "le
     """Add ``out``: array of struct item_id, similarity, first_word, end_word of the items that the whole text contains a copy of.
 
     Similarity is the best local alignment's score as a share of the item's own; every item that reaches ``similarity`` is found. Null, empty and wordless texts have an empty array;
-    items without a word match nothing; items of equal text are all named. Other columns stay.
+    items without a word match nothing; items of equal text are all named. Texts are whole: what is held of a very long one is a number for each word.
+    Rows and other columns stay, but a column named as ``out`` is replaced.
     """
     bound_batches(docs.sparkSession)
 
@@ -228,5 +231,6 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text", sim
     """Rows of ``docs`` that contain no copy of a benchmark item; columns stay."""
     out = docs
     for index in build_indexes(docs, benchmark, text):
-        out = with_leaks(out, index, text, "_leaks", similarity).where(F.size("_leaks") == 0).drop("_leaks")
+        (mark,) = fresh(out, "leaks")
+        out = with_leaks(out, index, text, mark, similarity).where(F.size(mark) == 0).drop(mark)
     return out

@@ -12,12 +12,13 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from xlsql.llm.columns import fresh
 from xlsql.session import bound_batches
 
 ORDER = 4
 DISCOUNT = 0.75
-#: Bounds of the labelled sample that the models are fitted on: documents of each language, and characters of each document.
-SAMPLE_DOCS, SAMPLE_CHARS = 200, 8_000
+#: Bounds of the labelled sample that the models are fitted on: documents of each language, and bytes of their whole texts.
+SAMPLE_DOCS, SAMPLE_BYTES = 400, 2 << 20
 MOST_LANGUAGES = 256
 #: Words whose scores a worker remembers, and how many are scored together.
 REMEMBERED, WORDS_AT_ONCE = 150_000, 16_384
@@ -114,9 +115,10 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
     languages = sorted(samples)
     if not languages:
         return Models([], [], [], [], [], np.zeros(0), np.zeros(0), np.zeros(0))
-    counted = []
+    counted, spoken = [], []
     for lang in languages:
-        words = Counter(w for t in samples[lang] for w in letters(t[:SAMPLE_CHARS]))
+        words = Counter(w for t in samples[lang] for w in letters(t))
+        spoken.append(words)
         grams: list[Counter] = [Counter() for _ in range(order)]
         for w, c in words.items():
             s = f" {w} "
@@ -165,33 +167,45 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
         prob, place = value, here
     floor = back[0][0] - np.log2(alphabet)
     models = Models(languages, keys, logp, context, back, floor, np.zeros(n_lang), np.ones(n_lang))
-    for c, lang in enumerate(languages):
-        words = [w for t in samples[lang] for w in letters(t[:SAMPLE_CHARS])][:20_000]
-        if words:
-            sums, n = models.word_scores(words)
-            models.mean[c] = -sums[:, c].sum() / n.sum()
-            models.spread[c] = np.sqrt(np.mean((-sums[:, c] - models.mean[c] * n) ** 2 / n))
+    for c, words in enumerate(spoken):
+        held, times = list(words), np.array(list(words.values()), float)
+        scored = [models.word_scores(held[k : k + WORDS_AT_ONCE]) for k in range(0, len(held), WORDS_AT_ONCE)]
+        if not scored:
+            continue
+        bits, n = -np.concatenate([x[:, c] for x, _ in scored]), np.concatenate([x for _, x in scored])
+        total, size = (bits * times).sum(), (n * times).sum()
+        models.mean[c] = total / size
+        square = ((bits - models.mean[c] * n) ** 2 / n * times).sum()
+        models.spread[c] = np.sqrt(square / times.sum())
     return models
 
 
-def fit(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = SAMPLE_DOCS) -> Models:
-    """Models of the languages of ``docs``, fitted on at most ``per_language`` documents of each, the first by a hash of their ids.
+def fit(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = SAMPLE_DOCS, most_bytes: int = SAMPLE_BYTES) -> Models:
+    """Models of the languages of ``docs``, fitted on the whole texts of at most ``per_language`` documents of each and at most ``most_bytes`` of them, the first by a hash of their ids.
 
-    Rows with a null text or lang teach nothing. At most ``MOST_LANGUAGES`` languages are taken, else this raises.
+    Rows with a null text or lang teach nothing; of rows that share an id and a language the least text counts. At most ``MOST_LANGUAGES`` languages are
+    taken, else this raises.
     """
-    known = docs.where(F.col(text).isNotNull() & F.col(lang).isNotNull()).select(F.col(lang).cast("string").alias("lang"), F.xxhash64(F.col(doc_id)).alias("at"), F.substring(F.col(text), 1, SAMPLE_CHARS).alias("text"))
+    known = docs.where(F.col(text).isNotNull() & F.col(lang).isNotNull()).select(F.col(lang).cast("string").alias("lang"), F.pmod(F.xxhash64(F.col(doc_id)), F.lit(1 << 30)).alias("place"), F.col(text).alias("text"))
     sizes = known.groupBy("lang").count().limit(MOST_LANGUAGES + 1).collect()
     if len(sizes) > MOST_LANGUAGES:
         raise ValueError(f"more than {MOST_LANGUAGES} languages")
     if not sizes:
         return train({})
-    # about twice the wanted share by hash, cut to the wanted number here
+    # about twice the wanted share by hash, cut to the wanted number here; places are counted before any text is read whole
     share = F.create_map(*[F.lit(x) for r in sizes for x in (r["lang"], min(1.0, 2 * per_language / r["count"]))])
-    near = known.where(F.pmod("at", F.lit(1 << 30)) < F.element_at(share, F.col("lang")) * (1 << 30))
+    near = known.where(F.col("place") < F.element_at(share, F.col("lang")) * (1 << 30))
+    held: dict[str, list[int]] = {}
+    total: Counter[str] = Counter()
+    for r in sorted(near.groupBy("lang", "place").agg(F.min(F.octet_length("text")).alias("bytes")).collect()):
+        if len(held.setdefault(r["lang"], [])) < per_language and total[r["lang"]] + r["bytes"] <= most_bytes:
+            held[r["lang"]].append(r["place"])
+            total[r["lang"]] += r["bytes"]
+    chosen = docs.sparkSession.createDataFrame([(k, p) for k, v in held.items() for p in v], "lang string, place long")
+    rows = near.join(F.broadcast(chosen), ["lang", "place"]).groupBy("lang", "place").agg(F.min_by("text", F.struct(F.octet_length("text"), "text")).alias("text"))
     samples: dict[str, list] = {}
-    for row in near.collect():
-        samples.setdefault(row["lang"], []).append((row["at"] % (1 << 30), row["text"]))
-    samples = {k: [t for _, t in sorted(v)[:per_language]] for k, v in samples.items()}
+    for r in sorted(rows.collect(), key=lambda r: (r["lang"], r["place"])):
+        samples.setdefault(r["lang"], []).append(r["text"])
     return train(samples)
 
 
@@ -201,7 +215,8 @@ def with_language(docs: DataFrame, models: Models, text: str = "text", out: str
     lang: the language of the lowest cross-entropy (bits a character over the letters of the whole text), ties to the first in
     order; ``und`` for null texts and texts without a letter, with score 0. score: weight of that language against the others, from
     entropies over at most ``FULL_CHARS`` characters. rejected: ``und``, or an entropy above the mean of the language's own training
-    words by more than ``slack`` bits and ``sigmas`` standard errors of a text of that length. Other columns stay.
+    words by more than ``slack`` bits and ``sigmas`` standard errors of a text of that length. Texts are whole, of any length; rows and other columns stay,
+    but a column named as ``out`` is replaced.
     """
     bound_batches(docs.sparkSession)
 
@@ -239,5 +254,5 @@ def with_language(docs: DataFrame, models: Models, text: str = "text", out: str
 
 def keep_identified(docs: DataFrame, models: Models, text: str = "text", **limits) -> DataFrame:
     """Rows of ``docs`` whose language is told apart; null and letterless texts and strange ones go. Columns stay."""
-    marked = with_language(docs, models, text, "_language", **limits)
-    return marked.where(~F.col("_language.rejected")).drop("_language")
+    (mark,) = fresh(docs, "language")
+    return with_language(docs, models, text, mark, **limits).where(~F.col(f"{mark}.rejected")).drop(mark)

@@ -8,13 +8,20 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from xlsql.llm.columns import fresh
+
 # The base patterns.
 ASSIGN = r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]+"
 HEX = r"[0-9a-f]+"
 KINDS = ("assign", "access", "hex", "markov")
-#: What the models judge: stretches of this alphabet and length, of mixed kinds of characters.
-CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])(?=[0-9+/_=-]*[A-Za-z])[A-Za-z0-9+/_=-]{20,}"
+#: What the models judge: every stretch of this alphabet of at least ``LEAST`` characters, or what base spans leave of it.
+CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
+LEAST = 20
+MIXED = r"[A-Za-z+/_=-][0-9]|[0-9][A-Za-z+/_=-]|[a-z][A-Z][A-Za-z+/_=-]*[a-z][A-Z]"
+SPANS = "array<struct<start:int,kind:int,end:int,value:string>>"
+#: Matches that are put together at once.
+BLOCK = 256
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 #: Mean log-likelihood ratio for each transition above which a stretch counts as random (nats).
 RATIO = 0.25
@@ -98,7 +105,7 @@ def _located(text: Column, pattern: str, kind: int, keep) -> Column:
     """
     found = F.regexp_extract_all(text, F.lit(f"(?s)({pattern})"), F.lit(1))
     gaps = F.split(text, pattern, -1)
-    zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>").alias("out"))
+    zero = F.struct(F.lit(0).alias("at"), F.array().cast(SPANS).alias("out"))
 
     def step(s: Column, x: Column) -> Column:
         begin = s["at"] + x["gap"]
@@ -106,35 +113,58 @@ def _located(text: Column, pattern: str, kind: int, keep) -> Column:
         span = F.struct(begin.alias("start"), F.lit(kind).alias("kind"), end.alias("end"), x["value"].alias("value"))
         return F.struct(end.alias("at"), F.concat(s["out"], F.array(span)).alias("out"))
 
+    def join(s: Column, x: Column) -> Column:
+        moved = F.transform(x["out"], lambda y: F.struct((y["start"] + s["at"]).alias("start"), y["kind"].alias("kind"), (y["end"] + s["at"]).alias("end"), y["value"].alias("value")))
+        return F.struct((s["at"] + x["at"]).alias("at"), F.concat(s["out"], F.array(moved)).alias("out"))
+
     both = F.zip_with(found, F.slice(gaps, 1, F.size(found)), lambda v, g: F.struct(F.length(g).alias("gap"), v.alias("value")))
-    located = F.aggregate(both, zero, step, lambda s: s["out"])
+    # an array grows by copies: many matches are put together in blocks first, so that the copies stay few
+    blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(both) - 1) / BLOCK).cast("int")), lambda b: F.aggregate(F.slice(both, b * BLOCK + 1, F.lit(BLOCK)), zero, step))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast(f"array<{SPANS}>").alias("out"))
+    located = F.when(F.size(both) <= BLOCK, F.aggregate(both, zero, step, lambda s: s["out"])).otherwise(F.flatten(F.aggregate(blocks, start, join, lambda s: s["out"])))
     return F.filter(located, keep) if keep else located
 
 
+def _outside(loose: Column, base: Column, text: Column) -> Column:
+    """What base spans leave of each loose span, as spans of at least ``LEAST`` characters."""
+    span = lambda a, b: F.struct(a.alias("start"), F.lit(3).alias("kind"), b.alias("end"), F.substring(text, a + 1, b - a).alias("value"))
+
+    def cut(x: Column) -> Column:
+        near = F.filter(base, lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
+        first = F.struct(x["start"].alias("at"), F.array().cast(SPANS).alias("out"))
+        rest = F.aggregate(near, first, lambda s, b: F.struct(F.greatest(s["at"], b["end"]).alias("at"), F.when(b["start"] > s["at"], F.concat(s["out"], F.array(span(s["at"], b["start"])))).otherwise(s["out"]).alias("out")), lambda s: F.when(s["at"] < x["end"], F.concat(s["out"], F.array(span(s["at"], x["end"])))).otherwise(s["out"]))
+        return F.when(F.size(near) == 0, F.array(x)).otherwise(rest)
+
+    return F.filter(F.flatten(F.transform(loose, cut)), lambda x: x["end"] - x["start"] >= LEAST)
+
+
 def secret_spans(docs: DataFrame, text: str = "text", out: str = "spans", table: list[float] | None = None, ratio: float = RATIO) -> DataFrame:
     """Add ``out``: array of struct start, kind, end, value in order of start, then kind (0 assign, 1 access, 2 hex, 3 markov).
 
     Offsets are code points, ends exclusive. Kinds 0 to 2 are the base patterns, leftmost and non-overlapping for each kind; kind 3 are
-    stretches that the Markov models find random and that touch no base span. Null and empty texts have an empty array. Texts are
-    whole; a pattern is only run over texts that hold a character or word without which it cannot match.
+    stretches of ``CANDIDATE`` that the Markov models find random, without what base spans cover of them: those with a digit and a letter, or with capitals
+    after small letters more than once; words of letters of one case are never judged. Null and empty texts have an empty array. Texts are whole; a
+    pattern is only run over texts that hold a character or word without which it cannot match. Rows and other columns stay, but a column named as
+    ``out`` is replaced.
     """
     body = F.coalesce(F.col(text), F.lit(""))
-    none = F.array().cast("array<struct<start:int,kind:int,end:int,value:string>>")
+    none = F.array().cast(SPANS)
     value = lambda x: F.regexp_extract(x["value"], ASSIGN, 2)
     runs = {
         "assign": F.when(body.contains(":") | body.contains("="), _located(body, ASSIGN, 0, lambda x: F.length(value(x)) >= 6)),
         "access": F.when(body.contains("AKIA"), _located(body, ACCESS, 1, lambda x: F.length(x["value"]) >= 20)),
         # runs of hexadecimal digits are maximal, so asking for 24 at once finds the same runs
         "hex": F.when(body.rlike("[0-9a-f]{24}"), _located(body, "[0-9a-f]{24,}", 2, None)),
-        "loose": F.when(body.rlike("[0-9]"), _located(body, CANDIDATE, 3, None)),
+        "loose": F.when(body.rlike(MIXED), _located(body, CANDIDATE, 3, lambda x: x["value"].rlike(MIXED))),
     }
-    held = docs.select("*", *[F.coalesce(c, none).alias(f"_{k}") for k, c in runs.items()])
+    at = dict(zip((*runs, "base"), fresh(docs, *runs, "base")))
+    held = docs.select("*", *[F.coalesce(c, none).alias(at[k]) for k, c in runs.items()])
     # a column of its own each, or the optimiser would run the patterns once for each use
-    held = held.withColumn("_base", F.concat("_assign", "_access", "_hex"))
+    held = held.withColumn(at["base"], F.array_sort(F.concat(at["assign"], at["access"], at["hex"])))
     table = table or train(labelled_samples())
-    apart = lambda x: ~F.exists("_base", lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
-    added = F.filter("_loose", lambda x: apart(x) & (markov_ratio(x["value"], table) > ratio))
-    return held.withColumn(out, F.array_sort(F.concat("_base", added))).drop("_base", *[f"_{k}" for k in runs])
+    added = F.filter(_outside(F.col(at["loose"]), F.col(at["base"]), body), lambda x: x["value"].rlike(MIXED) & (markov_ratio(x["value"], table) > ratio))
+    spans = F.array_sort(F.concat(at["base"], added))
+    return held.select(*[F.col(f"`{c}`") for c in docs.columns if c.lower() != out.lower()], spans.alias(out))
 
 
 def digest(spans: Column, only: tuple[str, ...] = KINDS) -> Column:
@@ -150,13 +180,15 @@ def count_kind(spans: Column, kind: str) -> Column:
 
 def redact(docs: DataFrame, text: str = "text", mark: str = "[SECRET]", **models) -> DataFrame:
     """Replace every secret in ``text`` by ``mark``; overlapping spans give one mark. Rows and other columns stay; null stays null."""
-    held = secret_spans(docs, text, "_spans", **models)
+    (spans,) = fresh(docs, "spans")
+    held = secret_spans(docs, text, spans, **models)
     zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     cut = lambda a, b: F.substring(F.col(text), a + 1, F.greatest(F.lit(0), b - a))
 
     def step(s: Column, x: Column) -> Column:
-        fresh = x["start"] >= s["at"]
-        return F.struct(F.greatest(s["at"], x["end"]).alias("at"), F.when(fresh, F.concat(s["out"], cut(s["at"], x["start"]), F.lit(mark))).otherwise(s["out"]).alias("out"))
+        new = x["start"] >= s["at"]
+        return F.struct(F.greatest(s["at"], x["end"]).alias("at"), F.when(new, F.concat(s["out"], cut(s["at"], x["start"]), F.lit(mark))).otherwise(s["out"]).alias("out"))
 
-    rebuilt = F.aggregate("_spans", zero, step, lambda s: F.concat(s["out"], cut(s["at"], F.length(F.col(text)))))
-    return held.withColumn(text, F.when(F.size("_spans") > 0, rebuilt).otherwise(F.col(text))).drop("_spans")
+    rebuilt = F.aggregate(spans, zero, step, lambda s: F.concat(s["out"], cut(s["at"], F.length(F.col(text)))))
+    done = F.when(F.size(spans) > 0, rebuilt).otherwise(F.col(text)).alias(text)
+    return held.select(*[done if c == text else F.col(f"`{c}`") for c in docs.columns])

@@ -6,6 +6,7 @@ them, and words of any length count.
 
 from __future__ import annotations
 
+import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -21,7 +22,7 @@ from xlsql.session import bound_batches
 LENGTH, SPAN, DECAY = 3, 5, 0.6
 LANDMARKS = 192
 #: Documents of each class that the machine is fitted on, the first by a hash of their ids, and bytes of their whole texts.
-SAMPLE_DOCS, SAMPLE_BYTES = 1500, 8 << 20
+SAMPLE_DOCS, SAMPLE_BYTES = 1500, 4 << 20
 #: Longer strings are compared as overlapping pieces of this many characters.
 LONGEST = 24
 #: Strings whose margins a worker remembers, and how many are compared together.
@@ -32,6 +33,8 @@ SHORT = 3
 STEM = 5
 #: Most rounds of choosing the most toxic string of each text and fitting anew, and the weight of a string that only told a text from the start.
 ROUNDS, TELLING = 6, 0.25
+#: Neighbours of at most ``SHORT`` characters.
+SHORT_RUN = re.compile(rf"(?<!\S)\S{{1,{SHORT}}}(?:\s+\S{{1,{SHORT}}})+(?!\S)").findall
 OFFSETS = [(a, b) for a in range(1, SPAN - 1) for b in range(a + 1, SPAN)]
 WEIGHTS = np.array([DECAY ** (LENGTH + k) for k in range(4)])
 MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -43,29 +46,18 @@ def strings_of(text: str | None, disguised: bool = True) -> set[str]:
     Those are every other character of a word (one stands between all letters), neighbours of at most ``SHORT`` characters put together, and
     runs of single characters put together. The beginnings of words longer than ``STEM`` count as strings too, behind the mark of a word's begin.
     """
-    words = text.lower().split() if text else []
-    out = set(words)
+    plain = text.lower() if text else ""
+    out = set(plain.split())
     long = [w for w in out if len(w) > STEM]
     out.update(["\x02" + w[:STEM] for w in long])
     if not disguised:
         return out
     out.update([w[::2] for w in long])
-    run, before = [], ""
-    for w in words:
-        if len(w) <= SHORT:
-            if len(before) + len(w) > SHORT and before:
-                out.add(before + w)
-            before = w
-            if len(w) == 1:
-                run.append(w)
-                continue
-        else:
-            before = ""
-        if len(run) > 3:
-            out.add("".join(run))
-        run = []
-    if len(run) > 3:
-        out.add("".join(run))
+    for run in SHORT_RUN(plain):
+        words = run.split()
+        out.update([a + b for a, b in zip(words, words[1:]) if len(a) + len(b) > SHORT])
+        single = "".join([w if len(w) == 1 else " " for w in words])
+        out.update([w for w in single.split(" ") if len(w) > 3])
     return out
 
 
@@ -76,17 +68,11 @@ def marked(word: str) -> str:
 
 def chunks_of(words: list[str]) -> tuple[list[str], np.ndarray]:
     """Words between marks of their ends, long ones as overlapping pieces of ``LONGEST`` characters, and the word each comes from."""
-    out, owner = [], []
-    for i, w in enumerate(words):
-        w = marked(w)
-        if len(w) <= LONGEST:
-            out.append(w)
-            owner.append(i)
-        else:
-            for k in range(0, len(w) - SPAN, LONGEST - 2 * SPAN):
-                out.append(w[k : k + LONGEST])
-                owner.append(i)
-    return out, np.array(owner, int)
+    out = [w if w[:1] == "\x02" else f"\x02{w}\x03" for w in words]
+    if max(map(len, out), default=0) <= LONGEST:
+        return out, np.arange(len(out))
+    parts = [[w] if len(w) <= LONGEST else [w[k : k + LONGEST] for k in range(0, len(w) - SPAN, LONGEST - 2 * SPAN)] for w in out]
+    return [x for some in parts for x in some], np.repeat(np.arange(len(out)), [len(x) for x in parts])
 
 
 def subsequences(strings: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -255,7 +241,8 @@ def train(texts: list[str], labels: list[int], landmarks: int = LANDMARKS) -> Ma
     # a text of label 1 without any string that tells it from others teaches nothing about strings
     told = np.array([not label or w in worth for w, label in zip(best, y)])
     telling = Counter(w for bag, label in zip(plain, y) if label for w in bag & worth.keys())
-    every = sorted({w for bag in bags for w in bag})
+    del plain
+    every = sorted(set().union(*bags))
     machine, margins, against = Machine.of(chosen), {}, Counter()
     for turn in range(ROUNDS):
         own = machine.kernel(machine.landmarks)

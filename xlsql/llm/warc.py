@@ -14,12 +14,13 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from xlsql.llm.graph import HOT_ROWS
 from xlsql.session import bound_batches, materialize, run_folder
 
 #: Payloads of fewer bytes are written again instead of being referred to.
 LEAST_REVISIT = 1000
-#: Copies of the table of chosen records, so that a payload that a third of the pages share is dealt over as many tasks.
-SALTS = 16
+#: Pages that cannot revisit, or whose payload is hot, are dealt over this many keys.
+SPREAD = 4096
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 CHUNK = 1 << 16
 
@@ -123,15 +124,20 @@ def write_warc(pages: DataFrame, folder: str, page_id: str = "page_id", url: str
 
     Of pages with equal payloads of at least ``least`` bytes, that with the largest page_id is the response, the others
     revisit it. A null html is an empty payload, a null url leaves the target out; rows that repeat the largest page_id are
-    responses too; a page without id revisits if another page of its payload has an id. The text crosses one shuffle, salted so
-    that no payload's pages meet in one task, and is not sorted: the chosen records are what is hashed.
+    responses too; a page without id revisits if another page of its payload has an id. The text crosses one shuffle in which pages of a hot
+    payload, and pages too short to revisit, are spread, and is not sorted: the chosen records are what is hashed.
     """
     bound_batches(pages.sparkSession, 256, "2m")
     body = F.coalesce(F.col(html), F.lit(""))
     held = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), body.alias("html"), F.sha1(body.cast("binary")).alias("digest"), F.octet_length(body).alias("bytes"))
     chosen = held.where(F.col("bytes") >= least).groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null")
-    chosen = chosen.select("digest", "first", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    held = held.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)).cast("int")).join(chosen.hint("shuffle_hash"), ["digest", "salt"], "left")
+    chosen = materialize(chosen, "chosen")
+    hot = F.col("n") > max(HOT_ROWS, chosen.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0] // 1000)
+    # at most a thousand payloads can be hot
+    held = held.join(F.broadcast(chosen.where(hot).select("digest", F.col("first").alias("hot_first"))), "digest", "left")
+    alone = (F.col("bytes") < least) | F.col("hot_first").isNotNull()
+    held = held.withColumn("key", F.when(alone, F.concat(F.lit("-"), F.pmod(F.monotonically_increasing_id(), F.lit(SPREAD)).cast("string"))).otherwise(F.col("digest")))
+    held = held.join(chosen.where(~hot).select(F.col("digest").alias("key"), F.col("first").alias("cold_first")).hint("shuffle_hash"), "key", "left").withColumn("first", F.coalesce("hot_first", "cold_first"))
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     # ids as text, for a batch with a null would turn whole numbers into doubles
     ids = [F.col(c).cast("string").alias(c) for c in ("page_id", "first")]
