@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from xlsql.llm import decontaminate, langid, pieces, secret_scan, simhash
+from xlsql.llm.columns import fresh
 from xlsql.session import load_table, materialize
 
 
@@ -26,16 +27,18 @@ def drop_benchmark_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Replace secrets in the texts, and count the characters of changed ones anew; every document stays."""
-    done = secret_scan.redact(docs.withColumn("_given", F.col("text")))
-    changed = ~F.col("text").eqNullSafe(F.col("_given"))
-    return done.withColumn("n_chars", F.when(changed, F.length("text").cast("long")).otherwise(F.col("n_chars"))).drop("_given")
+    (given,) = fresh(docs, "given")
+    done = secret_scan.redact(docs.withColumn(given, F.col("text")))
+    changed = ~F.col("text").eqNullSafe(F.col(given))
+    return done.withColumn("n_chars", F.when(changed, F.length("text").cast("long")).otherwise(F.col("n_chars"))).drop(given)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Add the pieces' ids, their number, the hash of the decoded text and the bytes that the pieces' spans cover."""
+    """Add (in place of columns of these names) the pieces' ids, their number, the hash of the decoded text and the bytes that the pieces' spans cover."""
     added = ("n_tokens", "ids", "decoded_sha256", "covered_bytes")
-    held = pieces.with_pieces(docs, out="_pieces", fields=added)
-    return held.select(*docs.columns, *[f"_pieces.{c}" for c in added])
+    (mark,) = fresh(docs, "pieces")
+    held = pieces.with_pieces(docs, out=mark, fields=added)
+    return held.select(*[F.col(f"`{c}`") for c in docs.columns if c not in added], *[f"{mark}.{c}" for c in added])
 
 
 STAGES = [
