@@ -189,11 +189,22 @@ def test_generators(spark, sf):
     assert links[0]["column_name"] == "o_totalprice"
 
 
-def test_staged_is_at_least_as_good_offline(spark, sf):
-    from xlsql.queries.evaluation import q61a_baseline_scores
-
-    got = {r["method"]: r for r in q61a_baseline_scores(spark, sf).collect()}
-    assert got["staged"]["ex"] >= got["direct"]["ex"] and got["staged"]["configs"] == 1
+def test_inference_and_trained_experiments(spark, sf):
+    """Two methods, two languages, three runs, under one configuration; six trained stand-ins in the target locale."""
+    from xlsql.workloads import experiments as ex
+
+    bench = ex.make_bench(spark, sf, 78)
+    log = ex.run_inference(bench)
+    assert gb.assert_controlled(log).count() == 0
+    scores = {(r["method"], r["lang"], r["run"]): r for r in ex.score_log(log, ["method", "lang", "run"]).collect()}
+    assert len(scores) == 12 and len({r["n"] for r in scores.values()}) == 1
+    for (method, lang, run), r in scores.items():
+        assert 0 <= r["em"] <= r["ex"] <= 1 and (r["ves"] > 0) == (r["ex"] > 0)
+        if method == "staged":
+            assert r["ex"] >= scores["direct", lang, run]["ex"]
+    trained = ex.score_log(ex.run_trained(bench), ["family", "size", "tuned"]).collect()
+    best = {(f, t): max(r["ex"] for r in trained if r["family"] == f and r["tuned"] == t) for f in ("code", "multilingual") for t in (True, False)}
+    assert len(trained) == 12 and best["code", True] > best["multilingual", True] and best["code", True] > best["code", False]
 
 
 def test_asof_and_range_joins_match_loops(spark):
@@ -319,3 +330,69 @@ def test_mutations(spark, sf):
 
 def test_file_sizes(spark, sf):
     assert files.file_sizes(spark, f"{sf}/orders.parquet").first()["bytes"] > 1000
+
+
+def test_stratified_draw_ranks_few_rows_and_stays_exact(spark):
+    rows = [(i, "a" if i % 3 else "b", i % 7) for i in range(6000)] + [(i, "c", 0) for i in range(6000, 6003)]
+    df = spark.createDataFrame(rows, "id long, g string, n_stratum int").drop("n_stratum")
+    plan = sm.plan_sample(df, "g")
+    for by_hash in ("md5", "xxhash64"):
+        got = sorted(r["id"] for r in sm.draw_sample(df, plan, "id", by="g", by_hash=by_hash).collect())
+        want = sorted(r["id"] for r in sm.draw_sample(df, plan.drop("population"), "id", by="g", by_hash=by_hash).collect())
+        assert got == want and len(got) == plan.agg(F.sum("n_stratum")).first()[0]
+    # a plan that says too small a population leaves a stratum short, and all rows are ranked
+    wrong = plan.withColumn("population", F.col("population") * 1000)
+    assert sorted(r["id"] for r in sm.draw_sample(df, wrong, "id", by="g").collect()) == sorted(r["id"] for r in sm.draw_sample(df, plan, "id", by="g").collect())
+    drawn = sm.bernoulli_sample(df, 0.5, 1).count()
+    assert 2700 < drawn < 3300 and sm.bernoulli_sample(df, {"a": 0.0, "c": 1.0}, 1, "g").groupBy("g").count().collect()[0][1] == 3
+
+
+def test_salted_join_refuses_copies_of_the_small_side(spark):
+    from xlsql.operators import relational as rel
+
+    big, small = spark.createDataFrame([(1, "x")], "k int, v string"), spark.createDataFrame([(2,)], "k int")
+    assert rel.salted_join(big, small, ["k"], how="left_anti").count() == 1 and rel.salted_join(big, small, ["k"], how="left").count() == 1
+    for how in ("right", "full", "outer"):
+        with pytest.raises(ValueError, match="copied"):
+            rel.salted_join(big, small, ["k"], how=how)
+
+
+def test_database_files_with_dirty_cells(spark, tmp_path):
+    import sqlite3
+
+    from xlsql.sources import files
+
+    path = str(tmp_path / "dirty.sqlite")
+    with sqlite3.connect(path) as con:
+        con.execute("CREATE TABLE t (n INTEGER, x REAL, s TEXT)")
+        con.executemany("INSERT INTO t VALUES (?, ?, ?)", [(1, 1.5, "a"), ("n/a", "?", 7), (None, "2", None), (2.5, 3, b"\xffz"), (10**30 * 1.0, 4, "é")])
+        con.execute("CREATE TABLE w (k TEXT PRIMARY KEY, n INTEGER) WITHOUT ROWID")
+        con.execute("INSERT INTO w VALUES ('a', 1), ('b', 2)")
+    files.register(spark)
+    rows = sorted(map(tuple, spark.read.format("sqlite_file").option("path", path).option("table", "t").load().collect()), key=str)
+    assert rows == sorted([(1, 1.5, "a"), (None, None, "7"), (None, 2.0, None), (None, 3.0, "\ufffdz"), (None, 4.0, "é")], key=str)
+    assert files.dirty_cells(path, "t") == {"n": 3, "x": 1, "s": 0}
+    assert spark.read.format("sqlite_file").option("path", path).option("table", "w").load().count() == 2
+
+
+def test_streams_of_updates_and_whole_results_stay_off_the_driver(spark, tmp_path):
+    from xlsql.streaming import scores as st
+
+    spark.createDataFrame([(i, f"t{i % 2}", float(i)) for i in range(20)], "k int, event_type string, value double").repartition(4).write.parquet(str(tmp_path / "e"))
+    stream = spark.readStream.schema("k int, event_type string, value double").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "e"))
+    whole = st.drain(stream.groupBy("event_type").agg(F.count("*").alias("n")), "whole", "complete")
+    assert sorted(map(tuple, whole.collect())) == [("t0", 10), ("t1", 10)]
+    updates = st.drain(stream.groupBy("event_type").agg(F.count("*").alias("n")), "updates", "update")
+    assert updates.count() > 2 and sorted(map(tuple, updates.groupBy("event_type").agg(F.max("n")).collect())) == [("t0", 10), ("t1", 10)]
+    assert st.drain(stream.where("k < 0").groupBy("event_type").count(), "none", "update").count() == 0
+
+
+def test_results_teach_corrections(spark, sf):
+    from xlsql.catalog.spec import DATABASES, columns_of, open_database
+    from xlsql.generate import baselines as gb
+
+    session, schema, trace = open_database(spark, sf, DATABASES["commerce"]), columns_of(spark, sf, DATABASES["commerce"]), []
+    fix = lambda sql, q="": gb.self_correct(session, sql, schema, 2, q, execute=True, trace=trace)
+    assert fix("SELECT * FROM orders WHERE o_orderstatus = 'f'")[0].endswith("o_orderstatus = 'F'") and trace[-1][1] == "empty"
+    assert fix("SELECT o_orderkey FROM orders", "How many orders are there ?") == ("SELECT count(*) FROM (SELECT o_orderkey FROM orders)", 1, True)
+    assert fix("SELECT count(*) FROM orders WHERE o_orderkey < 0")[1] == 0

@@ -6,7 +6,7 @@ import xlsql.queries as xq
 from tests.oracle import connect, rows_of, sql_rows
 
 QUERIES, ORACLES = xq.load()
-SLOW = {"q65_finetuned_scores", "q61b_stage_ablation", "q47a_bpe_fertility"}
+SLOW = {"q65_finetuned_scores", "q61b_stage_ablation", "q61e_prompt_ablation", "q49b_parallel_tokens", "q47a_bpe_fertility"}
 
 
 @pytest.fixture(scope="module")

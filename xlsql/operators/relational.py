@@ -36,7 +36,12 @@ def top_per_group(df: DataFrame, by: list[str], order: list[Column], k: int) ->
 
 
 def salted_join(big: DataFrame, small: DataFrame, on: list[str], salts: int = 16, how: str = "inner") -> DataFrame:
-    """Equi-join whose hot keys are dealt over ``salts`` tasks; ``small`` is copied that often."""
+    """Equi-join whose hot keys are dealt over ``salts`` tasks; ``small`` is copied that often.
+
+    ``how`` keeps or drops rows of ``big`` only (inner, left, left_semi, left_anti): copies of unmatched rows of ``small`` must not come out.
+    """
+    if how not in ("inner", "left", "left_semi", "left_anti"):
+        raise ValueError(f"salted joins cannot be {how}: the small side is copied")
     b = big.withColumn("_salt", F.pmod(F.xxhash64(*[c for c in big.columns]), F.lit(salts)).cast("int"))
     s = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return b.join(s, [*on, "_salt"], how).drop("_salt")

@@ -78,6 +78,17 @@ def q38_accuracy_ci(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _intervals(seen.crossJoin(labels.agg(F.count("*").alias("pop"))))
 
 
+@query("""
+    WITH e AS (SELECT event_id, CAST(value <= 98 AS INTEGER) AS correct FROM events), s AS (SELECT correct FROM e ORDER BY md5(CAST(event_id AS VARCHAR) || ':42'), event_id LIMIT (SELECT CAST(ceil(round(1068 / (1 + 1067 / CAST(count(*) AS DOUBLE)), 9)) AS BIGINT) FROM events)),
+    base AS (SELECT CAST(sum(correct) AS BIGINT) AS k, count(*) AS n, (SELECT count(*) FROM e) AS pop FROM s)""" + INTERVALS)
+def q38a_accuracy_at_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The validation over a population of the published size: size, draw, accuracy, intervals."""
+    e = load_table(spark, sf_dir, "events").select("event_id", (F.col("value") <= 98).cast("int").alias("correct"))
+    n = sm.plan_sample(e).first()["n"]
+    seen = sm.observed_accuracy(sm.draw_sample(e, n, "event_id"))
+    return _intervals(seen.crossJoin(e.agg(F.count("*").alias("pop"))))
+
+
 @query(f"WITH base AS (SELECT CAST({pub.CORRECT} AS BIGINT) AS k, CAST({pub.JUDGED} AS BIGINT) AS n, CAST({sum(pub.QUESTIONS.values())} AS BIGINT) AS pop)" + INTERVALS)
 def q39_accuracy_published(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _intervals(spark.createDataFrame([(pub.CORRECT, pub.JUDGED, sum(pub.QUESTIONS.values()))], "k long, n long, pop long"))
@@ -190,18 +201,34 @@ def q49_evidence_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return wi.core_items(spark).groupBy("db_id").agg(F.count("*").alias("n"), F.round(F.avg(F.size(tokens(F.col("evidence")))), 6).alias("avg_evidence_tokens"))
 
 
+def _both_languages(spark: SparkSession, sf_dir: str, n: int = 400) -> DataFrame:
+    """lang, split, question, evidence, sql of made and core items, and of their localized forms."""
+    from xlsql.localize.pipeline import build_localized
+
+    items = wi.make_items(spark, sf_dir, n).unionByName(wi.core_items(spark))
+    made = build_localized(spark, sf_dir, items)
+    target = made.select(F.lit("target").alias("lang"), "split", F.col("question_loc").alias("question"), F.col("evidence_loc").alias("evidence"), F.col("sql_loc").alias("sql"))
+    return items.select(F.lit("source").alias("lang"), "split", "question", "evidence", "sql").unionByName(target)
+
+
 @query()
 def q49a_parallel_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Questions against their forms in the invented suffixing locale: measure, base_value, value, change. Words fall, the type-token ratio rises."""
-    from xlsql.localize.text import localize_text
-    from xlsql.providers.base import InventedLocaleProvider
-
-    items = wi.make_items(spark, sf_dir, 400).unionByName(wi.core_items(spark))
-    made = localize_text(items, InventedLocaleProvider())
-    both = items.select(F.lit("source").alias("lang"), F.col("question").alias("text")).unionByName(made.select(F.lit("target").alias("lang"), F.col("question_loc").alias("text")))
+    """Questions against their localized forms: measure, base_value, value, change. Words fall, the type-token ratio rises."""
+    both = _both_languages(spark, sf_dir).withColumnRenamed("question", "text")
     return cs.percent_change(cs.corpus_stats(both, "text", ["lang"]), "lang", "source")
 
 
+@query()
+def q49b_parallel_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """split, measure, source, target, change: tokens of SQL and of evidence in both languages. Only names change, so SQL keeps its number of tokens."""
+    from xlsql.functions.text import tokens
+
+    sql = F.size(F.regexp_extract_all("sql", F.lit(SQL_TOKEN), F.lit(0)))
+    both = _both_languages(spark, sf_dir).select("lang", "split", sql.alias("sql_tokens"), F.size(tokens(F.col("evidence"))).alias("evidence_tokens"))
+    rows = both.unpivot(["lang", "split"], ["sql_tokens", "evidence_tokens"], "measure", "value").groupBy("split", "measure").pivot("lang", ["source", "target"]).agg(F.round(F.avg("value"), 6))
+    return rows.withColumn("change", F.round(100 * (F.col("target") / F.col("source") - 1), 4))
+
+
 @query(f"SELECT split, measure, source, target, round(100 * (target / source - 1), 1) AS change FROM {values(pub.CORPUS, 'split, measure, source, target')}")
 def q50_t1_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pub.corpus_rows(spark).withColumn("change", F.round(100 * (F.col("target") / F.col("source") - 1), 1))

@@ -273,13 +273,17 @@ def q93_udtf_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return own.sql("SELECT item_id, t.token FROM benchmark, LATERAL explode_tokens(text) t")
 
 
-@query("SELECT 'a_b_c' AS snake, CAST(974 AS BIGINT) AS n, 2.0::DOUBLE AS reward")
+@query("""
+    SELECT replace(lower(trim(p_name)), ' ', '_') AS snake, CAST(ceil(round(1068 / (1 + 1067 / CAST(p_partkey + 500 AS DOUBLE)), 9)) AS BIGINT) AS n, round(sqrt(greatest(p_retailprice, 0.001::DOUBLE) / greatest(CAST(p_size AS DOUBLE), 0.001::DOUBLE)), 6) AS reward
+    FROM part WHERE regexp_matches(p_name, '^[a-z ]+$') AND NOT contains(p_name, '  ')""")
 def q94_sql_function_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The SQL functions over a table's rows."""
     from xlsql.functions.udtf import register
 
     own = spark.newSession()
     register(own)
-    return own.sql("SELECT ascii_snake('A b-C') AS snake, clt_n(1.96, 0.03, 0.5, 10962) AS n, ves_reward(40.0D, 10.0D) AS reward")
+    T(own, sf_dir, "part").createOrReplaceTempView("part")
+    return own.sql("SELECT ascii_snake(p_name) AS snake, clt_n(1.96, 0.03, 0.5, p_partkey + 500) AS n, round(ves_reward(p_retailprice, CAST(p_size AS DOUBLE)), 6) AS reward FROM part WHERE p_name RLIKE '^[a-z ]+$' AND NOT contains(p_name, '  ')")
 
 
 @query("""SELECT source, count(DISTINCT lang) AS n_distinct FROM documents GROUP BY source""")
@@ -294,11 +298,13 @@ def q96_salted_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rel.salted_join(c, n, ["k"]).groupBy("n_name").agg(F.count("*").alias("n"))
 
 
-@query("SELECT lang, count(DISTINCT lower(t)) > 0 AS some, true AS close FROM (SELECT lang, unnest(regexp_extract_all(text, '[\\p{L}\\p{N}]+|[^\\s\\p{L}\\p{N}]')) AS t FROM documents) GROUP BY lang")
+@query("""
+    SELECT lang, count(DISTINCT t) AS vocab, true AS close FROM (SELECT lang, unnest(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+|[^\\s\\p{L}\\p{N}]')) AS t FROM documents) GROUP BY lang""")
 def q97_vocab_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact vocabulary, and whether the sketch lies within its error of it."""
     docs = T(spark, sf_dir, "documents").select("lang", "text")
     both = cs.vocabulary(docs, "text", ["lang"]).join(cs.vocabulary(docs, "text", ["lang"], exact=False).withColumnRenamed("vocab", "sketch"), "lang")
-    return both.select("lang", (F.col("vocab") > 0).alias("some"), (F.abs(F.col("sketch") - F.col("vocab")) <= 0.05 * F.col("vocab")).alias("close"))
+    return both.select("lang", "vocab", (F.abs(F.col("sketch") - F.col("vocab")) <= 0.05 * F.col("vocab")).alias("close"))
 
 
 PAGED = """
@@ -332,11 +338,11 @@ JOINED = "SELECT count(*) AS n, CAST(sum(o_orderkey) AS BIGINT) AS s FROM orders
 
 @query(" UNION ALL ".join(JOINED.replace("SELECT", f"SELECT '{h}' AS hint,", 1) for h in ("broadcast", "merge", "shuffle_hash")))
 def q100_join_strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The same join by each strategy. The broadcast side is a table of the size of the customers; elsewhere the planner chooses by size."""
+    """The same join by each strategy, each hinted; customers are few here, elsewhere the planner chooses by size."""
     o, c = T(spark, sf_dir, "orders").select("o_orderkey", "o_custkey"), T(spark, sf_dir, "customer").where("c_mktsegment = 'BUILDING'").select("c_custkey")
     out = None
     for h in ("broadcast", "merge", "shuffle_hash"):
-        side = c if h == "broadcast" else c.hint(h)
+        side = c.hint(h)
         part = o.join(side, o["o_custkey"] == side["c_custkey"]).agg(F.lit(h).alias("hint"), F.count("*").alias("n"), F.sum("o_orderkey").alias("s"))
         out = part if out is None else out.unionByName(part)
     return out

@@ -38,7 +38,7 @@ class SqliteSource(DataSource):
 
 
 class RowRange(InputPartition):
-    def __init__(self, low: int, high: int):
+    def __init__(self, low: int | None, high: int | None):
         self.low, self.high = low, high
 
 
@@ -48,7 +48,11 @@ class SqliteReader(DataSourceReader):
 
     def partitions(self) -> list[InputPartition]:
         with sqlite3.connect(f"file:{self.options['path']}?mode=ro", uri=True) as db:
-            low, high = db.execute(f"SELECT min(rowid), max(rowid) FROM \"{self.options['table']}\"").fetchone()
+            try:
+                low, high = db.execute(f"SELECT min(rowid), max(rowid) FROM \"{self.options['table']}\"").fetchone()
+            except sqlite3.OperationalError:
+                # a table without row ids is read by one task
+                return [RowRange(None, None)]
         if low is None:
             return [RowRange(0, 0)]
         n = max(1, int(self.options.get("partitions", 4)))
@@ -57,16 +61,46 @@ class SqliteReader(DataSourceReader):
 
     def read(self, partition: RowRange) -> Iterator[tuple]:
         kinds = [f.dataType.typeName() for f in self.schema_.fields]
-        cast = {"long": int, "double": float, "string": str}
         names = ", ".join(f'"{f.name}"' for f in self.schema_.fields)
+        where, bounds = ("", ()) if partition.low is None else (" WHERE rowid >= ? AND rowid < ?", (partition.low, partition.high))
         db = sqlite3.connect(f"file:{self.options['path']}?mode=ro", uri=True)
+        db.text_factory = lambda b: b.decode("utf-8", "replace")
         try:
-            for row in db.execute(f"SELECT {names} FROM \"{self.options['table']}\" WHERE rowid >= ? AND rowid < ?", (partition.low, partition.high)):
-                yield tuple(None if v is None else cast.get(k, lambda x: x)(v) for k, v in zip(kinds, row))
+            for row in db.execute(f"SELECT {names} FROM \"{self.options['table']}\"{where}", bounds):
+                yield tuple(cell_of(v, k) for k, v in zip(kinds, row))
         finally:
             db.close()
 
 
+def cell_of(value, kind: str):
+    """A cell as its column's declared type; what cannot be read as that, as files of this kind may hold in any column, is null."""
+    if value is None:
+        return None
+    try:
+        if kind == "long":
+            n = int(value)
+            return n if -(1 << 63) <= n < 1 << 63 and (not isinstance(value, float) or n == value) else None
+        if kind == "double":
+            return float(value)
+        if kind == "binary":
+            return value if isinstance(value, bytes) else str(value).encode()
+        return value.decode("utf-8", "replace") if isinstance(value, bytes) else str(value)
+    except (ValueError, OverflowError, TypeError):
+        return None
+
+
+def dirty_cells(path: str, table: str) -> dict[str, int]:
+    """Cells of each column that reading as the declared type makes null."""
+    with sqlite3.connect(f"file:{path}?mode=ro", uri=True) as db:
+        db.text_factory = lambda b: b.decode("utf-8", "replace")
+        cols = [(c[1], {"bigint": "long"}.get(affinity(c[2]), affinity(c[2]))) for c in db.execute(f'PRAGMA table_info("{table}")').fetchall()]
+        out = dict.fromkeys((c for c, _ in cols), 0)
+        for row in db.execute(f'SELECT {", ".join(f"{chr(34)}{c}{chr(34)}" for c, _ in cols)} FROM "{table}"'):
+            for v, (c, k) in zip(row, cols):
+                out[c] += v is not None and cell_of(v, k) is None
+    return out
+
+
 class ItemStreamSource(DataSource):
     """``spark.readStream.format("item_lines")`` with option path: items as they are appended to a file of JSON lines."""
 

@@ -40,19 +40,40 @@ def plan_sample(df: DataFrame, strata: str | None = None, confidence: float = 0.
     return planned.withColumn("n_stratum", (F.col("low") + (nth <= left).cast("int")).cast("long")).select(strata, "population", "n0", "n", "n_stratum")
 
 
-def draw_key(key: Column, seed: int) -> Column:
-    """Order of a reproducible draw, the same in every engine that has md5."""
+def draw_key(key: Column, seed: int, by_hash: str = "md5") -> Column:
+    """Order of a reproducible draw: ``md5``, the same in every engine that has it, or ``xxhash64``, cheaper and as 16 hex digits too."""
+    if by_hash == "xxhash64":
+        return F.lower(F.lpad(F.hex(F.xxhash64(key.cast("string"), F.lit(seed))), 16, "0"))
     return F.md5(F.concat(key.cast("string"), F.lit(f":{seed}")))
 
 
-def draw_sample(df: DataFrame, n: int | DataFrame, key: str, seed: int = 42, by: str | None = None) -> DataFrame:
-    """Exactly n rows (all, if there are fewer), first by ``draw_key``; ``by``: strata, n then a table (by, n_stratum)."""
-    order = draw_key(F.col(key), seed)
+def draw_sample(df: DataFrame, n: int | DataFrame, key: str, seed: int = 42, by: str | None = None, by_hash: str = "md5") -> DataFrame:
+    """Exactly n rows (all, if there are fewer), first by ``draw_key``; ``by``: strata, n then a table (by, n_stratum[, population]).
+
+    Of a stratum only rows whose key lies below a share somewhat above the wanted one are ranked, so that no task sorts a whole stratum. The
+    share is checked by a count: if chance left any stratum short, all rows are ranked.
+    """
+    order = draw_key(F.col(key), seed, by_hash)
     if by is None:
         return df.orderBy(order, key).limit(n)
-    # n_stratum has as many rows as strata; ranks are cut within each task first
-    ranked = df.withColumn("_nth", F.row_number().over(Window.partitionBy(by).orderBy(order, key)))
-    return ranked.join(F.broadcast(n.select(by, "n_stratum")), by).where("_nth <= n_stratum").drop("_nth", "n_stratum")
+    # as many rows as strata
+    wanted = n.select(by, "n_stratum", *(["population"] if "population" in n.columns else []))
+    if "population" in n.columns:
+        ample = F.col("n_stratum") + 8 * F.sqrt("n_stratum") + 40
+        below = F.lpad(F.lower(F.hex(F.floor(F.least(F.lit(1.0), ample / F.col("population")) * (2**32 - 1)).cast("long"))), 8, "0")
+        near = df.join(F.broadcast(wanted.withColumn("_below", below)), by).where(F.substring(order, 1, 8) <= F.col("_below")).drop("_below", "population")
+        short = wanted.join(near.groupBy(by).agg(F.count("*").alias("_held")), by, "left").where(F.coalesce("_held", F.lit(0)) < F.least("n_stratum", "population"))
+        if not short.isEmpty():
+            return draw_sample(df, n.drop("population"), key, seed, by, by_hash)
+    else:
+        near = df.join(F.broadcast(wanted), by)
+    ranked = near.withColumn("_nth", F.row_number().over(Window.partitionBy(by).orderBy(order, key)))
+    return ranked.where("_nth <= n_stratum").select(*df.columns)
+
+
+def bernoulli_sample(df: DataFrame, share: float | dict, seed: int = 42, by: str | None = None) -> DataFrame:
+    """Each row by itself with probability ``share`` (``by``: a share for each stratum): one pass, no order, a number of rows that varies."""
+    return df.sample(fraction=share, seed=seed) if by is None else df.sampleBy(by, share, seed)
 
 
 def accuracy_interval(k: Column, n: Column, population: Column | None = None, z: float = 1.96, method: str = "wald") -> Column:

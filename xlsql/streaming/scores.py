@@ -27,16 +27,25 @@ def staged_files(df: DataFrame, parts: int, order: str) -> str:
 
 
 def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there, into the shared folder (append) or a table of the session (complete, update), and return the rows."""
+    """Run a stream over what is there into the shared folder and return the rows: all (append, update) or those of the last batch (complete).
+
+    In update and complete mode every batch overwrites a folder of its own, so a batch that runs twice counts once; nothing comes to the driver.
+    """
     spark = stream.sparkSession
-    mark = run_folder(spark, "offsets")
+    mark, out = run_folder(spark, f"{name}-offsets"), run_folder(spark, f"{name}-sink")
     if mode == "append":
-        out = run_folder(spark, "sink")
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", mark).outputMode("append").trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    table = f"{name}_{mark.rsplit('-', 1)[-1]}"
-    stream.writeStream.format("memory").queryName(table).option("checkpointLocation", mark).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(table)
+    spark.createDataFrame([], stream.schema).write.parquet(f"{out}/batch=-1")
+
+    def keep(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/batch={batch}")
+
+    stream.writeStream.foreachBatch(keep).option("checkpointLocation", mark).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    held = spark.read.option("basePath", out).parquet(out)
+    if mode == "complete":
+        held = held.where(F.col("batch") == held.agg(F.max("batch")).first()[0])
+    return held.select(*stream.columns)
 
 
 def tumbling(events: DataFrame, size: str = "1 day", late: str = "1 hour") -> DataFrame:
