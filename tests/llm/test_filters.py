@@ -93,6 +93,18 @@ def test_language_of_odd_texts(spark):
     assert langid.with_language(df, langid.train({})).where("language.lang = 'und'").count() == 6
 
 
+def test_rejection_is_calibrated_on_texts_kept_out(spark):
+    rng = random.Random(4)
+    words = ["river", "house", "garden", "summer", "letter", "window", "music"]
+    text = lambda: " ".join(rng.choice(words) for _ in range(40))
+    near = langid.train({"en": [text() for _ in range(60)]})
+    # every fifth text holds words that the others do not have: more slack is needed
+    wide = langid.train({"en": [text() + (" xylophone zephyr quartz jukebox" * 6 if k % 5 == 0 else "") for k in range(60)]})
+    assert near.slack[0] == 1.0 < wide.slack[0] and langid.train({"en": [text()]}).slack[0] == langid.SLACK
+    df = spark.createDataFrame([(1, text()), (2, "qzx vkj wqp " * 20), (3, "日本語 " * 30)], "doc_id long, text string")
+    assert [r["doc_id"] for r in langid.keep_identified(df, near).collect()] == [1]
+
+
 def test_fit_reads_whole_texts_within_its_bounds(spark):
     tail = "jq " * 4000 + "zyxzyx " * 3000
     rows = [(i, "some words here " * 20 + tail, "en") for i in range(3)] + [(1, "b", "en"), (1, "b", "en")]

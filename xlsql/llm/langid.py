@@ -20,6 +20,10 @@ DISCOUNT = 0.75
 #: Bounds of the labelled sample that the models are fitted on: documents of each language, and bytes of their whole texts.
 SAMPLE_DOCS, SAMPLE_BYTES = 400, 2 << 20
 MOST_LANGUAGES = 256
+#: Of each language every so many texts calibrate its rejection instead of its model, if there are at least this many texts for either; else the slack in bits.
+HELD_OUT, LEAST_TEXTS, SLACK = 5, 20, 2.0
+#: Standard errors of a text's entropy that are allowed for, and how far beyond the worst calibrating text the slack goes, at least a bit.
+SIGMAS, BEYOND = 6.0, 2.0
 #: Words whose scores a worker remembers, and how many are scored together.
 REMEMBERED, WORDS_AT_ONCE = 150_000, 16_384
 #: Characters after which more text no longer raises the confidence.
@@ -60,6 +64,11 @@ class Models:
     floor: np.ndarray
     mean: np.ndarray
     spread: np.ndarray
+    slack: np.ndarray
+
+    def limit(self, language: int, characters: float, sigmas: float) -> float:
+        """Entropy above which a text of so many characters is none of the language."""
+        return self.mean[language] + self.slack[language] + sigmas * self.spread[language] / np.sqrt(characters)
 
     def word_scores(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Sum of the log-probabilities (bits) of each word's characters and its end in every language, and their number."""
@@ -93,6 +102,17 @@ class Models:
         return sums, np.bincount(owner, minlength=len(words))
 
 
+    def entropy(self, text: str, language: int) -> tuple[float, float]:
+        """Bits a character of a whole text in one language, and the number of its characters."""
+        words = Counter(letters(text))
+        held, times = list(words), np.array(list(words.values()), float)
+        bits = size = 0.0
+        for k in range(0, len(held), WORDS_AT_ONCE):
+            s, n = self.word_scores(held[k : k + WORDS_AT_ONCE])
+            bits, size = bits - (s[:, language] * times[k : k + WORDS_AT_ONCE]).sum(), size + (n * times[k : k + WORDS_AT_ONCE]).sum()
+        return bits / size if size else 0.0, size
+
+
 def _lookup(keys: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     if not len(keys):
         return np.zeros(len(h), bool), np.zeros(len(h), int)
@@ -111,13 +131,16 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
 
     Counts of the highest order are occurrences; those of lower orders are the numbers of distinct characters that precede. All
     n-grams that any language has seen are stored with every language's interpolated value, so a lookup never mixes orders between languages.
+    Every fifth text is kept out of a language's model where there are enough, to calibrate how far a text of the language may lie from it.
     """
     languages = sorted(samples)
     if not languages:
-        return Models([], [], [], [], [], np.zeros(0), np.zeros(0), np.zeros(0))
-    counted, spoken = [], []
+        return Models([], [], [], [], [], np.zeros(0), np.zeros(0), np.zeros(0), np.zeros(0))
+    counted, spoken, apart = [], [], []
     for lang in languages:
-        words = Counter(w for t in samples[lang] for w in letters(t))
+        enough = len(samples[lang]) >= LEAST_TEXTS
+        apart.append([t for k, t in enumerate(samples[lang]) if enough and k % HELD_OUT == 0])
+        words = Counter(w for k, t in enumerate(samples[lang]) if not enough or k % HELD_OUT for w in letters(t))
         spoken.append(words)
         grams: list[Counter] = [Counter() for _ in range(order)]
         for w, c in words.items():
@@ -166,7 +189,7 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
         back.append(np.log2(weight[oc]))
         prob, place = value, here
     floor = back[0][0] - np.log2(alphabet)
-    models = Models(languages, keys, logp, context, back, floor, np.zeros(n_lang), np.ones(n_lang))
+    models = Models(languages, keys, logp, context, back, floor, np.zeros(n_lang), np.ones(n_lang), np.full(n_lang, SLACK))
     for c, words in enumerate(spoken):
         held, times = list(words), np.array(list(words.values()), float)
         scored = [models.word_scores(held[k : k + WORDS_AT_ONCE]) for k in range(0, len(held), WORDS_AT_ONCE)]
@@ -177,6 +200,9 @@ def train(samples: dict[str, list[str]], order: int = ORDER) -> Models:
         models.mean[c] = total / size
         square = ((bits - models.mean[c] * n) ** 2 / n * times).sum()
         models.spread[c] = np.sqrt(square / times.sum())
+        worst = [e - models.mean[c] - SIGMAS * models.spread[c] / np.sqrt(size) for e, size in (models.entropy(t, c) for t in apart[c]) if size]
+        if worst:
+            models.slack[c] = max(1.0, BEYOND * max(worst))
     return models
 
 
@@ -209,13 +235,13 @@ def fit(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str =
     return train(samples)
 
 
-def with_language(docs: DataFrame, models: Models, text: str = "text", out: str = "language", sigmas: float = 6.0, slack: float = 2.0) -> DataFrame:
+def with_language(docs: DataFrame, models: Models, text: str = "text", out: str = "language", sigmas: float = SIGMAS) -> DataFrame:
     """Add a struct column ``out``: lang, score, entropy, rejected.
 
     lang: the language of the lowest cross-entropy (bits a character over the letters of the whole text), ties to the first in
     order; ``und`` for null texts and texts without a letter, with score 0. score: weight of that language against the others, from
     entropies over at most ``FULL_CHARS`` characters. rejected: ``und``, or an entropy above the mean of the language's own training
-    words by more than ``slack`` bits and ``sigmas`` standard errors of a text of that length. Texts are whole, of any length; rows and other columns stay,
+    words by more than ``sigmas`` standard errors of a text of that length and the slack that texts kept out of the fit have shown to be needed. Texts are whole, of any length; rows and other columns stay,
     but a column named as ``out`` is replaced.
     """
     bound_batches(docs.sparkSession)
@@ -245,8 +271,7 @@ def with_language(docs: DataFrame, models: Models, text: str = "text", out: str
                 entropy = -sums[at].sum(0) / n
                 best = int(entropy.argmin())
                 score = 1 / np.exp2((entropy[best] - entropy) * min(n, FULL_CHARS)).sum()
-                limit = models.mean[best] + slack + sigmas * models.spread[best] / np.sqrt(n)
-                rows.append((models.languages[best], float(score), float(entropy[best]), bool(entropy[best] > limit)))
+                rows.append((models.languages[best], float(score), float(entropy[best]), bool(entropy[best] > models.limit(best, n, sigmas))))
             yield pd.DataFrame(rows, columns=["lang", "score", "entropy", "rejected"])
 
     return docs.withColumn(out, F.pandas_udf(run, "lang string, score double, entropy double, rejected boolean")(F.col(text)))
