@@ -264,7 +264,20 @@ def q61b_stage_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "stages string, n_valid long, n long")
 
 
-@query()
+def _prompt_sql() -> str:
+    """Prompts put together there: tables by name, columns in order, with their types and descriptions."""
+    told = values([(d.db_id, k, v) for d in DATABASES.values() for k, v in d.descriptions.items()], "db_id, c, note", "n")
+    kind = "CASE k WHEN 'BIGINT' THEN 'bigint' WHEN 'INTEGER' THEN 'int' WHEN 'VARCHAR' THEN 'string' WHEN 'DOUBLE' THEN 'double' WHEN 'TIMESTAMP' THEN 'timestamp_ntz' WHEN 'FLOAT[]' THEN 'array<float>' ELSE k END"
+    line = "chr(10)"
+    return f"""
+        WITH i AS (SELECT * FROM {values([(i.item_id, i.db_id, i.question, i.evidence) for i in wi.ITEMS], 'item_id, db_id, question, evidence')}),
+        t AS (SELECT x.db_id, 'table ' || t || {line} || string_agg('  ' || x.c || ' ' || {kind} || coalesce(' -- ' || note, ''), {line} ORDER BY o) AS one FROM {COLUMNS} x LEFT JOIN {told} ON n.db_id = x.db_id AND n.c = x.c GROUP BY x.db_id, t),
+        d AS (SELECT db_id, string_agg(one, {line} ORDER BY one) AS txt FROM t GROUP BY db_id),
+        p AS (SELECT item_id, '# Schema' || {line} || txt || {line} || '# Question' || {line} || question || {line} || '# Hint' || {line} || evidence || {line} || '# SQL' || {line} AS prompt FROM i JOIN d ON d.db_id = i.db_id)
+        SELECT CAST(item_id AS BIGINT) AS item_id, CAST(length(prompt) AS INTEGER) AS chars, md5(prompt) AS digest FROM p"""
+
+
+@query(_prompt_sql)
 def q61c_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """item_id and size of each prompt: schema, question and evidence."""
     prompts = gb.render_prompt(wi.core_items(spark), gb.schema_text(extract_all(spark, sf_dir)))
