@@ -67,11 +67,15 @@ class CharacterMap:
         return self.replacements[offset : self.replacements.index(0, offset)]
 
 
+#: Code points of Latin scripts, whose pairs have a table of their own; columns of the widest table of words.
+LATIN, COLUMNS = 384, np.arange(64)
+
+
 class Merger:
     """Merges of a BPE model over many words at once: the best pair of each word first, the leftmost of equals, until no pair is a piece."""
 
     #: Words up to this many characters are merged as rows of one table.
-    LONGEST = 64
+    LONGEST = len(COLUMNS)
 
     def __init__(self, pieces, byte_ids: dict[int, int], unknown: int):
         self.byte_ids, self.unknown = byte_ids, unknown
@@ -102,6 +106,12 @@ class Merger:
             self.made[r] = next(iter(some)) if len(some) == 1 else -1
         self.pairs = pairs
         self._hash()
+        # the space mark has place 1 there, the end of a word place 0
+        self.place = np.arange(0x110000, dtype="i4")
+        self.place[ord(SPACE)] = 1
+        symbol = self.char[:LATIN].copy()
+        symbol[1], symbol[0] = self.char[ord(SPACE)], -2
+        self.latin = self._look(*np.broadcast_arrays(symbol[:, None], symbol[None, :])).reshape(-1)
 
     NONE = np.int32(2**31 - 1)
     #: Multipliers of the two hash tables.
@@ -141,11 +151,17 @@ class Merger:
         flat[other] = self.tables[1][keys[other].view("u8") * np.uint64(self.MIX[1]) >> self.shift]
         return np.where((self.keys[at] == key) & (at >= 0) & (left >= 0) & (right >= 0), self.rank[at], self.NONE)
 
-    def _rows(self, table: np.ndarray) -> np.ndarray:
+    def _first(self, table: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Ranks of all neighbours of unmerged words: for characters of Latin scripts from one dense table."""
+        if codes.shape[1] and int(codes.max()) < LATIN:
+            return self.latin[codes[:, :-1] * LATIN + codes[:, 1:]]
+        return self._look(table[:, :-1], table[:, 1:])
+
+    def _rows(self, table: np.ndarray, codes: np.ndarray) -> np.ndarray:
         """The table after all merges (-1: a character of no piece, -2: past the end)."""
         out = np.full(table.shape, -2, "i4")
         owner = np.arange(len(table))
-        rank = self._look(table[:, :-1], table[:, 1:])
+        rank = self._first(table, codes)
         while table.shape[1] > 1:
             row = np.arange(len(table))
             best = rank.argmin(1)
@@ -156,19 +172,15 @@ class Merger:
                 table, rank, owner, best, first = table[live], rank[live], owner[live], best[live], first[live]
                 if not len(table):
                     return out
-            n, width = table.shape
-            row = np.arange(n)
+            row, width = np.arange(len(table)), table.shape[1]
             made = self.made[first]
             for k in np.flatnonzero(made < 0).tolist():
                 made[k] = self.pairs[int(table[k, best[k]]) * self.size + int(table[k, best[k] + 1])][1]
             table[row, best] = made
-            keep = np.ones((n, width), bool)
-            keep[row, best + 1] = False
-            table = table[keep].reshape(n, width - 1)
-            # the merged pair's own entry goes; those at its sides are looked up again
-            keep = np.ones((n, width - 1), bool)
-            keep[row, best] = False
-            rank = rank[keep].reshape(n, width - 2)
+            # what lies behind the merged pair moves up by one; the pair's own entry goes, those at its sides are looked up again
+            behind = COLUMNS[: width - 1] > best[:, None]
+            table = np.where(behind, table[:, 1:], table[:, :-1])
+            rank = np.where(COLUMNS[: width - 2] >= best[:, None], rank[:, 1:], rank[:, :-1])
             for side in (-1, 0):
                 j = best + side
                 ok = np.flatnonzero((j >= 0) & (j < width - 2))
@@ -212,10 +224,12 @@ class Merger:
             members = np.flatnonzero((size > low) & (size <= high))
             for begin in range(0, len(members), 8192):
                 part = members[begin : begin + 8192]
-                table = np.full((len(part), int(size[part].max())), -2, "i4")
-                table[np.arange(table.shape[1]) < size[part][:, None]] = self.char[np.frombuffer("".join([words[k] for k in part]).encode("utf-32-le", "surrogatepass"), "<u4")]
-                odd = (table == -1).any(1) | (table >= self.n_pieces).any(1)
-                done = self._rows(table)
+                width = int(size[part].max())
+                inside, flat = COLUMNS[:width] < size[part][:, None], np.frombuffer("".join([words[k] for k in part.tolist()]).encode("utf-32-le", "surrogatepass"), "<u4")
+                table, codes = np.full((len(part), width), -2, "i4"), np.zeros((len(part), width), "i4")
+                table[inside], codes[inside] = self.char[flat], self.place[flat]
+                odd = ((table == -1) | (table >= self.n_pieces)).any(1)
+                done = self._rows(table, codes)
                 for k in np.flatnonzero(odd).tolist():
                     special[int(part[k])] = self._ids(done[k][done[k] != -2].tolist(), words[part[k]])
                 plain, done = part[~odd], done[~odd]
