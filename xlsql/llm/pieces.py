@@ -7,7 +7,7 @@ import heapq
 import itertools
 import re
 import struct
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -106,9 +106,9 @@ class Merger:
             self.made[r] = next(iter(some)) if len(some) == 1 else -1
         self.pairs = pairs
         self._hash()
-        # the space mark has place 1 there, the end of a word place 0
+        # the space mark has place 1 there, the end of a word place 0; the characters of these numbers are none of the table's
         self.place = np.arange(0x110000, dtype="i4")
-        self.place[ord(SPACE)] = 1
+        self.place[:2], self.place[ord(SPACE)] = LATIN, 1
         symbol = self.char[:LATIN].copy()
         symbol[1], symbol[0] = self.char[ord(SPACE)], -2
         self.latin = self._look(*np.broadcast_arrays(symbol[:, None], symbol[None, :])).reshape(-1)
@@ -301,12 +301,12 @@ class Encoder:
         self.place: dict[str, int] = {}
         self.first, self.count, self.pool, self.used = np.zeros(1024, "i8"), np.zeros(1024, "i8"), np.zeros(4096, "i4"), 0
 
-    def learn(self, words: list[str], room: int = 0) -> None:
-        """Merge words that are not remembered, all at once; with ``room`` for others that follow."""
+    def learn(self, words: Iterable[str]) -> None:
+        """Merge words that are not remembered, all at once."""
         new = list({w for w in words if w not in self.place})
         if not new:
             return
-        if len(self.place) + len(new) + room > 2 * self.REMEMBERED:
+        if len(self.place) + len(new) > 2 * self.REMEMBERED:
             self.forget()
             new = list(set(words))
         ids, counts = self.merger(new)
@@ -327,15 +327,25 @@ class Encoder:
         return rows[rows != 0].tobytes()[:-1]
 
     def encode_batch(self, texts: list[str | None]) -> Iterator[tuple[tuple[bytes, np.ndarray], np.ndarray]]:
-        """Alignment and ids of each text; new words of the batch are merged together."""
-        aligned = [self.alignment(t) if t else (b"", np.zeros(1, int)) for t in texts]
-        words = [self.words(normal) for normal, _ in aligned] if self.merger else [None] * len(texts)
-        if self.merger:
-            new = [w for w in set().union(*words) if w not in self.place and len(w) <= self.LONGEST_REMEMBERED]
-            if len(new) <= self.REMEMBERED // 2:
-                self.learn(new, room=self.REMEMBERED // 2)
-        for t, a, w in zip(texts, aligned, words):
-            yield a, self.encode_words(t, w)
+        """Alignment and ids of each text; new words of as many texts as can be remembered are merged together."""
+        group, held = [], set()
+        for t in texts:
+            aligned = self.alignment(t) if t else (b"", np.zeros(1, int))
+            words = self.words(aligned[0]) if self.merger else None
+            own = {w for w in set(words or ()) if len(w) <= self.LONGEST_REMEMBERED}
+            if len(held) + len(own) > self.REMEMBERED:
+                yield from self._encode_group(group, held)
+                group, held = [], set()
+            group.append((t, aligned, words))
+            held |= own
+        yield from self._encode_group(group, held)
+
+    def _encode_group(self, group: list[tuple], held: set[str]) -> Iterator[tuple[tuple[bytes, np.ndarray], np.ndarray]]:
+        # a text of more words than that is alone, and encoded slice by slice
+        if len(held) <= self.REMEMBERED:
+            self.learn(held)
+        for t, aligned, words in group:
+            yield aligned, self.encode_words(t, words)
 
     @staticmethod
     def words(normal: bytes) -> list[str]:
