@@ -485,3 +485,24 @@ def test_secret_scan_runs_no_python(spark):
 
     for f in (op9_licence_scan, op10_secret_scan):
         assert not re.search("Python|Pandas|Arrow", plan_text(f(spark, "/root/testdata/sf0.001")))
+
+
+@pytest.mark.parametrize("counters, stretched", [(1 << 22, 1 << 20), (40, 7)])
+def test_hits_of_many_texts_are_counted_together(monkeypatch, counters, stretched):
+    """Results as of every item aligned with every text, from one pass for each length class."""
+    monkeypatch.setattr(decontaminate, "COUNTERS", counters)
+    monkeypatch.setattr(decontaminate, "STRETCHED", stretched)
+    rng = np.random.default_rng(3)
+    some = lambda n, of=60: [f"w{x}" for x in rng.integers(0, of, n)]
+    items = [some(int(n)) for n in rng.integers(1, 40, 25)]
+    texts = [[], ["nothing"] * 90, some(1), some(300), some(7)]
+    for item in items:
+        copy = [w for w in item if rng.random() < 0.8]
+        texts += [some(int(rng.integers(0, 200)), 400) + copy + some(int(rng.integers(0, 200)), 400), copy, []]
+    index, passes = decontaminate.Index(list(enumerate(items))), []
+    monkeypatch.setattr(decontaminate.Plan, "stretches", lambda self, *a, f=decontaminate.Plan.stretches: passes.append(1) or f(self, *a))
+    found = index.leaks_of(texts, 0.5)
+    assert len(passes) == len(index.plan(0.5)) and sum(map(len, found)) > 20
+    for text, leaks in zip(texts, found):
+        scores = [decontaminate.smith_waterman(item, index.codes(text)) / (2 * len(item)) for item in index.coded]
+        assert [(i, s) for i, s, _, _ in leaks] == [(i, s) for i, s in enumerate(scores) if s >= 0.5]

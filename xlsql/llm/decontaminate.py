@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import re
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from itertools import repeat
 
 import numpy as np
@@ -17,8 +17,8 @@ from xlsql.session import bound_batches
 #: Seeds are single words, for an edited copy at ``SIMILARITY`` may keep no two of an item's words side by side. Of each item the commonest
 #: words are no seeds, up to this share of the words that a leak must match; what is left of that number must then be hit (so no leak is lost).
 SPARED = 0.7
-#: Blocks of text that hold any alignment of an item's length class, and counters of hits held at once.
-BLOCKS, COUNTERS = 5, 1 << 22
+#: Blocks of text that hold any alignment of an item's length class; counters of hits, and words of the stretches found, held at once.
+BLOCKS, COUNTERS, STRETCHED = 5, 1 << 22, 1 << 20
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: Share of the item's own score that a leaked copy reaches.
 SIMILARITY = 0.5
@@ -65,34 +65,86 @@ class Plan:
         order = np.argsort(at, kind="stable")
         self.owner = np.concatenate([np.full(len(w), k) for w, k in pairs])[order]
         self.start = np.searchsorted(at[order], np.arange(len(index.number) + 1))
+        self.times = np.diff(self.start)
         self.need = np.array(need)
-
-    def stretches(self, codes: np.ndarray) -> Iterator[tuple[int, int, int]]:
-        """(member, first word, end word) of the part of the text with enough hits, for each member that has one."""
-        at = np.flatnonzero(codes >= 0)
-        size = self.start[codes[at] + 1] - self.start[codes[at]]
-        at, size = at[size > 0], size[size > 0]
-        if size.sum() < self.need.min():
-            return
-        blocks, n = -(-len(codes) // self.block), len(self.members)
-        low, high = np.full(n, blocks), np.full(n, -1)
+        self.goal, self.width = np.array(goals), len(index.number) + 1
+        # member and word in one number, of all words of the members
+        self.held = np.unique(np.concatenate([k * self.width + np.unique(index.coded[m]) for k, m in enumerate(members)]))
+        self.table = np.zeros(len(members) * self.width if len(members) * self.width <= COUNTERS else 0, bool)
+        if len(self.table):
+            self.table[self.held] = True
+
+    def _holds(self, member: np.ndarray, word: np.ndarray) -> np.ndarray:
+        """Whether each member has the word beside it."""
+        key = member * self.width + word
+        return self.table[key] if len(self.table) else self.held[np.minimum(np.searchsorted(self.held, key), len(self.held) - 1)] == key
+
+    def candidates(self, text: np.ndarray, place: np.ndarray, word: np.ndarray, size: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
+        """(text, member, first word, end word) of the stretches in which some sum of matches and mismatches reaches the member's goal.
+
+        Such a sum is greatest from one of the member's words to another, so only these are laid out, those of all stretches as one sequence;
+        from one stretch to the next it falls by more than it can rise within.
+        """
+        texts, members, first, end = self.stretches(text, place, word, size)
+        begins = np.cumsum(size) - size
+        at = begins[text] + place
+        i, j = np.searchsorted(at, begins[texts] + first), np.searchsorted(at, begins[texts] + end)
+        groups = np.cumsum(j - i) // STRETCHED
+        edges = np.flatnonzero(np.diff(groups, prepend=-1, append=-1))
+        for g, h in zip(edges[:-1], edges[1:]):
+            n, k = (j - i)[g:h], members[g:h]
+            which = np.repeat(np.arange(len(n)), n)
+            spot = np.arange(len(which)) + np.repeat(i[g:h] - np.cumsum(n) + n, n)
+            own = self._holds(k[which], word[spot])
+            which, where = which[own], place[spot[own]]
+            if not len(which):
+                continue
+            fall = which * ((MATCH - MISMATCH) * (len(which) + 1) - MISMATCH * (int(size.max()) + 1))
+            upto = (MATCH - MISMATCH) * np.arange(1, len(which) + 1) + MISMATCH * (where + 1) - fall
+            reached = upto - np.minimum.accumulate(upto - MATCH) >= self.goal[k[which]]
+            for x in (g + np.unique(which[reached])).tolist():
+                yield int(texts[x]), int(members[x]), int(first[x]), int(end[x])
+
+    def stretches(self, text: np.ndarray, place: np.ndarray, word: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(text, member, first word, end word) of the parts of texts with enough hits of a member.
+
+        The texts stand one after the other in blocks, with so many empty blocks between them that what is counted together is of one text.
+        """
+        times = self.times[word]
+        some = times > 0
+        text, place, word, times = text[some], place[some], word[some], times[some]
+        n, found = len(self.members), [np.zeros((3, 0), "i8")]
+        real = -(-size // self.block)
+        ends = np.cumsum(real + BLOCKS - 1) - BLOCKS + 1
+        base, blocks = ends - real, int(ends[-1]) + BLOCKS - 1
+        block = base[text] + place // self.block
         step = max(BLOCKS, COUNTERS // n - BLOCKS)
         for begin in range(0, blocks, step):
-            i, j = np.searchsorted(at, [begin * self.block, (begin + step + BLOCKS - 1) * self.block])
-            some, times = at[i:j], size[i:j]
-            if not len(some):
-                continue
-            first = np.cumsum(times) - times
-            owner = self.owner[np.arange(times.sum()) + np.repeat(self.start[codes[some]] - first, times)]
             held = min(step + BLOCKS - 1, blocks - begin)
-            hits = np.bincount(np.repeat(some // self.block - begin, times) * n + owner, minlength=held * n).reshape(held, n)
-            total = np.vstack([np.zeros((1, n), hits.dtype), np.cumsum(hits, 0)])
-            total = total[BLOCKS:] - total[:-BLOCKS] if held >= BLOCKS else total[-1:]
-            b, k = np.nonzero(total >= self.need)
-            np.minimum.at(low, k, b + begin)
-            np.maximum.at(high, k, b + begin)
-        for k in np.flatnonzero(high >= 0):
-            yield int(k), int(low[k]) * self.block, min(len(codes), (int(high[k]) + BLOCKS) * self.block)
+            i, j = np.searchsorted(block, [begin, begin + held])
+            if i == j or held < BLOCKS:
+                continue
+            m = times[i:j]
+            owner = self.owner[np.arange(m.sum()) + np.repeat(self.start[word[i:j]] - np.cumsum(m) + m, m)]
+            total = np.zeros((held + 1, n), "i4")
+            np.cumsum(np.bincount(np.repeat(block[i:j] - begin, m) * n + owner, minlength=held * n).reshape(held, n), 0, out=total[1:])
+            b, k = np.nonzero(total[BLOCKS:] - total[:-BLOCKS] >= self.need)
+            t = np.searchsorted(ends, b + begin, "right")
+            # counts over an edge of a text are no more than those within it
+            b = np.clip(b + begin, base[t], np.maximum(base[t], ends[t] - BLOCKS)) - base[t]
+            found.append(self._spread(np.stack([t * n + k, b, b])))
+        key, low, high = self._spread(np.concatenate(found, 1))
+        t = key // n
+        return t, key % n, low * self.block, np.minimum(size[t], (high + BLOCKS) * self.block)
+
+    @staticmethod
+    def _spread(rows: np.ndarray) -> np.ndarray:
+        """Each key once, with its least low and greatest high."""
+        if not rows.shape[1]:
+            return rows
+        rows = rows[:, np.argsort(rows[0], kind="stable")]
+        at = np.flatnonzero(np.diff(rows[0], prepend=-1))
+        return np.stack([rows[0][at], np.minimum.reduceat(rows[1], at), np.maximum.reduceat(rows[2], at)])
 
 
 class Index:
@@ -121,9 +173,19 @@ class Index:
 
     def leaks(self, words: list[str], similarity: float) -> list[tuple[int, float, int, int]]:
         """(item, similarity, first word, end word) of every item that a stretch of the text aligns with well enough."""
-        out, codes, known = [], self.codes(words), None
-        for plan in self.plan(similarity):
-            for member, first, end in plan.stretches(codes):
+        return self.leaks_of([words], similarity)[0]
+
+    def leaks_of(self, texts: Iterable[list[str]], similarity: float) -> list[list[tuple[int, float, int, int]]]:
+        """``leaks`` of each text; hits are counted in all of them together."""
+        coded = [self.codes(words) for words in texts]
+        out, known = [[] for _ in coded], None
+        size, flat = np.array([len(x) for x in coded], "i8"), np.concatenate([*coded, np.zeros(0, "i8")])
+        at = np.flatnonzero(flat >= 0)
+        text = np.repeat(np.arange(len(coded)), size)[at]
+        place, word = at - (np.cumsum(size) - size)[text], flat[at]
+        for plan in self.plan(similarity) if len(at) else ():
+            for t, member, first, end in plan.candidates(text, place, word, size):
+                codes = coded[t]
                 k, goal = plan.members[member], plan.goals[member]
                 item, best = self.coded[k], (0, 0, 0)
                 known = np.zeros(len(self.number) + 1, bool) if known is None else known
@@ -141,8 +203,8 @@ class Index:
                     if MATCH * np.isin(item, window[i:j]).sum() >= goal and (score := smith_waterman(item, window[i:j])) > best[0]:
                         best = (score, first + int(i), first + int(j))
                 if best[0] >= goal:
-                    out.append((self.items[k][0], best[0] / (MATCH * len(item)), *best[1:]))
-        return sorted(out)
+                    out[t].append((self.items[k][0], best[0] / (MATCH * len(item)), *best[1:]))
+        return [sorted(x) for x in out]
 
 
 def _slices(benchmark: DataFrame, item_id: str, text: str) -> Iterator[list[tuple[int, list[str]]]]:
@@ -167,8 +229,7 @@ def _count(index: Index) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataF
         total = np.zeros(len(index.number), "i8")
         for batch in batches:
             for t in batch["text"]:
-                codes = np.unique(index.codes(words_of(t)))
-                total[codes[codes >= 0]] += 1
+                total[[index.number[w] for w in index.number.keys() & set(words_of(t))]] += 1
         at = np.flatnonzero(total)
         yield pd.DataFrame({"word": at, "n": total[at]})
 
@@ -198,7 +259,7 @@ def with_leaks(docs: DataFrame, index: Index, text: str = "text", out: str = "le
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for batch in batches:
-            yield pd.Series([[dict(zip(("item_id", "similarity", "first_word", "end_word"), x)) for x in index.leaks(words_of(t), similarity)] for t in batch])
+            yield pd.Series([[dict(zip(("item_id", "similarity", "first_word", "end_word"), x)) for x in found] for found in index.leaks_of(map(words_of, batch), similarity)])
 
     return docs.withColumn(out, F.pandas_udf(run, "array<struct<item_id:long,similarity:double,first_word:int,end_word:int>>")(F.col(text)))
 
@@ -219,7 +280,7 @@ def leaked_items(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id",
 def _pairs(index: Index, similarity: float) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            leaks = [index.leaks(words_of(t), similarity) for t in batch["text"]]
+            leaks = index.leaks_of(map(words_of, batch["text"]), similarity)
             at = np.repeat(np.arange(len(leaks)), [len(x) for x in leaks])
             flat = [x for some in leaks for x in some]
             yield pd.DataFrame({"doc_id": batch["doc_id"].iloc[at].reset_index(drop=True), "item_id": [x[0] for x in flat], "similarity": [x[1] for x in flat]})
